@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from . import chat, decontaminate, language_id, quality, sentence_pieces, sharding, token_files
+from . import chat, decontaminate, language_id, lm_scoring, near_dups, quality, sentence_pieces, sharding, substring_dedup, token_files
 from .common import crc_bucket, documents
 
 
@@ -18,10 +18,19 @@ def tokenizer_file(name: str) -> bytes:
         return f.read()
 
 
+def op1_substring_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    out = substring_dedup.remove_repeats(spark, documents(spark, sf_dir))
+    return out.withColumnsRenamed({"__kept": "kept_spans", "__n_units": "n_units", "__n_removed": "n_removed"})
+
+
 def op2_chat_formatting(spark: SparkSession, sf_dir: str) -> DataFrame:
     return chat.render_conversations(spark.read.parquet(f"{sf_dir}/conversations.parquet"))
 
 
+def op3_lm_scoring(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return lm_scoring.score_documents(spark, documents(spark, sf_dir, "doc_id", "text", "lang"))
+
+
 def op4_sharding(spark: SparkSession, sf_dir: str) -> DataFrame:
     return sharding.feistel_shards(documents(spark, sf_dir), shards=8)
 
@@ -39,6 +48,10 @@ def op7_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
     return quality.quality_verdicts(documents(spark, sf_dir)).drop("rejected_by")
 
 
+def op8_near_duplicates(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return near_dups.near_components(spark, documents(spark, sf_dir), words=3, percent=85).drop("__text_hash")
+
+
 def op9_language_id(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = documents(spark, sf_dir, "doc_id", "text", "lang")
     model = language_id.fit_language_model(docs.where(crc_bucket("doc_id", 4) != 2))
@@ -50,10 +63,10 @@ def op10_sentence_pieces(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op2_chat_formatting, op4_sharding, op5_decontamination, op6_token_output, op7_quality_rules, op9_language_id, op10_sentence_pieces)}
+    return {f.__name__: f for f in (op1_substring_dedup, op2_chat_formatting, op3_lm_scoring, op4_sharding, op5_decontamination, op6_token_output, op7_quality_rules, op8_near_duplicates, op9_language_id, op10_sentence_pieces)}
 
 
 def oracle_sql() -> dict[str, str]:
     from . import oracles
 
-    return {"op2_chat_formatting": chat.oracle(), "op7_quality_rules": oracles.QUALITY}
+    return {"op2_chat_formatting": chat.oracle(), "op7_quality_rules": oracles.QUALITY, "op8_near_duplicates": oracles.NEAR_DUPLICATES}
