@@ -3,8 +3,9 @@
 from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
 
-from gridcluster.llm import decontaminate, quality, sentence_pieces
+from gridcluster.llm import decontaminate, near_dups, quality, sentence_pieces, substring_dedup
 from gridcluster.llm.queries import tokenizer_file
 from gridcluster.session import materialise, ship
 
@@ -14,6 +15,21 @@ def quality_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFram
     return quality.keep_good(docs)
 
 
+def near_duplicate_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Of each group of near copies (five-word shingles, similarity 0.8) the document of least id stays."""
+    ship(spark)
+    return near_dups.keep_one_of_each(spark, docs, words=5, percent=80)
+
+
+def substring_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Passages that an earlier document has are cut out; every document stays, with its new length."""
+    ship(spark)
+    out = substring_dedup.remove_repeats(spark, docs).drop("__kept", "__n_units", "__n_removed")
+    if "n_chars" in docs.columns:
+        out = out.withColumn("n_chars", F.when(F.col("text").isNull(), F.col("n_chars")).otherwise(F.length("text").cast(docs.schema["n_chars"].dataType)))
+    return out
+
+
 def decontamination_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     ship(spark)
     return decontaminate.drop_contaminated(spark, docs, spark.read.parquet(f"{sf_dir}/benchmark.parquet"))
@@ -26,6 +42,8 @@ def sentence_piece_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> D
 
 STAGES = [
     ("quality_rules", quality_stage),
+    ("near_duplicates", near_duplicate_stage),
+    ("substring_dedup", substring_stage),
     ("benchmark_decontamination", decontamination_stage),
     ("sentence_pieces", sentence_piece_stage),
 ]
