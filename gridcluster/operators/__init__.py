@@ -1 +1 @@
-
+"""Operators of grid clustering, its baselines and measures."""

@@ -1 +1 @@
-
+"""Whole methods and experiments put together from operators."""
