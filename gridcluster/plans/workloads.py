@@ -24,6 +24,8 @@ RING_RADII, RING_JITTER = (2.0, 6.0, 10.0), 0.1
 MINOR_OWN, MINOR_COMMON = 0.3, 0.1  # variance 0.1, covariance 0.01
 #: Columns of each party: one major feature and two minor ones.
 SHAPE_COLUMNS = ((0, 2, 3), (1, 4, 5))
+#: Tables whose keys carry planted points; customers are 1,500 at the middle size, as many as in the first experiment.
+ORDERS, CUSTOMERS = ("orders", "o_orderkey"), ("customer", "c_custkey")
 
 
 def _minors(key, seed: int) -> list:
@@ -31,8 +33,9 @@ def _minors(key, seed: int) -> list:
     return [gaussian(seed, key, f"minor{i}") * MINOR_OWN + common for i in range(4)]
 
 
-def _planted(spark: SparkSession, sf_dir: str, seed: int, majors) -> DataFrame:
-    rows = load(spark, sf_dir, "orders", ["o_orderkey"]).select(F.col("o_orderkey").alias("row_id"), F.pmod("o_orderkey", F.lit(3)).cast("int").alias("truth"))
+def _planted(spark: SparkSession, sf_dir: str, seed: int, majors, keys: tuple[str, str]) -> DataFrame:
+    table, key = keys
+    rows = load(spark, sf_dir, table, [key]).select(F.col(key).cast("long").alias("row_id"), F.pmod(key, F.lit(3)).cast("int").alias("truth"))
     x, y = majors(F.col("truth"), F.col("row_id"))
     return rows.select("row_id", "truth", F.array(x, y, *_minors(F.col("row_id"), seed)).alias("feats"))
 
@@ -41,20 +44,20 @@ def _pick(values: Sequence[float], truth):
     return F.element_at(F.array(*(F.lit(float(v)) for v in values)), truth + 1)
 
 
-def planted_blobs(spark: SparkSession, sf_dir: str, split: str = "iid", seed: int = 1) -> DataFrame:
-    """Three normal clusters in two major features, four minor ones of correlated noise; a row an order."""
-    points = _planted(spark, sf_dir, seed, lambda t, k: tuple(_pick([c[i] for c in BLOB_CENTERS], t) + gaussian(seed, k, f"major{i}") for i in (0, 1)))
+def planted_blobs(spark: SparkSession, sf_dir: str, split: str = "iid", seed: int = 1, keys: tuple[str, str] = ORDERS) -> DataFrame:
+    """Three normal clusters in two major features, four minor ones of correlated noise; a row a key of a given table."""
+    points = _planted(spark, sf_dir, seed, lambda t, k: tuple(_pick([c[i] for c in BLOB_CENTERS], t) + gaussian(seed, k, f"major{i}") for i in (0, 1)), keys)
     return _grouped(points, split, seed)
 
 
-def planted_rings(spark: SparkSession, sf_dir: str, split: str = "iid", seed: int = 1, radii: Sequence[float] = RING_RADII, jitter: float = RING_JITTER) -> DataFrame:
+def planted_rings(spark: SparkSession, sf_dir: str, split: str = "iid", seed: int = 1, radii: Sequence[float] = RING_RADII, jitter: float = RING_JITTER, keys: tuple[str, str] = ORDERS) -> DataFrame:
     """Three rings around the origin, else as the blobs."""
 
     def majors(t, k):
         r, a = _pick(radii, t), uniform(seed, k, "angle") * (2 * math.pi)
         return r * F.cos(a) + gaussian(seed, k, "jx") * jitter, r * F.sin(a) + gaussian(seed, k, "jy") * jitter
 
-    return _grouped(_planted(spark, sf_dir, seed, majors), split, seed)
+    return _grouped(_planted(spark, sf_dir, seed, majors, keys), split, seed)
 
 
 def _grouped(points: DataFrame, split: str, seed: int) -> DataFrame:
@@ -133,9 +136,9 @@ def _scored(pred: DataFrame, truth: DataFrame) -> dict[str, float]:
     return metrics.scores(pred.join(truth, "row_id"))
 
 
-def run_exp1(spark: SparkSession, sf_dir: str, shape: str = "blobs", split: str = "iid", scale: bool = False, methods: Sequence[str] = ("solo", "pooled", "grid"), seed: int = 1, restarts: int = 5, q: int = 10) -> DataFrame:
+def run_exp1(spark: SparkSession, sf_dir: str, shape: str = "blobs", split: str = "iid", scale: bool = False, methods: Sequence[str] = ("solo", "pooled", "grid"), seed: int = 1, restarts: int = 5, q: int = 10, keys: tuple[str, str] = CUSTOMERS) -> DataFrame:
     """First experiment: one trial of four parties; a ledger row a method and measure."""
-    points = materialise(spark, (planted_blobs if shape == "blobs" else planted_rings)(spark, sf_dir, split, seed), shape)
+    points = materialise(spark, (planted_blobs if shape == "blobs" else planted_rings)(spark, sf_dir, split, seed, keys=keys), shape)
     algo = "kmeans" if shape == "blobs" else "spectral"
     spec, truth = GridSpec(SHAPE_COLUMNS), points.select("row_id", "truth")
     options = {"restarts": restarts, "seed": seed, "q": q}
