@@ -7,7 +7,7 @@ from collections.abc import Iterator
 import numpy as np
 import pyarrow as pa
 import pyarrow.compute as pc
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ..session import materialise
@@ -22,6 +22,8 @@ SHARED_PART = 9 / 16
 SLACK = 0.25
 #: Members (and their shingles) that one task compares at once; longer lists are taken in pairs of chunks.
 CHUNK, CHUNK_SHINGLES = 2048, 3_000_000
+#: Bits of the membership filter at most, as a power of two: 4 MB.
+FILTER_BITS = 25
 
 
 def shingle_hashes(text: pa.Array, words: int) -> tuple[np.ndarray, np.ndarray]:
@@ -176,6 +178,20 @@ def _array(table: pa.Table, name: str) -> tuple[np.ndarray, np.ndarray]:
     return column.flatten().to_numpy(zero_copy_only=False).view(np.uint64), offsets - offsets[0]
 
 
+def member_filter(members: DataFrame, keys: list[str]) -> tuple[np.ndarray, Column]:
+    """A bitset of hashed keys, and the column of a row's bit: rows whose bit is off are no members.
+
+    Its size is bounded (FILTER_BITS) whatever the number of members; a full one only lets more rows through.
+    """
+    n = members.count()
+    bits = 1 << min(FILTER_BITS, max(12, (16 * n).bit_length()))
+    slot = F.pmod(F.xxhash64(F.lit(77), *keys), F.lit(bits))
+    words = members.select(slot.alias("s")).groupBy(F.expr("s div 64").alias("w")).agg(F.bit_or(F.expr("shiftleft(1L, CAST(s % 64 AS INT))")).alias("b")).toArrow()
+    out = np.zeros(bits // 64, dtype=np.uint64)
+    out[words["w"].to_numpy()] = words["b"].to_numpy().view(np.uint64)
+    return out, slot
+
+
 def near_classes(spark: SparkSession, docs: DataFrame, words: int, percent: int, id_col: str = "doc_id", text_col: str = "text") -> tuple[DataFrame, DataFrame]:
     """Sketch table of all documents, and the component of each class of equal sets: s1, s2, n, component.
 
@@ -217,11 +233,16 @@ def near_classes(spark: SparkSession, docs: DataFrame, words: int, percent: int,
     # chunks by members and by shingles, so that the sets of a pair of chunks fit a task
     volume = reps.groupBy("cluster").agg(F.greatest(F.ceil(F.count(F.lit(1)) / CHUNK), F.ceil(F.sum("n") / CHUNK_SHINGLES)).cast("long").alias("chunks"))
     wanted = materialise(spark, reps.join(volume, "cluster").join(table.select("__id", "__text_hash", "s1", "s2").dropDuplicates(["__id", "s1", "s2"]), ["__id", "s1", "s2"]).select("__id", "__text_hash", "cluster", "chunks"), "clusters")
-    keyed = docs.select(*document_key(id_col, text_col), F.col(text_col).alias("text")).join(wanted, ["__id", "__text_hash"])
+    bits, slot = member_filter(wanted, ["__id", "__text_hash"])
+    filter_ = spark.sparkContext.broadcast(bits)
 
     def full(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for piece in slices(batches, "text"):
-            yield pa.RecordBatch.from_arrays([piece.column("__id"), piece.column("cluster"), piece.column("chunks"), _lists(sets_of(texts(piece), words))], names=["id", "cluster", "chunks", "shingles"])
+            at = piece.column("slot").to_numpy()
+            maybe = filter_.value[at >> 6] >> (at & 63).astype(np.uint64) & np.uint64(1)
+            piece = piece.filter(pa.array(maybe == 1))
+            if piece.num_rows:
+                yield pa.RecordBatch.from_arrays([piece.column("__id"), piece.column("__text_hash"), _lists(sets_of(texts(piece), words))], names=["__id", "__text_hash", "shingles"])
 
     def exactly(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for g in whole_groups(batches, ["cluster", "c1", "c2"]):
@@ -232,7 +253,9 @@ def near_classes(spark: SparkSession, docs: DataFrame, words: int, percent: int,
             if found:
                 yield pa.RecordBatch.from_arrays(list(map(pa.array, np.array(found, dtype=np.int64).T)), names=["a", "b"])
 
-    sets = keyed.mapInArrow(full, "id long, cluster long, chunks long, shingles array<long>")
+    keyed = docs.select(*document_key(id_col, text_col), F.col(text_col).alias("text")).withColumn("slot", slot)
+    # texts stay where they are; only the sets of members (and of a few others, dropped here) travel
+    sets = keyed.mapInArrow(full, "__id long, __text_hash long, shingles array<long>").join(wanted, ["__id", "__text_hash"]).select(F.col("__id").alias("id"), "cluster", "chunks", "shingles")
     links = _in_chunk_pairs(sets, "chunks", ["cluster"]).mapInArrow(exactly, "a long, b long")
     linked = components(spark, links).select(F.col("node").alias("id"), "component")
     found = classes.join(linked, "id", "left").select("s1", "s2", "n", F.coalesce("component", "id").alias("component"))
