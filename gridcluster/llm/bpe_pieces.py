@@ -173,3 +173,15 @@ class PieceEncoder:
         for i, ids in zip(np.nonzero(whole)[0], direct):
             out[start[i] : start[i] + len(ids)] = ids
         return lengths, out
+
+
+_WORKER: dict[int, PieceEncoder] = {}
+
+
+def encoder_of(tokenizer: bytes) -> PieceEncoder:
+    """One encoder a worker and vocabulary, so that pieces of earlier tasks are known."""
+    key = hash(tokenizer)
+    if key not in _WORKER:
+        _WORKER.clear()
+        _WORKER[key] = PieceEncoder(tokenizer)
+    return _WORKER[key]

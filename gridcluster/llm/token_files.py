@@ -16,7 +16,7 @@ from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
 from ..session import materialise, shared_dir
-from .bpe_pieces import PieceEncoder
+from .bpe_pieces import encoder_of
 from .common import slices, texts
 
 # Fixed values of the code: for each 4-bit selector, values a word and bits a value (60 payload bits).
@@ -199,7 +199,7 @@ def encode_to_files(spark: SparkSession, docs: DataFrame, tokenizer: bytes, end_
     shared = spark.sparkContext.broadcast(tokenizer)  # a vocabulary file: a few MB, whatever the data
 
     def write(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        encoder, part = PieceEncoder(shared.value), TaskContext.get().partitionId()
+        encoder, part = encoder_of(shared.value), TaskContext.get().partitionId()
         where, base = fs.FileSystem.from_uri(root)
         where.create_dir(base, recursive=True)
         piece, out, made = 0, None, []
@@ -210,7 +210,7 @@ def encode_to_files(spark: SparkSession, docs: DataFrame, tokenizer: bytes, end_
             made.append((part, piece, f"{root}/{out.path.rsplit('/', 1)[1]}", sum(map(len, out.docs)), out.n_ids))
             out, piece = None, piece + 1
 
-        for s in slices(batches, "text"):
+        for s in slices(batches, "text", 6 << 20):
             lengths, ids = encoder.encode(texts(s), end_id)
             out = out or FileWriter(where, f"{base}/{part:06d}-{piece:04d}-{uuid.uuid4().hex[:12]}.tok")
             out.add(s.column("doc_id").fill_null(-(1 << 63)).to_numpy(), lengths, ids)
