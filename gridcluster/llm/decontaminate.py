@@ -12,8 +12,8 @@ from pyspark.sql import functions as F
 
 from .common import coded, mix64, slices, split_words, texts
 
-#: Masks over token positions; 0 is ignored. Weights 7 to 9 of spans up to 13, so that single substituted tokens fall into the gaps of some mask.
-MASKS = ("11011011011", "1110010110111", "1101100111011", "11111111")
+#: Masks over token positions; 0 is ignored. Weights 8 and 9 of spans 8 to 13, so that single substituted tokens fall into the gaps of some mask.
+MASKS = ("11111111", "111101111", "11101110111", "11011011011", "1110010110111")
 #: An overlap counts when at least so many tokens on one diagonal agree, and so large a share of the aligned stretch.
 MIN_MATCHES, MIN_SHARE = 12, 0.8
 #: Bytes of benchmark text that go to the executors at once; a larger benchmark is taken in blocks of this size.
@@ -111,16 +111,17 @@ class BenchmarkIndex:
 
 
 def best_stretch(same: np.ndarray, share: float) -> tuple[int, int, int]:
-    """The stretch of a diagonal with the largest weight, agreements counting for it and others against it so that its share of agreements, and that of its ends, is at least `share`."""
-    against = share / (1 - share)
-    weight = np.where(same, 1.0, -against)
-    total = np.concatenate([[0.0], np.cumsum(weight)])
-    low = np.minimum.accumulate(total)
-    end = int(np.argmax(total - low))
-    if end == 0:
+    """The longest stretch of a diagonal in which at least `share` of the tokens agree, its ends agreeing: begin, end, agreements."""
+    percent = round(100 * share)
+    total = np.concatenate([[0], np.cumsum(100 * same.astype(np.int64) - percent)])
+    # from each begin the last end with no smaller sum: suffix maxima fall, so one search finds it
+    best = np.maximum.accumulate(total[::-1])[::-1]
+    ends = np.searchsorted(-best, -total, side="right") - 1
+    begin = int(np.argmax(ends - np.arange(len(total))))
+    inside = np.nonzero(same[begin : ends[begin]])[0]
+    if not len(inside):
         return 0, 0, 0
-    begin = int(np.argmin(total[: end + 1]))
-    return begin, end, int(same[begin:end].sum())
+    return begin + int(inside[0]), begin + int(inside[-1]) + 1, len(inside)
 
 
 def benchmark_blocks(benchmark: DataFrame, item_col: str, text_col: str, block_bytes: int = BLOCK_BYTES) -> Iterator[list[tuple[int, str]]]:
@@ -136,7 +137,7 @@ def benchmark_blocks(benchmark: DataFrame, item_col: str, text_col: str, block_b
 def contaminated_spans(spark: SparkSession, docs: DataFrame, benchmark: DataFrame, id_col: str = "doc_id", text_col: str = "text", item_col: str = "item_id", item_text_col: str = "text", masks: tuple[str, ...] = MASKS, min_matches: int = MIN_MATCHES, min_share: float = MIN_SHARE, block_bytes: int = BLOCK_BYTES) -> DataFrame:
     """Overlaps of documents with benchmark items: doc_id, item_id, first_token, n_tokens, n_same.
 
-    A hit of a mask fixes a diagonal; along it the heaviest stretch with at least `min_share` agreeing
+    A hit of a mask fixes a diagonal; along it the longest stretch with at least `min_share` agreeing
     tokens is taken. It counts with `min_matches` agreeing tokens, or all of a shorter item.
     Null or empty texts and items have no overlap; null item ids are left out; repeated rows give
     their overlaps once each. The benchmark's seeds go to the executors in blocks of proven size,

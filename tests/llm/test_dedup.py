@@ -108,7 +108,7 @@ def test_copies_and_repeats_within_a_text(spark):
 ITEM = "what is the name of the small river that runs past the old mill near the town of green hills"
 
 
-@pytest.mark.parametrize("every", [None, 9, 6])
+@pytest.mark.parametrize("every", [None, 9, 6, 5])
 def test_leaks_are_found_with_substitutions(spark, every):
     w = ITEM.split()
     if every:
@@ -128,6 +128,53 @@ def test_leaks_are_found_with_substitutions(spark, every):
     assert decontaminate.drop_contaminated(spark, docs, bench.limit(0)).count() == 5
 
 
+def test_stretch_by_brute_force():
+    import numpy as np
+
+    rng = np.random.default_rng(2)
+    for _ in range(300):
+        same = rng.random(rng.integers(1, 30)) < 0.75
+        begin, end, good = decontaminate.best_stretch(same, 0.8)
+        spans = [(j - i, i, j) for i in range(len(same)) for j in range(i + 1, len(same) + 1) if 100 * same[i:j].sum() >= 80 * (j - i)]
+        if not spans:
+            assert good == 0
+            continue
+        longest = max(s[0] for s in spans)
+        assert 100 * good >= 80 * (end - begin) and good == same[begin:end].sum() and same[begin] and same[end - 1]
+        assert good >= 0.8 * longest - 1e-9
+
+
+def test_hits_are_brute_force(spark):
+    """Every pair whose best diagonal passes is found, on texts with single and regular substitutions."""
+    import numpy as np
+    import pyarrow as pa
+
+    rng = random.Random(5)
+    vocab = [f"v{i}" for i in range(80)]
+    items = [(i, " ".join(rng.choice(vocab) for _ in range(rng.randint(14, 40)))) for i in range(12)]
+    docs = []
+    for i in range(60):
+        w = [rng.choice(vocab) for _ in range(rng.randint(0, 30))]
+        if i % 2:
+            leak = rng.choice(items)[1].split()
+            for _ in range(rng.randint(0, 2)):
+                leak[rng.randrange(len(leak))] = "zz"
+            w = w + leak + [rng.choice(vocab) for _ in range(10)]
+        docs.append(" ".join(w))
+    index = decontaminate.BenchmarkIndex(items)
+    got = {(h[0], h[1]) for h in index.hits(pa.array(docs))}
+    want = set()
+    for r, t in enumerate(docs):
+        d = np.array(t.split(), dtype=object)
+        for q, (_, text) in enumerate(items):
+            x = np.array(text.split(), dtype=object)
+            for shift in range(-len(x) + 1, len(d)):
+                lo, hi = max(0, -shift), min(len(x), len(d) - shift)
+                if hi > lo and decontaminate.best_stretch(np.array(x[lo:hi] == d[lo + shift : hi + shift], dtype=bool), 0.8)[2] >= 12:
+                    want.add((r, q))
+    assert got == want and want
+
+
 def test_chat_collapse(spark):
     say = lambda c, *texts: [(c, i, "user" if i % 2 == 0 else "assistant", t) for i, t in enumerate(texts)]
     rows = say(1, "a", "b") + say(2, "a", "b", "c") + say(3, "a", "b", "c") + say(4, "a", "x") + say(5, None) + say(6, "a")
