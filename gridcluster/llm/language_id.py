@@ -185,7 +185,7 @@ def predict_languages(spark: SparkSession, docs: DataFrame, model: LanguageModel
     shared = spark.sparkContext.broadcast(model)  # bounded by languages x reference characters
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for piece in slices(batches, "text", 12 << 20):
+        for piece in slices(batches, "text", 4 << 20):
             langs, score = shared.value.predict(texts(piece))
             yield pa.RecordBatch.from_arrays([piece.column("doc_id"), piece.column("held_out"), pa.array(langs, pa.string()), pa.array(score)], names=["doc_id", "held_out", "lang_pred", "score"])
 

@@ -202,7 +202,7 @@ def sentence_piece_digests(spark: SparkSession, docs: DataFrame, model: bytes, i
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         encoder = encoder_of(shared.value)
-        for piece in slices(batches, "text", 12 << 20):
+        for piece in slices(batches, "text", 6 << 20):
             text = texts(piece)
             lengths, ids = encoder.encode(text)
             ends = np.cumsum(lengths)
