@@ -5,6 +5,7 @@ from __future__ import annotations
 import hashlib
 import heapq
 import re
+from array import array
 from collections.abc import Iterator
 
 import numpy as np
@@ -17,7 +18,7 @@ from .common import coded, flat_split, row_of, slices, texts
 
 SPACE = "▁"
 #: Distinct words and token pairs that a worker keeps.
-WORDS, PAIRS = 1_000_000, 1_000_000
+WORDS, PAIRS = 800_000, 500_000
 _WORD = re.compile(f"{SPACE}+[^{SPACE}]*|[^{SPACE}]+")
 
 
@@ -60,8 +61,8 @@ class MergeEncoder:
                 self.reachable.add(p)
                 self.automaton.add_word(p, len(p))
         self.automaton.make_automaton()
-        self.pairs: dict[tuple[str, str], bool] = {}
-        self.words: dict[str, tuple[int, ...]] = {}
+        self.pairs: dict[str, bool] = {}
+        self.words: dict[str, bytes] = {}  # ids as 32-bit integers
         self.shorter = {p: next((p[:k] for k in range(len(p) - 1, 0, -1) if p[:k] in self.reachable), "") for p in self.reachable}
 
     def remerge(self, text: str) -> list[str]:
@@ -90,7 +91,7 @@ class MergeEncoder:
         return [p for p in parts if p is not None]
 
     def compatible(self, a: str, b: str) -> bool:
-        key = (a, b)
+        key = f"{a} {b}"  # no entry holds a blank
         ok = self.pairs.get(key)
         if ok is None:
             if len(self.pairs) >= PAIRS:
@@ -130,7 +131,7 @@ class MergeEncoder:
                 size[begin] = length
         return [word[i : i + k] for i, k in enumerate(size)]
 
-    def word_ids(self, word: str) -> tuple[int, ...]:
+    def word_ids(self, word: str) -> bytes:
         if word.startswith(SPACE * 2):  # marks in a row have equal scores: merged outright
             parts = self.remerge(word)
         else:
@@ -139,7 +140,7 @@ class MergeEncoder:
         for p in parts:
             i = self.ids.get(p)
             out.extend((i,) if i is not None else (self.byte_ids[b] for b in p.encode()))
-        return tuple(out)
+        return array("I", out).tobytes()
 
     def encode(self, text: pa.Array) -> tuple[np.ndarray, np.ndarray]:
         """Lengths per text and all ids in a row, each text between begin and end id."""
@@ -165,8 +166,8 @@ class MergeEncoder:
             if ids is None:
                 ids = cache[w] = self.word_ids(SPACE + w)
             found.append(ids)
-        sizes = np.fromiter(map(len, found), dtype=np.int64, count=len(found))
-        values = np.fromiter((i for ids in found for i in ids), dtype=np.uint32, count=int(sizes.sum()))
+        sizes = np.fromiter(map(len, found), dtype=np.int64, count=len(found)) // 4
+        values = np.frombuffer(b"".join(found), dtype=np.uint32)
         begins, per = np.cumsum(sizes) - sizes, sizes[codes]
         total = np.concatenate([[0], np.cumsum(per)])
         lengths = total[offsets[1:]] - total[offsets[:-1]] + 2
