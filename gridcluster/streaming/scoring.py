@@ -28,9 +28,16 @@ def score(points: DataFrame, centers: np.ndarray, matrix: np.ndarray | None = No
     return kmeans.assign(points.withColumn("__z", z), centers, "__z").drop("__z")
 
 
+def _watermarked(stream: DataFrame, time: str, delay: str) -> DataFrame:
+    """A watermark needs a timestamp: one without a zone is taken as of the session's zone."""
+    if dict(stream.dtypes)[time] == "timestamp_ntz":
+        stream = stream.withColumn(time, F.col(time).cast("timestamp"))
+    return stream.withWatermark(time, delay)
+
+
 def label_counts(scored: DataFrame, kind: str = "tumbling", size: str = "1 hour", slide: str = "15 minutes", gap: str = "30 minutes", watermark: str | None = "10 minutes", time: str = "ts", label: str = "pred", key: str = "user_id") -> DataFrame:
     """Rows by label and window; sessions are per key. The watermark bounds the state of a stream."""
-    df = scored.withWatermark(time, watermark) if watermark and scored.isStreaming else scored
+    df = _watermarked(scored, time, watermark) if watermark and scored.isStreaming else scored
     if kind == "tumbling":
         w, by = F.window(time, size), [label]
     elif kind == "sliding":
@@ -46,7 +53,7 @@ def dedup(stream: DataFrame, key: str = "event_id", time: str = "ts", watermark:
     """First row a key within the watermark on a stream; on a table plain distinct keys."""
     if not stream.isStreaming:
         return stream.dropDuplicates([key])
-    return stream.withWatermark(time, watermark).dropDuplicatesWithinWatermark([key])
+    return _watermarked(stream, time, watermark).dropDuplicatesWithinWatermark([key])
 
 
 def late_splitter(on_time: Callable[[DataFrame, int], None], late: Callable[[DataFrame, int], None], delay_seconds: int = 600, time: str = "ts") -> Callable[[DataFrame, int], None]:
