@@ -59,6 +59,7 @@ def dedup(stream: DataFrame, key: str = "event_id", time: str = "ts", watermark:
 def late_splitter(on_time: Callable[[DataFrame, int], None], late: Callable[[DataFrame, int], None], delay_seconds: int = 600, time: str = "ts") -> Callable[[DataFrame, int], None]:
     """A foreachBatch function that writes rows older than the greatest time seen, less the delay, aside."""
     seen = {"max": None}
+    at = F.col(time).cast("timestamp")  # what comes back as a literal is a timestamp, too
 
     def run(batch: DataFrame, number: int) -> None:
         batch = batch.persist()
@@ -67,9 +68,9 @@ def late_splitter(on_time: Callable[[DataFrame, int], None], late: Callable[[Dat
             on_time(batch, number)
         else:
             cut = F.lit(limit) - F.make_interval(secs=F.lit(delay_seconds))
-            on_time(batch.where(F.col(time) >= cut), number)
-            late(batch.where(F.col(time) < cut), number)
-        top = batch.agg(F.max(time)).first()[0]
+            on_time(batch.where(at >= cut), number)
+            late(batch.where(at < cut), number)
+        top = batch.agg(F.max(at)).first()[0]
         if top is not None:
             seen["max"] = top if limit is None else max(limit, top)
         batch.unpersist()

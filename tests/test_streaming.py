@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import numpy as np
+import pytest
 from pyspark.sql import functions as F
 
 from gridcluster.functions import features
@@ -62,15 +63,24 @@ def test_running_centers(spark, small, tmp_path):
         assert last[r["pred"]]["n"] == r["n"] and abs(last[r["pred"]]["c"][0] - r["m"]) < 1e-9
 
 
-def test_late_rows_go_aside(spark):
+@pytest.mark.parametrize("kind", ["timestamp", "timestamp_ntz"])
+def test_late_rows_go_aside(spark, monkeypatch, kind):
     import datetime as dt
+    import time
 
+    if kind == "timestamp_ntz":  # a driver in another zone than the session
+        monkeypatch.setenv("TZ", "Asia/Tokyo")
+        time.tzset()
     t = dt.datetime(2024, 1, 1, 12)
     good, late = [], []
     split = scoring.late_splitter(lambda d, i: good.extend(r["k"] for r in d.collect()), lambda d, i: late.extend(r["k"] for r in d.collect()), 600)
-    rows = lambda *x: spark.createDataFrame([(k, t + dt.timedelta(seconds=s)) for k, s in x], "k int, ts timestamp")
-    split(rows((1, 0), (2, 1000)), 0)
-    split(rows((3, 500), (4, 100), (5, 2000)), 1)
+    rows = lambda *x: spark.createDataFrame([(k, t + dt.timedelta(seconds=s)) for k, s in x], f"k int, ts {kind}")
+    try:
+        split(rows((1, 0), (2, 1000)), 0)
+        split(rows((3, 500), (4, 100), (5, 2000)), 1)
+    finally:
+        monkeypatch.undo()
+        time.tzset()
     assert sorted(good) == [1, 2, 3, 5] and late == [4]
 
 
