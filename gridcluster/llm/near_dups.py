@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import math
 from collections.abc import Iterator
 
 import numpy as np
@@ -16,16 +17,28 @@ from .components import components
 
 #: Retained values of a sketch; of these, so many smallest ones go into the inverted lists.
 SKETCH, INDEXED = 48, 24
-#: Of INDEXED values a linked pair shares at least this part, but for a chance below one in a million.
-SHARED_PART = 9 / 16
-#: How far a union-sketch estimate may lie below the limit: over four standard deviations.
-SLACK = 0.25
+#: The chance that a pair at the limit shares fewer values than is asked for.
+LOST = 1e-6
 #: Members (and their shingles) that one task compares at once; longer lists are taken in pairs of chunks.
 CHUNK, CHUNK_SHINGLES = 2048, 3_000_000
 #: Bits of the membership filter at most, as a power of two: 4 MB.
 FILTER_BITS = 25
 
 
+def shared_values(k: int, percent: int) -> int:
+    """How many of k values a pair at the limit shares at least, but for a chance of LOST; one at least.
+
+    When one set holds the other (a text cut short), each of the larger one's smallest values is shared
+    with a chance of the Jaccard share: the binomial case. Sets of like size share more.
+    """
+    j, below = percent / 100, 0.0
+    for m in range(k + 1):
+        below += math.comb(k, m) * j**m * (1 - j) ** (k - m)
+        if below > LOST:
+            return max(1, m)
+    return max(1, k)
+
+
 def shingle_hashes(text: pa.Array, words: int) -> tuple[np.ndarray, np.ndarray]:
     """Hashes of all word shingles of each text, and where each text's begin; a shorter text is one shingle."""
     flat, offsets = split_words(text, lower=True)
@@ -212,10 +225,11 @@ def near_classes(spark: SparkSession, docs: DataFrame, words: int, percent: int,
     counts = materialise(spark, entries.groupBy("v").agg(F.count(F.lit(1)).alias("c")).where("c > 1"), "value-counts")
     shared = entries.join(counts, "v").groupBy("id", "s1", "s2", "k").agg(F.sort_array(F.collect_list(F.struct("c", "v"))).alias("own"))
     # what is in no other sketch comes first in the order and finds no partner
-    prefix = F.col("k") - F.greatest(F.lit(1), F.ceil(F.col("k") * SHARED_PART)).cast("int") + 1 - (F.col("k") - F.size("own"))
+    need = F.element_at(F.array(*(F.lit(shared_values(k, percent)) for k in range(1, INDEXED + 1))), F.col("k").cast("int"))
+    prefix = F.col("k") - need + 1 - (F.col("k") - F.size("own"))
     chosen = shared.withColumn("take", prefix).where("take > 0").select("id", "s1", "s2", F.explode(F.slice("own", F.lit(1), F.col("take"))).alias("e")).select("id", "s1", "s2", F.col("e.v").alias("v"), F.ceil(F.col("e.c") / CHUNK).cast("long").alias("chunks"))
     sketched = chosen.join(members, ["id", "s1", "s2"])
-    least = percent / 100 - SLACK
+    least = shared_values(SKETCH, percent) / SKETCH
 
     def loosely(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for g in whole_groups(batches, ["v", "c1", "c2"]):
