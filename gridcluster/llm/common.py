@@ -104,6 +104,19 @@ def document_key(id_col: str, text_col: str) -> list[Column]:
     return [F.coalesce(F.col(id_col), F.lit(-(1 << 63))).alias("__id"), F.xxhash64(F.coalesce(F.col(text_col), F.lit(""))).alias("__text_hash")]
 
 
+def packed(docs: DataFrame, id_col: str, text_col: str) -> DataFrame:
+    """__doc (all columns of docs in one, so that no name can clash), __id, __text_hash."""
+    return docs.select(F.struct(*(F.col(f"`{c}`") for c in docs.columns)).alias("__doc"), *document_key(id_col, text_col))
+
+
+def free_name(name: str, taken: list[str]) -> str:
+    """name, with as many underscores behind it as no taken name (case aside) needs."""
+    low = {t.lower() for t in taken}
+    while name.lower() in low:
+        name += "_"
+    return name
+
+
 def crc_bucket(id_col: str, buckets: int) -> Column:
     """crc32 of the id as text, modulo buckets; a null id counts as empty text."""
     return F.pmod(F.crc32(F.coalesce(F.col(id_col).cast("string"), F.lit(""))), F.lit(buckets)).cast("int")

@@ -12,15 +12,15 @@ from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ..session import materialise
-from .common import coded, document_key, mix64, slices, split_words, string_hash, texts
+from .common import coded, document_key, mix64, packed, slices, split_words, string_hash, texts
 from .components import components
 
 #: Retained values of a sketch; of these, so many smallest ones go into the inverted lists.
 SKETCH, INDEXED = 48, 24
-#: The chance that a pair at the limit shares fewer values than is asked for.
-LOST = 1e-6
-#: Members (and their shingles) that one task compares at once; longer lists are taken in pairs of chunks.
-CHUNK, CHUNK_SHINGLES = 2048, 3_000_000
+#: The chance that a pair at the limit shares fewer values than is asked for, by sketch or by list.
+LOST = 1e-9
+#: Members (and their shingles) of a chunk; longer lists and clusters are compared chunk by chunk.
+CHUNK, CHUNK_SHINGLES = 512, 1_000_000
 #: Bits of the membership filter at most, as a power of two: 4 MB.
 FILTER_BITS = 25
 
@@ -105,7 +105,7 @@ def whole_groups(batches: Iterator[pa.RecordBatch], keys: list[str]) -> Iterator
         yield pa.Table.from_batches(held)
 
 
-def spanning_links(ids: np.ndarray, flat: np.ndarray, offsets: np.ndarray, similar) -> list[tuple[int, int]]:
+def spanning_links(ids: np.ndarray, similar) -> list[tuple[int, int]]:
     """Links that join each component of `similar` to one member, by a search that compares each
     reached member with the members not reached yet only. similar(x, rest) -> mask over rest.
 
@@ -134,8 +134,8 @@ def _segments(flat: np.ndarray, offsets: np.ndarray, rows: np.ndarray) -> tuple[
     return flat[np.repeat(offsets[rows] - begin[:-1], size) + np.arange(int(begin[-1]))], begin
 
 
-def loose_links(ids: np.ndarray, flat: np.ndarray, offsets: np.ndarray, sizes: np.ndarray, least: float) -> list[tuple[int, int]]:
-    """Spanning links of pairs whose union-sketch estimate is at least `least`.
+def alike_by_sketch(flat: np.ndarray, offsets: np.ndarray, sizes: np.ndarray, least: float):
+    """similar(x, rest) by the union-sketch estimate, which has to be at least `least`.
 
     Both sketches hold every value of their sets up to the smaller of their largest values (all values
     where a set is no larger than a sketch); over those the share of common values estimates Jaccard.
@@ -155,11 +155,11 @@ def loose_links(ids: np.ndarray, flat: np.ndarray, offsets: np.ndarray, sizes: n
         mine = np.searchsorted(own, limit, side="right")
         return common >= least * (mine + theirs - common)
 
-    return spanning_links(ids, flat, offsets, similar)
+    return similar
 
 
-def exact_links(ids: np.ndarray, flat: np.ndarray, offsets: np.ndarray, percent: int) -> list[tuple[int, int]]:
-    """Spanning links of pairs with 100 * intersection >= percent * union, on full sets."""
+def alike_exactly(flat: np.ndarray, offsets: np.ndarray, percent: int):
+    """similar(x, rest): 100 * intersection >= percent * union, on full sets."""
     size = np.diff(offsets)
 
     def similar(x: int, rest: np.ndarray) -> np.ndarray:
@@ -174,14 +174,87 @@ def exact_links(ids: np.ndarray, flat: np.ndarray, offsets: np.ndarray, percent:
             out[out] = 100 * common >= percent * (size[near] + size[x] - common)
         return out
 
-    return spanning_links(ids, flat, offsets, similar)
+    return similar
 
 
-def _in_chunk_pairs(rows: DataFrame, chunks: str, keys: list[str]) -> DataFrame:
-    """Deals the members of a long list to all pairs of its chunks: columns c1 <= c2 join the keys."""
-    own = F.pmod(F.xxhash64("id"), F.col(chunks))
-    dealt = rows.withColumn("own", own).withColumn("other", F.explode(F.sequence(F.lit(0).cast("long"), F.col(chunks) - 1)))
-    return dealt.withColumn("c1", F.least("own", "other")).withColumn("c2", F.greatest("own", "other")).drop("own", "other", chunks).repartition(*keys, "c1", "c2").sortWithinPartitions(*keys, "c1", "c2", "id")
+def joining_links(ids: np.ndarray, label: np.ndarray, role: np.ndarray, similar) -> list[tuple[int, int]]:
+    """Links of probes (role 1 or 2) to members (role 0 or 2) that aren't in one component yet.
+
+    A probe that finds members of another component is tied to one of them, and the two count as one
+    component from then on; members of its own component are not compared.
+    """
+    label, out = label.copy(), []
+    member = role != 1
+    for x in np.nonzero(role > 0)[0]:
+        rest = np.nonzero(member & (label != label[x]))[0]
+        if not len(rest):
+            continue
+        for y in rest[similar(x, rest)]:
+            if label[y] != label[x]:
+                out.append((int(ids[x]), int(ids[y])))
+                label[label == label[y]] = label[x]
+    return out
+
+
+def _searched(rows: DataFrame, keys: list[str], values: str, search) -> DataFrame:
+    """Links a, b that `search` finds among the rows of each group of keys."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for g in whole_groups(batches, keys):
+            if g.num_rows < 2:
+                continue
+            flat, offsets = _array(g, values)
+            found = search(g, flat, offsets)
+            if found:
+                yield pa.RecordBatch.from_arrays(list(map(pa.array, np.array(found, dtype=np.int64).T)), names=["a", "b"])
+
+    return rows.repartition(*keys).sortWithinPartitions(*keys, "id").mapInArrow(run, "a long, b long")
+
+
+def in_chunks(rows: DataFrame, key: str) -> DataFrame:
+    """Deals each group of `key` to chunks: adds `chunk`; rows: key, id, w (share of a chunk) and others.
+
+    A group's least id is in each of its chunks, so that groups of copies of one text come together here.
+    """
+    sizes = rows.groupBy(key).agg(F.ceil(F.sum("w")).cast("long").alias("chunks"), F.min("id").alias("pivot"), F.count(F.lit(1)).alias("size")).where("size > 1").drop("size")
+    own = F.pmod(F.xxhash64("id"), F.col("chunks"))
+    chunk = F.when(F.col("id") == F.col("pivot"), F.sequence(F.lit(0).cast("long"), F.col("chunks") - 1)).otherwise(F.array(own))
+    return rows.join(sizes, key).withColumn("chunk", F.explode(chunk)).drop("chunks", "pivot", "w")
+
+
+def local_links(dealt: DataFrame, key: str, values: str, similar) -> DataFrame:
+    """Spanning links inside each chunk of each group."""
+    return _searched(dealt, [key, "chunk"], values, lambda g, flat, offsets: spanning_links(g["id"].to_numpy(), similar(g, flat, offsets)))
+
+
+def open_groups(rows: DataFrame, key: str) -> DataFrame:
+    """key, chunks, probe_chunks, top: the groups that hold several components, and the one with most members.
+
+    Only members outside `top` have to be compared with all others: those in it are linked already.
+    """
+    sizes = rows.groupBy(key, "component").agg(F.sum("w").alias("w"), F.count(F.lit(1)).alias("n"))
+    by = sizes.groupBy(key).agg(F.sum("w").alias("w"), F.max(F.struct("n", "component", "w")).alias("top"), F.count(F.lit(1)).alias("parts")).where("parts > 1")
+    return by.select(key, F.ceil("w").cast("long").alias("chunks"), F.greatest(F.ceil(F.col("w") - F.col("top.w")), F.lit(1)).cast("long").alias("probe_chunks"), F.col("top.component").alias("top"))
+
+
+def across_chunks(rows: DataFrame, key: str) -> DataFrame:
+    """Deals members and probes of open groups: adds c1, c2, role; rows: key, id, component, chunks, probe_chunks, top and others.
+
+    Members go once to each chunk of probes, probes once to each chunk of members: no pair is left out
+    but those whose two sides are in the group's largest component.
+    """
+    probe = F.col("component") != F.col("top")
+    upto = lambda c: F.sequence(F.lit(0).cast("long"), F.col(c) - 1)
+    own, at = F.pmod(F.xxhash64("id"), F.col("chunks")), F.pmod(F.xxhash64(F.lit(5), "id"), F.col("probe_chunks"))
+    single = (F.col("chunks") == 1) & (F.col("probe_chunks") == 1)
+    as_member = F.transform(upto("probe_chunks"), lambda b: F.struct(own.alias("c1"), b.alias("c2"), F.when(single & probe, 2).otherwise(0).alias("role")))
+    as_probe = F.when(probe & ~single, F.transform(upto("chunks"), lambda a: F.struct(a.alias("c1"), at.alias("c2"), F.lit(1).alias("role")))).otherwise(F.expr("CAST(array() AS ARRAY<STRUCT<c1: BIGINT, c2: BIGINT, role: INT>>)"))
+    return rows.withColumn("to", F.explode(F.concat(as_member, as_probe))).select("*", "to.*").drop("to", "chunks", "probe_chunks", "top", "w")
+
+
+def crossing_links(dealt: DataFrame, key: str, values: str, similar) -> DataFrame:
+    """Links between the components of each group."""
+    return _searched(dealt, [key, "c1", "c2"], values, lambda g, flat, offsets: joining_links(g["id"].to_numpy(), g["component"].to_numpy(), g["role"].to_numpy(), similar(g, flat, offsets)))
 
 
 def _array(table: pa.Table, name: str) -> tuple[np.ndarray, np.ndarray]:
@@ -205,93 +278,127 @@ def member_filter(members: DataFrame, keys: list[str]) -> tuple[np.ndarray, Colu
     return out, slot
 
 
-def near_classes(spark: SparkSession, docs: DataFrame, words: int, percent: int, id_col: str = "doc_id", text_col: str = "text") -> tuple[DataFrame, DataFrame]:
-    """Sketch table of all documents, and the component of each class of equal sets: s1, s2, n, component.
+def _labelled(rows: DataFrame, found: DataFrame) -> DataFrame:
+    """Adds the component of each id; an id without a link is its own."""
+    return rows.join(found.select(F.col("node").alias("id"), "component"), "id", "left").withColumn("component", F.coalesce("component", "id"))
 
-    1. Equal sets collapse to the least id, whatever their number.
-    2. Inverted lists hold, for each class, those of its smallest values that are rarest: if two sets
-       share enough of their values, they share one of these. So a passage or shingle that is in very
-       many documents gives no list for documents that have other content.
-    3. In each list, members whose union-sketch estimate is near the limit are linked loosely.
-    4. In each loose component, full sets are compared exactly.
-    Lists and components beyond a chunk are compared in pairs of chunks: no cap, no pair is left out.
+
+def loose_components(spark: SparkSession, members: DataFrame, percent: int) -> DataFrame:
+    """node, component over pairs that share enough of their sketches; members: id, n, s1, s2, sketch.
+
+    Inverted lists hold, for each class, those of its smallest values that are rarest: if two sets
+    share enough of their values, they share one of these. So a passage or shingle that is in very
+    many documents gives no list for documents that have other content.
+    First each class is looked up in the list of its rarest value alone. That joins groups of copies, so
+    of all lists only those that still hold several components are dealt out with their sketches.
     """
-    table = materialise(spark, sketches(docs, id_col, text_col, words), "sketches")
-    classes = table.where("n > 0").groupBy("s1", "s2", "n").agg(F.min("__id").alias("id"))
-    classes = materialise(spark, classes, "classes")
-    members = table.select("s1", "s2", "n", F.col("__id").alias("id"), "sketch").join(classes, ["s1", "s2", "n", "id"], "left_semi").dropDuplicates(["s1", "s2", "id"]).select("id", "n", "s1", "s2", "sketch")
-    members = materialise(spark, members, "members")
     entries = members.select("id", "s1", "s2", F.least(F.size("sketch"), F.lit(INDEXED)).alias("k"), F.explode(F.slice("sketch", 1, INDEXED)).alias("v"))
     counts = materialise(spark, entries.groupBy("v").agg(F.count(F.lit(1)).alias("c")).where("c > 1"), "value-counts")
     shared = entries.join(counts, "v").groupBy("id", "s1", "s2", "k").agg(F.sort_array(F.collect_list(F.struct("c", "v"))).alias("own"))
     # what is in no other sketch comes first in the order and finds no partner
     need = F.element_at(F.array(*(F.lit(shared_values(k, percent)) for k in range(1, INDEXED + 1))), F.col("k").cast("int"))
     prefix = F.col("k") - need + 1 - (F.col("k") - F.size("own"))
-    chosen = shared.withColumn("take", prefix).where("take > 0").select("id", "s1", "s2", F.explode(F.slice("own", F.lit(1), F.col("take"))).alias("e")).select("id", "s1", "s2", F.col("e.v").alias("v"), F.ceil(F.col("e.c") / CHUNK).cast("long").alias("chunks"))
-    sketched = chosen.join(members, ["id", "s1", "s2"])
+    taken = shared.withColumn("take", prefix).where("take > 0").select("id", "s1", "s2", F.posexplode(F.slice("own", F.lit(1), F.col("take"))).alias("rank", "e"))
+    chosen = materialise(spark, taken.select("id", "s1", "s2", "rank", F.col("e.v").alias("v"), F.lit(1.0 / CHUNK).alias("w")), "lists")
     least = shared_values(SKETCH, percent) / SKETCH
+    payload = members.select("id", "s1", "s2", "n", "sketch")
+    similar = lambda g, flat, offsets: alike_by_sketch(flat, offsets, g["n"].to_numpy(), least)
+    first = in_chunks(chosen.where("rank = 0").drop("rank"), "v").join(payload, ["id", "s1", "s2"])
+    found = components(spark, local_links(first, "v", "sketch", similar))
+    labelled = materialise(spark, _labelled(chosen.drop("rank"), found), "labelled-lists")
+    crossing = across_chunks(labelled.join(open_groups(labelled, "v"), "v"), "v").join(payload, ["id", "s1", "s2"])
+    more = crossing_links(crossing, "v", "sketch", similar)
+    return components(spark, found.select(F.col("node").alias("a"), F.col("component").alias("b")).unionAll(more))
 
-    def loosely(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for g in whole_groups(batches, ["v", "c1", "c2"]):
-            if g.num_rows < 2:
-                continue
-            flat, offsets = _array(g, "sketch")
-            found = loose_links(g["id"].to_numpy(), flat, offsets, g["n"].to_numpy(), least)
-            if found:
-                yield pa.RecordBatch.from_arrays(list(map(pa.array, np.array(found, dtype=np.int64).T)), names=["a", "b"])
 
-    dealt = _in_chunk_pairs(sketched.select("id", "n", "v", "sketch", "chunks"), "chunks", ["v"])
-    loose = components(spark, dealt.mapInArrow(loosely, "a long, b long"))
-    loose = loose.select(F.col("node").alias("__id"), F.col("component").alias("cluster"))
-    reps = members.select(F.col("id").alias("__id"), "s1", "s2", "n").join(loose, "__id")
-    # chunks by members and by shingles, so that the sets of a pair of chunks fit a task
-    volume = reps.groupBy("cluster").agg(F.greatest(F.ceil(F.count(F.lit(1)) / CHUNK), F.ceil(F.sum("n") / CHUNK_SHINGLES)).cast("long").alias("chunks"))
-    wanted = materialise(spark, reps.join(volume, "cluster").join(table.select("__id", "__text_hash", "s1", "s2").dropDuplicates(["__id", "s1", "s2"]), ["__id", "s1", "s2"]).select("__id", "__text_hash", "cluster", "chunks"), "clusters")
-    bits, slot = member_filter(wanted, ["__id", "__text_hash"])
-    filter_ = spark.sparkContext.broadcast(bits)
-
-    def full(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+def prefix_components(spark: SparkSession, docs: DataFrame, members: DataFrame, words: int, percent: int, id_col: str, text_col: str) -> DataFrame:
+    """node, component without any chance of a miss: sets that may reach the limit share one of the
+    smallest n - ceil(percent * n / 100) + 1 hashes of their full sets. All classes of a list are joined."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for piece in slices(batches, "text"):
-            at = piece.column("slot").to_numpy()
-            maybe = filter_.value[at >> 6] >> (at & 63).astype(np.uint64) & np.uint64(1)
-            piece = piece.filter(pa.array(maybe == 1))
-            if piece.num_rows:
-                yield pa.RecordBatch.from_arrays([piece.column("__id"), piece.column("__text_hash"), _lists(sets_of(texts(piece), words))], names=["__id", "__text_hash", "shingles"])
-
-    def exactly(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for g in whole_groups(batches, ["cluster", "c1", "c2"]):
-            if g.num_rows < 2:
-                continue
-            flat, offsets = _array(g, "shingles")
-            found = exact_links(g["id"].to_numpy(), flat, offsets, percent)
-            if found:
-                yield pa.RecordBatch.from_arrays(list(map(pa.array, np.array(found, dtype=np.int64).T)), names=["a", "b"])
+            heads = [s[: len(s) - -(-percent * len(s) // 100) + 1] for s in sets_of(texts(piece), words)]
+            size = [len(h) for h in heads]
+            row = pa.array(np.repeat(np.arange(len(heads)), size))
+            yield pa.RecordBatch.from_arrays([piece.column("__id").take(row), piece.column("__text_hash").take(row), pa.array(np.concatenate([*heads, np.zeros(0, dtype=np.uint64)]).view(np.int64))], names=["__id", "__text_hash", "v"])
+
+    named = members.select(F.col("id").alias("__id"), "__text_hash")
+    rows = docs.select(*document_key(id_col, text_col), F.col(text_col).alias("text")).join(named, ["__id", "__text_hash"], "left_semi").mapInArrow(run, "__id long, __text_hash long, v long")
+    rows = materialise(spark, rows.select(F.col("__id").alias("id"), "v"), "prefixes")
+    first = rows.groupBy("v").agg(F.min("id").alias("b"), F.max("id").alias("z")).where("b < z").drop("z")
+    return components(spark, rows.join(first, "v").select(F.col("id").alias("a"), "b").where("a != b"))
+
 
-    keyed = docs.select(*document_key(id_col, text_col), F.col(text_col).alias("text")).withColumn("slot", slot)
-    # texts stay where they are; only the sets of members (and of a few others, dropped here) travel
-    sets = keyed.mapInArrow(full, "__id long, __text_hash long, shingles array<long>").join(wanted, ["__id", "__text_hash"]).select(F.col("__id").alias("id"), "cluster", "chunks", "shingles")
-    links = _in_chunk_pairs(sets, "chunks", ["cluster"]).mapInArrow(exactly, "a long, b long")
-    linked = components(spark, links).select(F.col("node").alias("id"), "component")
-    found = classes.join(linked, "id", "left").select("s1", "s2", "n", F.coalesce("component", "id").alias("component"))
+def near_classes(spark: SparkSession, docs: DataFrame, words: int, percent: int, id_col: str = "doc_id", text_col: str = "text", exact: bool = False) -> tuple[DataFrame, DataFrame]:
+    """Sketch table of all documents, and the component of each class of equal sets: s1, s2, n, component.
+
+    1. Equal sets collapse to the least id, whatever their number.
+    2. Loose components by shared sketch values (`loose_components`); a pair at the limit is missed with a
+       chance of 2 * LOST at most, for sets that hold one another (a text cut short) as for others.
+       exact: by prefixes of the full sets instead, without that chance, for more shuffled hashes.
+    3. In each loose component, full sets are compared exactly, chunk by chunk: first inside chunks and
+       with the least member, then what is not in the largest component with all members.
+    No list or component is capped.
+    """
+    table = materialise(spark, sketches(docs, id_col, text_col, words), "sketches")
+    classes = table.where("n > 0").groupBy("s1", "s2", "n").agg(F.min("__id").alias("id"))
+    classes = materialise(spark, classes, "classes")
+    members = table.select("s1", "s2", "n", F.col("__id").alias("id"), "__text_hash", "sketch").join(classes, ["s1", "s2", "n", "id"], "left_semi").dropDuplicates(["s1", "s2", "id"])
+    members = materialise(spark, members, "members")
+    loose = prefix_components(spark, docs, members, words, percent, id_col, text_col) if exact else loose_components(spark, members, percent)
+    weight = F.greatest(F.lit(1.0 / CHUNK), F.col("n") / CHUNK_SHINGLES).alias("w")
+    wanted = materialise(spark, members.select("id", "__text_hash", weight).join(loose.select(F.col("node").alias("id"), F.col("component").alias("cluster")), "id"), "clusters")
+
+    def sets(rows: DataFrame, dealt: DataFrame) -> DataFrame:
+        """dealt with the full sets of the documents in rows; texts stay where they are."""
+        keyed = dealt.withColumnRenamed("id", "__id")
+        bits, slot = member_filter(rows.withColumnRenamed("id", "__id"), ["__id", "__text_hash"])
+        filter_ = spark.sparkContext.broadcast(bits)
+
+        def full(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+            for piece in slices(batches, "text"):
+                at = piece.column("slot").to_numpy()
+                maybe = filter_.value[at >> 6] >> (at & 63).astype(np.uint64) & np.uint64(1)
+                piece = piece.filter(pa.array(maybe == 1))
+                if piece.num_rows:
+                    yield pa.RecordBatch.from_arrays([piece.column("__id"), piece.column("__text_hash"), _lists(sets_of(texts(piece), words))], names=["__id", "__text_hash", "shingles"])
+
+        source = docs.select(*document_key(id_col, text_col), F.col(text_col).alias("text")).withColumn("slot", slot)
+        found = source.mapInArrow(full, "__id long, __text_hash long, shingles array<long>").dropDuplicates(["__id", "__text_hash"])
+        return found.join(keyed, ["__id", "__text_hash"]).drop("__text_hash").withColumnRenamed("__id", "id")
+
+    similar = lambda g, flat, offsets: alike_exactly(flat, offsets, percent)
+    linked = components(spark, local_links(sets(wanted, in_chunks(wanted, "cluster")), "cluster", "shingles", similar))
+    labelled = _labelled(wanted, linked)
+    broken = materialise(spark, labelled.join(open_groups(labelled, "cluster").where("chunks > 1"), "cluster"), "open-clusters")
+    if not broken.isEmpty():
+        more = crossing_links(sets(broken, across_chunks(broken, "cluster")), "cluster", "shingles", similar)
+        linked = components(spark, linked.select(F.col("node").alias("a"), F.col("component").alias("b")).unionAll(more))
+    found = classes.join(linked.select(F.col("node").alias("id"), "component"), "id", "left").select("s1", "s2", "n", F.coalesce("component", "id").alias("component"))
     return table, materialise(spark, found, "components")
 
 
-def near_components(spark: SparkSession, docs: DataFrame, words: int = 5, percent: int = 80, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+def near_components(spark: SparkSession, docs: DataFrame, words: int = 5, percent: int = 80, id_col: str = "doc_id", text_col: str = "text", exact: bool = False) -> DataFrame:
     """One row a document: doc_id, n_shingles, component_id (least id reachable over links), kept.
 
     Linked: 100 * shared distinct shingles >= percent * all, over lower-case (A-Z) word shingles.
     Null, empty or blank texts have no shingle, link with nothing and are kept. Rows that repeat an id
-    share its node. Null ids count as the least id and come back as null.
+    share its node. Null ids count as the least id and come back as null. Other columns of docs, of
+    whatever name, are not looked at; an empty table gives no row. exact: see `near_classes`.
     """
-    table, found = near_classes(spark, docs, words, percent, id_col, text_col)
+    table, found = near_classes(spark, docs, words, percent, id_col, text_col, exact)
     joined = table.select("__id", "__text_hash", "n", "s1", "s2").join(found, ["s1", "s2", "n"], "left").withColumn("component", F.coalesce("component", "__id"))
     real = lambda c: F.when(F.col(c) != -(1 << 63), F.col(c))
     return joined.select(real("__id").alias("doc_id"), F.col("n").alias("n_shingles"), real("component").alias("component_id"), (F.col("__id") == F.col("component")).alias("kept"), "__text_hash")
 
 
-def keep_one_of_each(spark: SparkSession, docs: DataFrame, words: int = 5, percent: int = 80, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """The rows of docs whose id is the least of their component, with all their columns. Rows that agree in id and text are one document and stay together."""
-    table, found = near_classes(spark, docs, words, percent, id_col, text_col)
+def keep_one_of_each(spark: SparkSession, docs: DataFrame, words: int = 5, percent: int = 80, id_col: str = "doc_id", text_col: str = "text", exact: bool = False) -> DataFrame:
+    """The rows of docs whose id is the least of their component, with all their columns, whatever these are named.
+
+    Rows that agree in id and text are one document and stay together. Null ids rank first; null, empty
+    and blank texts stay; an empty table stays empty.
+    """
+    table, found = near_classes(spark, docs, words, percent, id_col, text_col, exact)
     joined = table.select("__id", "__text_hash", "n", "s1", "s2").join(found, ["s1", "s2", "n"], "left")
     gone = joined.where(F.col("component").isNotNull() & (F.col("component") != F.col("__id"))).select("__id", "__text_hash").distinct()
-    return docs.select("*", *document_key(id_col, text_col)).join(gone, ["__id", "__text_hash"], "left_anti").select(*docs.columns)
+    return packed(docs, id_col, text_col).join(gone, ["__id", "__text_hash"], "left_anti").select("__doc.*")
