@@ -52,15 +52,58 @@ def corpus(seed, n=160):
     return rows + [(n, None), (n + 1, ""), (n + 2, " \n "), (n + 3, "two words"), (n + 4, "Two  WORDS")]
 
 
-@pytest.mark.parametrize("words,percent,chunk", [(3, 85, 2048), (5, 80, 2048), (3, 85, 7)])
-def test_components_are_brute_force(spark, monkeypatch, words, percent, chunk):
+@pytest.mark.parametrize("words,percent,chunk,exact", [(3, 85, 512, False), (5, 80, 512, True), (3, 85, 7, False), (5, 80, 3, False)])
+def test_components_are_brute_force(spark, monkeypatch, words, percent, chunk, exact):
     monkeypatch.setattr(near_dups, "CHUNK", chunk)
     rows = corpus(words + chunk)
     docs = spark.createDataFrame([(i, t, "x") for i, t in rows], "doc_id long, text string, n string").repartition(3)
-    got = {r["doc_id"]: (r["n_shingles"], r["component_id"]) for r in near_dups.near_components(spark, docs, words, percent).collect()}
+    got = {r["doc_id"]: (r["n_shingles"], r["component_id"]) for r in near_dups.near_components(spark, docs, words, percent, exact=exact).collect()}
     assert got == brute(rows, words, percent)
 
 
+@pytest.mark.parametrize("percent", [85, 80])
+def test_shortened_copies_at_the_limit_share_enough(percent):
+    """10,000 pairs whose smaller set is part of the larger one, similarity just at the limit: none is lost by lists or sketches."""
+    import numpy as np
+
+    rng, n = np.random.default_rng(percent), 400
+    need, least = near_dups.shared_values(near_dups.INDEXED, percent), near_dups.shared_values(near_dups.SKETCH, percent) / near_dups.SKETCH
+    for _ in range(10_000):
+        whole = np.sort(rng.integers(0, 2**63, n, dtype=np.uint64))
+        part = np.sort(rng.choice(whole, n * percent // 100, replace=False))
+        assert len(np.intersect1d(whole[: near_dups.INDEXED], part[: near_dups.INDEXED])) >= need
+        flat = np.concatenate([whole[: near_dups.SKETCH], part[: near_dups.SKETCH]])
+        similar = near_dups.alike_by_sketch(flat, np.array([0, near_dups.SKETCH, 2 * near_dups.SKETCH]), np.array([n, len(part)]), least)
+        assert similar(0, np.array([1]))[0]
+
+
+@pytest.mark.parametrize("exact", [False, True])
+def test_shortened_copies_are_linked(spark, exact):
+    rng = random.Random(4)
+    rows = []
+    for i in range(150):
+        w = [f"u{i}x{rng.randrange(10**6)}" for _ in range(402)]
+        rows += [(2 * i, " ".join(w)), (2 * i + 1, " ".join(w[: 2 + 340]))]
+    docs = spark.createDataFrame(rows, "doc_id long, text string")
+    got = {r["doc_id"]: r["component_id"] for r in near_dups.near_components(spark, docs, 3, 85, exact=exact).collect()}
+    assert all(got[2 * i + 1] == 2 * i for i in range(150))
+
+
+def test_clashing_columns_in_both_dedup_stages(spark):
+    names = ["__id", "__text_hash", "__units", "__kept", "__doc", "n", "v", "d1", "unit", "w"]
+    text = "one line of well over eight words that is in both of them. "
+    rows = [(1, text + "end", *names), (1, text + "end", *names), (2, text + "end", *names), (None, None, *names), (3, text + "Quite other words here.", *names)]
+    docs = spark.createDataFrame(rows, "doc_id long, text string, " + ", ".join(f"{n} string" for n in names))
+    kept = near_dups.keep_one_of_each(spark, docs, 3, 85)
+    assert kept.columns == docs.columns and sorted(r["doc_id"] or 0 for r in kept.collect()) == [0, 1, 1, 3]
+    assert all(list(r)[2:] == names for r in kept.collect())
+    cut = substring_dedup.remove_repeats(spark, docs, report=False)
+    assert cut.columns == docs.columns and all(list(r)[2:] == names for r in cut.collect())
+    assert {r["doc_id"]: r["text"] for r in cut.collect()} == {1: text + "end", 2: "", None: None, 3: "Quite other words here."}
+    full = substring_dedup.remove_repeats(spark, docs)
+    assert len(full.columns) == len(set(full.columns)) == len(docs.columns) + 3
+
+
 def test_near_duplicates_edge_cases(spark):
     docs = spark.createDataFrame([(None, "a b c d"), (4, "a b c d"), (4, "a b c d"), (9, "q r s t")], "doc_id long, text string")
     got = near_dups.near_components(spark, docs, 3, 85).collect()
