@@ -31,8 +31,14 @@ def ship(spark: SparkSession) -> None:
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """The folder that the driver and all executors share: the cluster's spark.checkpoint.dir, or one of our own where none is named (as in tests)."""
+    """The folder that the driver and all executors share: the cluster's spark.checkpoint.dir.
+
+    Where none is named, a folder of this machine will do for a local master, as in tests; elsewhere each
+    executor would write to its own disk, so that is refused.
+    """
     named = spark.conf.get("spark.checkpoint.dir", None)
+    if not named and not spark.sparkContext.master.startswith("local"):
+        raise RuntimeError("set spark.checkpoint.dir to a folder that the driver and all executors share")
     return (named or "file:///tmp/checkpoints").rstrip("/")
 
 
@@ -42,11 +48,28 @@ def checkpoint(spark: SparkSession, df: DataFrame) -> DataFrame:
 
 
 def materialise(spark: SparkSession, df: DataFrame, name: str) -> DataFrame:
-    """Writes df to the shared folder and reads it back: recomputation after a lost executor starts there."""
+    """Writes df to the shared folder and reads it back: recomputation after a lost executor starts there.
+
+    The table lies there until `forget`, or until the driver's process ends.
+    """
     path = f"{shared_dir(spark)}/{name}-{uuid.uuid4().hex}"
     df.write.parquet(path)
     atexit.register(discard, spark, path)
-    return spark.read.schema(df.schema).parquet(path)
+    out = spark.read.schema(df.schema).parquet(path)
+    _WRITTEN[id(out)] = (out, path)
+    return out
+
+
+#: Written tables by the identity of the data frame that reads them.
+_WRITTEN: dict[int, tuple[DataFrame, str]] = {}
+
+
+def forget(spark: SparkSession, *tables: DataFrame) -> None:
+    """Deletes written tables that nothing reads any more: the earlier rounds of an iteration."""
+    for t in tables:
+        known = _WRITTEN.pop(id(t), None)
+        if known:
+            discard(spark, known[1])
 
 
 def discard(spark: SparkSession, path: str) -> None:
