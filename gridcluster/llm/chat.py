@@ -1,4 +1,8 @@
-"""Chat formatting: collapse of cumulative conversation snapshots, then rendering. DataFrame functions only."""
+"""Chat formatting: collapse of cumulative conversation snapshots, then rendering. DataFrame functions only.
+
+Texts are read twice, once for digests and once, of the conversations that stay, for rendering; what is
+ordered, numbered, hashed over and joined in between are digests of 16 bytes a turn.
+"""
 
 from __future__ import annotations
 
@@ -6,8 +10,12 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
-#: Turns that are ordered, and rendered, together; longer conversations go on in further segments.
+from ..session import materialise
+
+#: Turns that are rendered together; longer conversations go on in further segments.
 SEGMENT = 1024
+#: Rows of a digest table (up to 64 bytes each) that may be broadcast; a larger one is joined by exchange.
+BROADCAST_ROWS = 150_000
 
 
 def _digest(seed: int, *cols: str) -> Column:
@@ -17,48 +25,70 @@ def _digest(seed: int, *cols: str) -> Column:
     return F.xxhash64(*parts)
 
 
-def _xor_before(value: str, window) -> Column:
-    return F.coalesce(F.bit_xor(value).over(window), F.lit(0).cast("long"))
+def _turns(turns: DataFrame, conv_col: str, turn_col: str, role_col: str, text_col: str) -> DataFrame:
+    """c (the conversation id in a struct: a null id is a value like others), turn, role, text, d1, d2."""
+    rows = turns.select(F.struct(F.col(conv_col).alias("conv")).alias("c"), F.col(turn_col).cast("long").alias("turn"), F.col(role_col).alias("role"), F.col(text_col).alias("text"))
+    return rows.withColumn("d1", _digest(17, "role", "text")).withColumn("d2", _digest(90_001, "role", "text"))
+
 
+def _small(df: DataFrame) -> DataFrame | None:
+    """df marked for broadcast if its rows are few, df itself if not, None if it has none."""
+    n = df.limit(BROADCAST_ROWS + 1).count()
+    return None if not n else F.broadcast(df) if n <= BROADCAST_ROWS else df
 
-def numbered_turns(turns: DataFrame, conv_col: str = "conv_id", turn_col: str = "turn", role_col: str = "role", text_col: str = "text", segment: int = SEGMENT) -> DataFrame:
-    """Distinct turns with their position and rolling prefix digests: conv, pos, role, text, p1, p2.
+
+def ordered_turns(rows: DataFrame) -> DataFrame:
+    """Distinct turns in the order of conversation, number, role and text (null first), as digests: c, turn, d1, d2, ord, part.
+
+    A global sort by ranges, so one long conversation is spread over tasks like many short ones. Text
+    is a sort key only where a conversation has one number and role with several texts.
+    """
+    named = rows.withColumn("k1", _digest(3, "c", "turn", "role")).withColumn("k2", _digest(5, "c", "turn", "role"))
+    who = F.struct("d1", "d2")
+    tied = named.groupBy("k1", "k2").agg(F.min(who).alias("a"), F.max(who).alias("z")).where("a < z").select("k1", "k2")
+    tied = _small(materialise(rows.sparkSession, tied, "tied-turns"))
+    by_text = F.lit(None).cast("string")
+    if tied is not None:
+        named, by_text = named.join(tied.withColumn("tie", F.lit(True)), ["k1", "k2"], "left"), F.when(F.col("tie"), F.col("text"))
+    order = ["c", "turn", "role", "by_text"]
+    distinct = named.select("c", "turn", "role", by_text.alias("by_text"), "d1", "d2").distinct()
+    placed = distinct.repartitionByRange(*order).sortWithinPartitions(*order).select("c", "turn", "d1", "d2", F.monotonically_increasing_id().alias("ord"))
+    return placed.withColumn("part", F.shiftright("ord", 33))
+
+
+def numbered_turns(rows: DataFrame) -> DataFrame:
+    """Positions and rolling prefix digests of distinct turns: c, turn, d1, d2, pos, n (turns of the conversation), p1, p2.
 
     A turn's digest takes its position, role and text; a prefix's digest is the exclusive-or of its
-    turns' digests, twice 64 bits. It is built in two levels: within runs of `segment` turn numbers, and
-    over the runs of a conversation, so a very long conversation isn't ordered in one task.
+    turns' digests, twice 64 bits. Counts and digests are built in two levels: within the part of a
+    conversation that lies in one range of the sort, and over those parts.
     """
-    rows = turns.select(F.col(conv_col).alias("conv"), F.col(turn_col).cast("long").alias("turn"), F.col(role_col).alias("role"), F.col(text_col).alias("text")).distinct()
-    rows = rows.withColumn("run", F.coalesce(F.floor(F.col("turn") / segment), F.lit(-(1 << 62))).cast("long"))
-    inner = Window.partitionBy("conv", "run").orderBy(F.col("turn").asc_nulls_first(), F.col("role").asc_nulls_first(), F.col("text").asc_nulls_first())
-    over_runs = Window.partitionBy("conv").orderBy("run").rowsBetween(Window.unboundedPreceding, -1)
-    runs = rows.groupBy("conv", "run").agg(F.count(F.lit(1)).alias("n"))
-    offset = runs.withColumn("before", F.coalesce(F.sum("n").over(over_runs), F.lit(0))).select(F.col("conv").alias("c"), F.col("run").alias("r"), "before")
-    placed = rows.withColumn("rank", F.row_number().over(inner)).join(offset, F.col("conv").eqNullSafe(F.col("c")) & (F.col("run") == F.col("r"))).withColumn("pos", F.col("before") + F.col("rank"))
-    hashed = placed.withColumn("h1", _digest(17, "pos", "role", "text")).withColumn("h2", _digest(90_001, "pos", "role", "text")).select("conv", "run", "pos", "role", "text", "h1", "h2")
-    totals = hashed.groupBy("conv", "run").agg(F.bit_xor("h1").alias("t1"), F.bit_xor("h2").alias("t2"))
-    carried = totals.withColumn("b1", _xor_before("t1", over_runs)).withColumn("b2", _xor_before("t2", over_runs)).select(F.col("conv").alias("c"), F.col("run").alias("r"), "b1", "b2")
-    upto = Window.partitionBy("conv", "run").orderBy("pos").rowsBetween(Window.unboundedPreceding, 0)
-    return (
-        hashed.withColumn("x1", F.bit_xor("h1").over(upto)).withColumn("x2", F.bit_xor("h2").over(upto))
-        .join(carried, F.col("conv").eqNullSafe(F.col("c")) & (F.col("run") == F.col("r")))
-        .select("conv", "pos", "role", "text", F.expr("x1 ^ b1").alias("p1"), F.expr("x2 ^ b2").alias("p2"))
-    )
+    spark = rows.sparkSession
+    turns = materialise(spark, ordered_turns(rows), "ordered-turns")
+    own = ["c", "part"]
+    parts = Window.partitionBy("c").orderBy("part")
+    before, every = parts.rowsBetween(Window.unboundedPreceding, -1), Window.partitionBy("c")
+    runs = turns.groupBy(*own).agg(F.count(F.lit(1)).alias("k"), F.min("ord").alias("least"))
+    runs = runs.select(*own, (F.coalesce(F.sum("k").over(before), F.lit(0)) - F.col("least") + 1).alias("shift"), F.sum("k").over(every).alias("n"))
+    hashed = turns.join(runs, own).withColumn("pos", F.col("ord") + F.col("shift"))
+    hashed = hashed.withColumn("h1", F.xxhash64(F.lit(17), "pos", "d1")).withColumn("h2", F.xxhash64(F.lit(90_001), "pos", "d2"))
+    totals = hashed.groupBy(*own).agg(F.bit_xor("h1").alias("t1"), F.bit_xor("h2").alias("t2"))
+    carried = totals.select(*own, *(F.coalesce(F.bit_xor(f"t{i}").over(before), F.lit(0).cast("long")).alias(f"b{i}") for i in (1, 2)))
+    upto = Window.partitionBy(*own).orderBy("ord").rowsBetween(Window.unboundedPreceding, 0)
+    chained = hashed.withColumn("x1", F.bit_xor("h1").over(upto)).withColumn("x2", F.bit_xor("h2").over(upto)).join(carried, own)
+    return materialise(spark, chained.select("c", "turn", "d1", "d2", "pos", "n", F.expr("x1 ^ b1").alias("p1"), F.expr("x2 ^ b2").alias("p2")), "numbered-turns")
 
 
 def maximal_conversations(numbered: DataFrame) -> DataFrame:
-    """Conversations that no other one continues: conv, n_turns, n_equal.
+    """Conversations that no other one continues: c, n_turns, n_equal.
 
     Of conversations with equal turns the smallest id stays (null first); n_equal counts them. The
     others are collapsed before the anti-join, so its two sides hold each digest once.
     """
-    whole = numbered.groupBy("conv").agg(F.max(F.struct("pos", "p1", "p2")).alias("last"))
-    full = whole.groupBy(F.col("last.pos").alias("n_turns"), F.col("last.p1").alias("p1"), F.col("last.p2").alias("p2")).agg(
-        F.when(F.max(F.col("conv").isNull()), F.lit(None)).otherwise(F.min("conv")).alias("conv"), F.count(F.lit(1)).alias("n_equal")
-    )
-    lengths = whole.select(F.col("conv").alias("c"), F.col("last.pos").alias("n"))
-    prefixes = numbered.select("conv", F.col("pos").alias("n_turns"), "p1", "p2").join(lengths, F.col("conv").eqNullSafe(F.col("c"))).where(F.col("n_turns") < F.col("n")).select("n_turns", "p1", "p2").distinct()
-    return full.join(prefixes, ["n_turns", "p1", "p2"], "left_anti").select("conv", "n_turns", "n_equal")
+    key = [F.col("pos").alias("n_turns"), "p1", "p2"]
+    full = numbered.where("pos = n").groupBy(*key).agg(F.min("c").alias("c"), F.count(F.lit(1)).alias("n_equal"))
+    prefixes = numbered.where("pos < n").select(*key).distinct()
+    return full.join(prefixes, ["n_turns", "p1", "p2"], "left_anti").select("c", "n_turns", "n_equal")
 
 
 def render_conversations(turns: DataFrame, conv_col: str = "conv_id", turn_col: str = "turn", role_col: str = "role", text_col: str = "text", segment: int = SEGMENT) -> DataFrame:
@@ -67,13 +97,20 @@ def render_conversations(turns: DataFrame, conv_col: str = "conv_id", turn_col:
     A turn is `<|role|>`, a line break, its text and `<|end|>` with a line break; a null role is
     `unknown`, a null text is empty. Turns are ordered by number (null first), then role and text;
     rows that repeat a turn in full count once. Rows without a conversation id form one conversation.
-    A conversation of more than `segment` turns is rendered in several rows.
+    A conversation of more than `segment` turns is rendered in several rows. Other columns, of whatever
+    name, are not looked at; an empty table gives no row.
     """
-    numbered = numbered_turns(turns, conv_col, turn_col, role_col, text_col, segment)
-    kept = maximal_conversations(numbered).select(F.col("conv").alias("k"), "n_turns", "n_equal")
-    rows = numbered.select("conv", "pos", "role", "text").join(kept, F.col("conv").eqNullSafe(F.col("k")))
-    rows = rows.withColumn("segment", F.expr(f"(pos - 1) div {int(segment)}")).withColumn("line", F.concat(F.lit("<|"), F.coalesce("role", F.lit("unknown")), F.lit("|>\n"), F.coalesce("text", F.lit("")), F.lit("<|end|>\n")))
-    grouped = rows.groupBy("conv", "segment").agg(F.first("n_turns").alias("n_turns"), F.first("n_equal").alias("n_equal"), F.sort_array(F.collect_list(F.struct("pos", "line"))).alias("lines"))
+    rows = _turns(turns, conv_col, turn_col, role_col, text_col)
+    numbered = numbered_turns(rows)
+    kept = maximal_conversations(numbered)
+    wanted = numbered.select("c", F.col("turn").alias("t"), "d1", "d2", "pos").join(kept, "c")
+    wanted = materialise(rows.sparkSession, wanted.withColumn("segment", F.expr(f"(pos - 1) div {int(segment)}")), "kept-turns")
+    small = _small(wanted)
+    found = rows.join(wanted if small is None else small, (rows["c"] == wanted["c"]) & rows["turn"].eqNullSafe(wanted["t"]) & (rows["d1"] == wanted["d1"]) & (rows["d2"] == wanted["d2"]))
+    line = F.concat(F.lit("<|"), F.coalesce("role", F.lit("unknown")), F.lit("|>\n"), F.coalesce("text", F.lit("")), F.lit("<|end|>\n"))
+    found = found.select(rows["c"]["conv"].alias("conv"), "segment", "n_turns", "n_equal", F.struct("pos", line.alias("line")).alias("at"))
+    # a set: rows that repeat a turn give the same element
+    grouped = found.groupBy("conv", "segment").agg(F.first("n_turns").alias("n_turns"), F.first("n_equal").alias("n_equal"), F.sort_array(F.collect_set("at")).alias("lines"))
     return grouped.select(F.col("conv").alias(conv_col), "segment", "n_turns", "n_equal", F.array_join(F.col("lines.line"), "").alias("text"))
 
 
