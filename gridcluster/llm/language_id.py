@@ -1,7 +1,12 @@
-"""Language ID by cross-parsing: the language whose reference text gives the fewest phrases wins."""
+"""Language ID by cross-parsing: the language whose reference text needs the fewest normalised phrases wins.
+
+A text is parsed greedily into longest substrings of a language's reference; n letters in c phrases
+against a reference of r letters estimate a cross entropy of c * log2(r) / n bits a letter.
+"""
 
 from __future__ import annotations
 
+import math
 from collections.abc import Iterator
 
 import numpy as np
@@ -11,14 +16,24 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
-from .common import coded, crc_bucket, flat_split, row_of, slices, texts
+from .common import crc_bucket, slices, texts
 
-#: Bounds of the labelled sample: rows a language, and characters of them that go into its automaton.
-SAMPLE_ROWS, REFERENCE_CHARS = 60, 40_000
-MOST_LANGUAGES, MOST_LETTERS = 64, 120
+#: Bounds of the labelled sample: rows a language, characters of them in its reference, and characters of all references.
+SAMPLE_ROWS, REFERENCE_CHARS, ALL_CHARS = 60, 40_000, 4_000_000
+#: Rows of the list of sampled texts (a label and two numbers) that may be broadcast.
+BROADCAST_ROWS = 200_000
+#: Phrases end at every so many characters, so that long texts are parsed side by side.
+SEGMENT = 1024
 UNKNOWN = "und"
 
 
+def normalised(text: pa.Array) -> pa.Array:
+    """Running text in lower case with one blank for whatever lies between letters, and at both ends; empty without a letter."""
+    low = pc.replace_substring_regex(pc.utf8_lower(text), r"[^\p{L}]+", " ")
+    bare = pc.utf8_trim(low, " ")
+    return pc.if_else(pc.equal(pc.binary_length(bare), 0), "", pc.binary_join_element_wise(" ", bare, " ", ""))
+
+
 class SuffixAutomaton:
     """All substrings of a text as paths from state 0; built online, character by character."""
 
@@ -60,129 +75,157 @@ class SuffixAutomaton:
         return count
 
 
-class LanguageModel:
-    """Automata of all languages in one table of transitions, over a small alphabet.
+class EdgeTable:
+    """The transitions of all automata as one hash table by state and letter: as large as the edges, whatever the alphabet."""
+
+    def __init__(self, state: np.ndarray, letter: np.ndarray, to: np.ndarray, letters: int):
+        self.letters = letters
+        self.bits = max(4, int(2 * len(state) + 1).bit_length())
+        self.keys, self.to = np.full(1 << self.bits, -1, dtype=np.int64), np.zeros(1 << self.bits, dtype=np.int32)
+        key = state.astype(np.int64) * letters + letter
+        rest, slot = np.arange(len(key)), self._slot(key)
+        while len(rest):  # of those that want one free place the first gets it, the others go on to the next
+            wish = rest[self.keys[slot[rest]] < 0]
+            won = wish[np.unique(slot[wish], return_index=True)[1]]
+            self.keys[slot[won]], self.to[slot[won]] = key[won], to[won]
+            rest = np.setdiff1d(rest, won, assume_unique=True)
+            slot[rest] = (slot[rest] + 1) & (len(self.keys) - 1)
+
+    def _slot(self, key: np.ndarray) -> np.ndarray:
+        return (key.astype(np.uint64) * np.uint64(0x9E3779B97F4A7C15) >> np.uint64(64 - self.bits)).astype(np.int64)
+
+    def step(self, state: np.ndarray, letter: np.ndarray) -> np.ndarray:
+        """The state that each letter leads to, -1 without such an edge."""
+        key = state * self.letters + letter
+        slot = self._slot(key)
+        there = self.keys[slot]
+        out = np.where(there == key, self.to[slot], np.int32(-1))
+        rest = np.nonzero((there != key) & (there >= 0))
+        while len(rest[0]):
+            slot[rest] = (slot[rest] + 1) & (len(self.keys) - 1)
+            there = self.keys[slot[rest]]
+            hit = there == key[rest]
+            if hit.any():
+                found = tuple(r[hit] for r in rest)
+                out[found] = self.to[slot[found]]
+            more = ~hit & (there >= 0)
+            rest = tuple(r[more] for r in rest)
+        return out
 
-    The unit of parsing is the lower-case run of letters with a mark on both sides, so equal words are
-    parsed once a slice, in lock step over all distinct words and languages.
-    """
+
+class LanguageModel:
+    """Automata of all languages' references in one table; the alphabet is every character of any reference."""
 
     def __init__(self, references: dict[str, str]):
         self.langs = sorted(references)
-        if len(self.langs) > MOST_LANGUAGES:
-            raise ValueError("too many languages")
-        counts: dict[str, int] = {}
-        for t in references.values():
-            for ch in t:
-                counts[ch] = counts.get(ch, 0) + 1
-        letters = sorted(counts, key=lambda c: (-counts[c], c))[:MOST_LETTERS]
-        self.letters = {c: i + 1 for i, c in enumerate(letters)}  # 0: any other character
-        width = len(letters) + 1
-        tables, self.root, base = [], [], 0
+        points = sorted({ord(c) for t in references.values() for c in t})
+        self.points = np.array(points, dtype=np.uint32)  # letter numbers from 1; 0: any other character
+        number = {chr(p): i + 1 for i, p in enumerate(points)}
+        root, base, state, letter, to = [], 0, [], [], []
         for lang in self.langs:
             a = SuffixAutomaton(references[lang])
-            t = np.full((len(a.next), width), -1, dtype=np.int32)
             for s, edges in enumerate(a.next):
-                for ch, to in edges.items():
-                    if ch in self.letters:
-                        t[s, self.letters[ch]] = to + base
-            tables.append(t)
-            self.root.append(base)
+                for ch, target in edges.items():
+                    state.append(s + base)
+                    letter.append(number[ch])
+                    to.append(target + base)
+            root.append(base)
             base += len(a.next)
-        self.table = np.concatenate(tables) if tables else np.zeros((0, width), dtype=np.int32)
-        points = np.array([ord(c) for c in letters], dtype=np.uint32)
-        order = np.argsort(points)
-        self.points, self.codes = points[order], np.arange(1, width, dtype=np.int16)[order]
-
-    def word_phrases(self, words: list[str]) -> np.ndarray:
-        """Phrases of each word in each language: an array words x languages."""
-        n, k = len(words), len(self.langs)
-        out = np.zeros((n, k), dtype=np.int32)
-        if not n or not k:
+        self.root = np.array(root, dtype=np.int64)
+        self.bits = np.array([math.log2(len(references[lang]) + 2) for lang in self.langs])
+        self.edges = EdgeTable(np.array(state, dtype=np.int64), np.array(letter, dtype=np.int64), np.array(to, dtype=np.int32), len(points) + 1)
+        everything = np.arange(len(points) + 1)
+        self.from_root = self.edges.step(np.repeat(self.root[None], len(everything), axis=0), np.repeat(everything[:, None], len(self.langs), axis=1)) if self.langs else None
+
+    def phrases(self, texts_: list[str]) -> np.ndarray:
+        """Phrases of each text in each language: an array texts x languages; all segments are parsed in lock step."""
+        n, k = len(texts_), len(self.langs)
+        out = np.zeros((n, k), dtype=np.int64)
+        flat = np.frombuffer("".join(texts_).encode("utf-32-le"), dtype=np.uint32)
+        if not len(flat) or not k:
             return out
-        lengths = np.fromiter(map(len, words), dtype=np.int64, count=n)
-        flat = np.frombuffer("".join(words).encode("utf-32-le"), dtype=np.uint32)
         at = np.minimum(np.searchsorted(self.points, flat), len(self.points) - 1)
-        codes = np.where(self.points[at] == flat, self.codes[at], 0) if len(self.points) else np.zeros(len(flat), dtype=np.int16)
-        order = np.argsort(-lengths, kind="stable")
-        begin, sorted_lengths = (np.cumsum(lengths) - lengths)[order], lengths[order]
-        root = np.array(self.root, dtype=np.int32)
-        state = np.tile(root, (n, 1))
-        count = np.zeros((n, k), dtype=np.int32)
-        live = n
-        for t in range(int(sorted_lengths[0])):
-            while live and sorted_lengths[live - 1] <= t:
-                live = int(np.searchsorted(-sorted_lengths, -t, side="left"))
-            ch = codes[begin[:live] + t][:, None]
-            s = state[:live]
-            to = self.table[s, ch]
-            fresh = (to < 0) | (s == root)
+        codes = np.where(self.points[at] == flat, at + 1, 0)
+        lengths = np.fromiter(map(len, texts_), dtype=np.int64, count=n)
+        pieces = -(-lengths // SEGMENT)
+        row = np.repeat(np.arange(n), pieces)
+        place = np.arange(len(row)) - np.repeat(np.cumsum(pieces) - pieces, pieces)
+        begin = np.repeat(np.cumsum(lengths) - lengths, pieces) + place * SEGMENT
+        size = np.minimum(lengths[row] - place * SEGMENT, SEGMENT)
+        order = np.argsort(-size, kind="stable")
+        row, begin, size = row[order], begin[order], size[order]
+        count = np.zeros((len(row), k), dtype=np.int32)
+        state = np.repeat(self.root[None], len(row), axis=0)
+        for t in range(int(size[0])):
+            live = int(np.searchsorted(-size, -t, side="left"))
+            ch = codes[begin[:live] + t]
+            to = self.edges.step(state[:live], ch[:, None])
+            fresh = (to < 0) | (state[:live] == self.root[None])
             count[:live] += fresh
-            again = self.table[root[None, :], ch]
-            again = np.where(again < 0, root[None, :], again)
-            state[:live] = np.where(fresh, again, to)
-        out[order] = count
+            again = self.from_root[ch]  # a character that the reference lacks is a phrase by itself
+            state[:live] = np.where(fresh, np.where(again < 0, self.root[None], again), to)
+        for j in range(k):
+            out[:, j] = np.bincount(row, weights=count[:, j], minlength=n)
         return out
 
     def predict(self, text: pa.Array) -> tuple[list[str], np.ndarray]:
         """Language and score of each text; `und` and 0 without a letter or without any learned language."""
-        lists = pc.split_pattern_regex(pc.utf8_lower(text), r"[^\p{L}]+")
-        flat, offsets = flat_split(lists, drop_empty=True)
+        clean = normalised(text)
         n, k = len(text), len(self.langs)
-        codes, distinct = coded(flat)
-        per = self.word_phrases([f" {w} " for w in distinct.to_pylist()])
-        letters = np.diff(offsets)
-        total = np.zeros((n, max(1, k)), dtype=np.float64)
-        row = row_of(offsets)
-        for j in range(k):
-            total[:, j] = np.bincount(row, weights=per[codes, j], minlength=n)
-        best = total.argmin(axis=1)
-        low = total[np.arange(n), best]
-        rest = np.where(total > 0, 1 / np.maximum(total, 1), 0).sum(axis=1)
-        known = (letters > 0) & (k > 0)
-        score = np.where(known, np.minimum(1.0, (1 / np.maximum(low, 1)) / np.maximum(rest, 1e-300)), 0.0)
+        known = (pc.binary_length(clean).to_numpy(zero_copy_only=False) > 0) & (k > 0)
+        if not k:
+            return [UNKNOWN] * n, np.zeros(n)
+        cost = self.phrases(clean.to_pylist()) * self.bits
+        best = cost.argmin(axis=1)
+        low = cost[np.arange(n), best]
+        rest = (1 / np.maximum(cost, 1e-9)).sum(axis=1)
+        score = np.where(known, np.minimum(1.0, 1 / np.maximum(low, 1e-9) / rest), 0.0)
         return [self.langs[b] if ok else UNKNOWN for b, ok in zip(best.tolist(), known.tolist())], score
 
 
 def reference_text(samples: list[str], chars: int = REFERENCE_CHARS) -> str:
-    """Distinct lower-case letter runs of the samples, in order of first use, up to so many characters."""
-    seen: dict[str, None] = {}
-    for t in samples:
-        for w in "".join(c if c.isalpha() else " " for c in t.lower()).split():
-            seen.setdefault(w)
-    out, size = [], 1
-    for w in seen:
-        if size + len(w) + 1 > chars:
-            break
-        out.append(w)
-        size += len(w) + 1
-    return " " + " ".join(out) + " "
-
-
-def fit_language_model(labelled: DataFrame, text_col: str = "text", lang_col: str = "lang", sample_rows: int = SAMPLE_ROWS, chars: int = REFERENCE_CHARS, seed: int = 3) -> LanguageModel:
+    """Running text of the samples, an equal share of `chars` from each at first, then what is left of those that have more."""
+    clean = [t for t in normalised(pa.array(samples, pa.string())).to_pylist() if t]
+    out, used, share = [], 0, max(1, chars // max(1, len(clean)))
+    for from_, to in ((0, share), (share, chars)):
+        for t in clean:
+            part = t[from_:to][: chars - used]
+            out.append(part)
+            used += len(part)
+    return "".join(out)
+
+
+def fit_language_model(labelled: DataFrame, text_col: str = "text", lang_col: str = "lang", sample_rows: int = SAMPLE_ROWS, chars: int = REFERENCE_CHARS, all_chars: int = ALL_CHARS, seed: int = 3) -> LanguageModel:
     """Learns from a bounded sample of labelled rows: per language the rows of smallest text hash.
 
     Rows with null or empty text or null language are left out. At most `chars` characters of a row
-    travel, and at most `sample_rows` rows a language.
+    travel, at most `sample_rows` rows a language, and all references together hold `all_chars`
+    characters at most; the number of languages and of letters is free.
     """
-    rows = labelled.where(F.col(lang_col).isNotNull() & (F.length(text_col) > 0)).select(F.col(lang_col).alias("lang"), F.substring(text_col, 1, chars).alias("text"), F.xxhash64(F.lit(seed), F.col(text_col)).alias("h"))
-    # a few candidates of each partition first, so that no language has to meet in one task
-    spread = rows.withColumn("part", F.pmod("h", F.lit(256)))
-    near = spread.groupBy("lang", "part").agg(F.min(F.struct("h", "text")).alias("one")).select("lang", "one.*")
-    top = Window.partitionBy("lang").orderBy("h", "text")
-    picked = near.withColumn("rank", F.row_number().over(top)).where(F.col("rank") <= sample_rows).orderBy("lang", "rank")
+    rows = labelled.where(F.col(lang_col).isNotNull() & (F.length(text_col) > 0)).select(F.col(lang_col).cast("string").alias("lang"), F.col(text_col).alias("text"), F.xxhash64(F.lit(seed), F.col(text_col)).alias("h"))
+    # the hashes decide first, without texts; a few candidates of each slice, so that no language has to meet in one task
+    spread = rows.select("lang", "h").distinct().withColumn("part", F.pmod("h", F.lit(64)))
+    near = spread.withColumn("place", F.row_number().over(Window.partitionBy("lang", "part").orderBy("h"))).where(F.col("place") <= sample_rows)
+    top = Window.partitionBy("lang").orderBy("h")
+    picked = near.withColumn("rank", F.row_number().over(top)).where(F.col("rank") <= sample_rows).select("lang", "h", "rank")
+    counted = picked.groupBy("lang").agg(F.max("rank").alias("n"))
+    languages = counted.count()
+    chars = max(1, min(chars, all_chars // max(1, languages)))
+    few = F.broadcast(picked) if languages * sample_rows <= BROADCAST_ROWS else picked
+    chosen = rows.join(few, ["lang", "h"]).groupBy("lang", "h", "rank").agg(F.min(F.substring("text", 1, chars)).alias("text"))
     samples: dict[str, list[str]] = {}
-    for r in picked.collect():  # rows a language are bounded, and so are their texts
+    for r in chosen.orderBy("lang", "rank").collect():  # rows a language are bounded, and so are their texts
         samples.setdefault(r["lang"], []).append(r["text"])
-    return LanguageModel({lang: reference_text(s, chars) for lang, s in samples.items()})
+    return LanguageModel({lang: t for lang, s in samples.items() if (t := reference_text(s, chars))})
 
 
 def predict_languages(spark: SparkSession, docs: DataFrame, model: LanguageModel, id_col: str = "doc_id", text_col: str = "text", buckets: int = 4, held: int = 2) -> DataFrame:
     """Language of every whole text: doc_id, held_out, lang_pred, score.
 
-    Null or empty text, and text without a letter: `und`, score 0. Ties go to the first name.
+    Null or empty text, and text without a letter: `und`, score 0. Ties go to the first name. Repeated
+    rows are predicted alike; other columns are not looked at; an empty table gives no row.
     """
-    shared = spark.sparkContext.broadcast(model)  # bounded by languages x reference characters
+    shared = spark.sparkContext.broadcast(model)  # bounded by ALL_CHARS
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for piece in slices(batches, "text", 4 << 20):
