@@ -9,11 +9,13 @@ from pyspark.sql import functions as F
 from pyspark.sql import types as T
 from pyspark.sql.window import Window
 
+from ..session import materialise
+
 #: Modulus of the round function: products of two residues stay within 63 bits.
 _PRIME = (1 << 31) - 1
 ROUNDS = 6
-#: Distinct ids per numbering bucket, about; the number of buckets has an upper bound too.
-BUCKET_ROWS, MOST_BUCKETS = 20_000, 20_000
+#: Copies of one row that are numbered together.
+BLOCK_ROWS = 4096
 
 
 def round_keys(seed: int) -> list[tuple[int, int]]:
@@ -78,39 +80,27 @@ def row_at(shard: int, slot: int, n: int, shards: int, seed: int) -> int:
 def number_rows(rows: DataFrame, id_col: str, *ties: str) -> tuple[DataFrame, int]:
     """Adds `row_number` 0..n-1 in ascending order of id (null first), then of ties; returns it and n.
 
-    Ids are cut at quantiles into buckets of bounded size, each bucket is numbered in its own task
-    and moved by the count of the buckets before it. Equal rows are counted before that and numbered
-    on the way out, so a row that repeats very often does not make a large bucket.
+    Equal rows are counted first, so what is sorted by ranges holds each (id, ties) once and an id with
+    very many texts is cut between tasks like many ids. Each range is numbered in its own task and moved
+    by the count of the ranges before it. A row that repeats very often is numbered block by block.
     """
-    ids = rows.select(F.col(id_col).alias("id"))
-    counted = ids.groupBy("id").agg(F.count(F.lit(1)).alias("n"))
-    distinct = counted.agg(F.count(F.lit(1))).first()[0]
-    buckets = max(1, min(MOST_BUCKETS, distinct // BUCKET_ROWS + 1))
-    cuts: list[int] = []
-    if buckets > 1:
-        at = [i / buckets for i in range(1, buckets)]
-        cuts = sorted({c for c in counted.agg(F.percentile_approx("id", at, max(10_000, 20 * buckets))).first()[0] or []})
-    edges = np.array(cuts, dtype=np.int64)
-
-    @F.pandas_udf(T.IntegerType())
-    def cut(ids: pd.Series) -> pd.Series:
-        known = ids.notna().to_numpy()
-        return pd.Series(np.where(known, np.searchsorted(edges, ids.where(known, 0).astype("int64"), side="right"), 0).astype("int32"))
-
-    def bucket(col: str):  # the number of cuts at or below the id
-        return cut(F.col(col).cast("long")) if cuts else F.lit(0)
-
-    sizes = counted.groupBy(bucket("id").alias("b")).agg(F.sum("n").alias("n")).collect()
-    total, before = 0, {}
-    for r in sorted(sizes, key=lambda r: r["b"]):
-        before[r["b"]] = total
-        total += r["n"]
-    start = F.from_json(F.lit(str([before.get(i, 0) for i in range(len(cuts) + 1)])), T.ArrayType(T.LongType()))
-    order = Window.partitionBy("__bucket").orderBy(F.col(id_col).asc_nulls_first(), *(F.col(c).asc_nulls_first() for c in ties)).rowsBetween(Window.unboundedPreceding, -1)
-    grouped = rows.groupBy(id_col, *ties).agg(F.count(F.lit(1)).alias("__n")).withColumn("__bucket", bucket(id_col))
-    first = grouped.withColumn("__first", F.coalesce(F.sum("__n").over(order), F.lit(0)) + F.element_at(start, F.col("__bucket") + 1))
-    numbered = first.select(id_col, *ties, F.explode(F.sequence(F.col("__first"), F.col("__first") + F.col("__n") - 1)).alias("row_number"))
-    return numbered, total
+    order = [F.col(c).asc_nulls_first() for c in (id_col, *ties)]
+    counted = rows.groupBy(id_col, *ties).agg(F.count(F.lit(1)).alias("__n"))
+    placed = counted.repartitionByRange(*order).sortWithinPartitions(*order).withColumn("__ord", F.monotonically_increasing_id()).withColumn("__part", F.shiftright("__ord", 33).cast("int"))
+    placed = materialise(rows.sparkSession, placed, "ranges")
+    sizes = placed.groupBy("__part").agg(F.sum("__n").alias("n"), F.max("__n").alias("most")).collect()  # a row a range
+    total, most, before = 0, 0, [0] * (max((r["__part"] for r in sizes), default=0) + 1)
+    for r in sorted(sizes, key=lambda r: r["__part"]):
+        before[r["__part"]] = total
+        total, most = total + r["n"], max(most, r["most"])
+    start = F.from_json(F.lit(str(before)), T.ArrayType(T.LongType()))
+    above = Window.partitionBy("__part").orderBy("__ord").rowsBetween(Window.unboundedPreceding, -1)
+    first = placed.withColumn("__first", F.coalesce(F.sum("__n").over(above), F.lit(0)) + F.element_at(start, F.col("__part") + 1)).withColumn("__end", F.col("__first") + F.col("__n"))
+    blocks = first.withColumn("__from", F.explode(F.sequence(F.col("__first"), F.col("__end") - 1, F.lit(BLOCK_ROWS).cast("long"))))
+    if most > BLOCK_ROWS:
+        blocks = blocks.repartition("__from")
+    upto = F.least(F.col("__from") + BLOCK_ROWS, F.col("__end")) - 1
+    return blocks.select(id_col, *ties, F.explode(F.sequence("__from", upto)).alias("row_number")), total
 
 
 def feistel_shards(docs: DataFrame, shards: int = 8, seed: int = 20_231, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
@@ -119,7 +109,8 @@ def feistel_shards(docs: DataFrame, shards: int = 8, seed: int = 20_231, id_col:
     Law `rows`: shard = image mod shards, slot = image div shards, so shard sizes differ by one row at
     most and slots run gapless from 0. Any row's place follows from its row number, the row count and
     the seed alone (`place`), and back (`row_at`).
-    Null text: no bytes (size 1), crc 0. Null ids come first. Equal rows get places of their own.
+    Null text: no bytes (size 1), crc 0. Null ids come first. Equal rows get places of their own. Other
+    columns are not looked at; an empty table gives no row.
     Returns doc_id, size, text_crc32, law, shard, slot, grown_shard (null under this law), row_number.
     """
     spark_text = F.coalesce(F.col(text_col), F.lit(""))
