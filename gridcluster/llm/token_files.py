@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import atexit
 import struct
 import uuid
 import zlib
@@ -15,7 +16,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
-from ..session import materialise, shared_dir
+from ..session import discard, materialise, shared_dir
 from .bpe_pieces import encoder_of
 from .common import slices, texts
 
@@ -188,14 +189,18 @@ class FileReader:
         return self.blocks(first, min(self.n_blocks, -(-stop // BLOCK)))[start - first * BLOCK : stop - first * BLOCK]
 
 
-def encode_to_files(spark: SparkSession, docs: DataFrame, tokenizer: bytes, end_id: int = 0, id_col: str = "doc_id", text_col: str = "text", files: int | None = None) -> DataFrame:
+def encode_to_files(spark: SparkSession, docs: DataFrame, tokenizer: bytes, end_id: int = 0, id_col: str = "doc_id", text_col: str = "text", files: int | None = None, root: str | None = None) -> DataFrame:
     """Tokenizes every text, appends end_id, and writes the ids in ascending id order (null ids first).
 
-    Files hold disjoint ascending ranges of ids. A task writes under a name of its own attempt, so a
-    lost or repeated task leaves no half file in the manifest. Null text: the end id alone.
+    Files hold ascending ranges of ids that don't overlap but at an id that repeats. A task writes under a name of its own attempt, so a
+    lost or repeated task leaves no half file in the manifest. Null text: the end id alone. Rows that repeat
+    an id are written one after another; other columns are not looked at; an empty table gives no file.
+    The folder goes when the session's process ends (`keep` it by naming one in `root`).
     Returns the manifest: part, piece, path, n_docs, n_ids.
     """
-    root = f"{shared_dir(spark)}/tokens-{uuid.uuid4().hex}"
+    if root is None:
+        root = f"{shared_dir(spark)}/tokens-{uuid.uuid4().hex}"
+        atexit.register(discard, spark, root)
     shared = spark.sparkContext.broadcast(tokenizer)  # a vocabulary file: a few MB, whatever the data
 
     def write(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -220,15 +225,19 @@ def encode_to_files(spark: SparkSession, docs: DataFrame, tokenizer: bytes, end_
             finish()
         yield pa.RecordBatch.from_pylist([dict(zip(("part", "piece", "path", "n_docs", "n_ids"), m)) for m in made], schema=pa.schema([("part", pa.int32()), ("piece", pa.int32()), ("path", pa.string()), ("n_docs", pa.int64()), ("n_ids", pa.int64())]))
 
-    rows = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).alias("text"))
-    by = [F.col("doc_id").asc_nulls_first()]
+    # ranges are cut by id, then by a hash of the text, then anywhere: rows of one id needn't fit one task
+    rows = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).alias("text"), F.xxhash64(text_col).alias("h"), F.monotonically_increasing_id().alias("m"))
+    by = [F.col("doc_id").asc_nulls_first(), "h", "m"]
     ranged = rows.repartitionByRange(files, *by) if files else rows.repartitionByRange(*by)
-    made = ranged.sortWithinPartitions(*by, F.xxhash64("text")).mapInArrow(write, "part int, piece int, path string, n_docs long, n_ids long")
+    made = ranged.sortWithinPartitions(*by).mapInArrow(write, "part int, piece int, path string, n_docs long, n_ids long")
     return materialise(spark, made, "token-manifest")
 
 
 def read_files(manifest: DataFrame, tasks: int) -> DataFrame:
-    """One row a document from the files: doc_id, start (ids before it), n_tokens, ids_crc32 and the file."""
+    """One row a document from the files: doc_id, start (ids before it), n_tokens, ids_crc32 and the file.
+
+    Null and repeated ids come back as they were written; an empty manifest gives no row.
+    """
     before = Window.orderBy("part", "piece").rowsBetween(Window.unboundedPreceding, -1)
     listed = manifest.withColumn("start", F.coalesce(F.sum("n_ids").over(before), F.lit(0))).repartition(tasks, "path")
 
