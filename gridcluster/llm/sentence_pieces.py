@@ -102,20 +102,20 @@ class MergeEncoder:
     def segment(self, word: str) -> list[str]:
         """Backtracking over one word."""
         n, taken, at = len(word), [], 0
-        open_ends = (1 << (n + 1)) - 1
+        failed = bytearray((n >> 3) + 1)  # a bit for each position that no segmentation goes on from
         longest = self._longest(word)
         token = longest[0]
         while at < n:
             while True:
                 end = at + len(token)
-                if open_ends >> end & 1 and (not taken or self.compatible(taken[-1], token)):
+                if not failed[end >> 3] >> (end & 7) & 1 and (not taken or self.compatible(taken[-1], token)):
                     taken.append(token)
                     at = end
                     token = longest[at] if at < n else ""
                     break
                 token = self.shorter.get(token, "")
                 if not token:
-                    open_ends &= ~(1 << at)
+                    failed[at >> 3] |= 1 << (at & 7)
                     if not taken:
                         return self.remerge(word)  # cannot happen with a closed vocabulary
                     token = taken.pop()
@@ -195,7 +195,8 @@ def encoder_of(model: bytes) -> MergeEncoder:
 def sentence_piece_digests(spark: SparkSession, docs: DataFrame, model: bytes, id_col: str = "doc_id", text_col: str = "text", with_ids: bool = False) -> DataFrame:
     """Encodes every whole text with begin and end ids and decodes it again.
 
-    Null or empty text: the begin and the end id, which decode to empty text. Rows stay as they are.
+    Null or empty text: the begin and the end id, which decode to empty text. Rows stay as they are,
+    repeated ones too; other columns are not looked at; an empty table gives no row.
     Returns doc_id, n_tokens, ids_sha256, decoded_sha256, round_trip (the text came back) and, if asked for, ids and decoded.
     """
     shared = spark.sparkContext.broadcast(model)  # a vocabulary file: under a MB or a few, whatever the data
