@@ -41,32 +41,140 @@ def test_base_scores_and_probability(spark, small):
     assert lm_scoring.score_documents(spark, docs.limit(0)).count() == 0
 
 
-def test_model_is_a_distribution():
-    """Probabilities of all one-byte words and of what goes beyond add up to one: each bit's two ways do."""
+def test_tree_and_first_bytes_are_distributions():
     rng = np.random.default_rng(0)
     tree = lm_scoring.ByteTree(rng.integers(0, 50, 256))
     assert sum(2.0 ** -int(n) for n in tree.length) == pytest.approx(1.0)
-    tables = [np.zeros(2 << b, dtype=np.float32) for _, _, b in lm_scoring.PREDICTORS]
-    words = pa.array(["the", "cat", "the", "dog"])
-    lm_scoring.count_tables(tree, words, np.array([[5.0, 1], [2, 0], [1, 1], [0, 3]]), tables)
-    mixer = lm_scoring.learn_mixer(tree, tables, words, np.array([0, 0, 1, 1]), np.ones(4))
-    model = lm_scoring.WordModel(tree, tables, mixer, np.array([0.5, 0.5]))
-    cost = model.costs(pa.array(["the", "zzz"]))
-    assert (cost < 0).all() and cost[0, 0] > cost[1, 0]
-    # first byte of a word: the 256 paths share all probability
-    data = np.arange(256, dtype=np.uint8)
-    ctx = lm_scoring.Contexts(data, np.arange(257))
-    total = np.zeros(256)
-    for d in range(tree.node.shape[1]):
-        b = np.nonzero(tree.length[data] > d)[0]
-        node, bit = tree.node[data[b], d], tree.bit[data[b], d]
-        at = [ctx.slots(k, b, node, 0) for k in range(6)]
-        x = [model.odds[k][at[k]] for k in range(6)]
-        gate = lm_scoring.gates(model.levels[0][at[4]], model.levels[1][at[5]], x[3] != 0, x[2] != 0, ctx.start[b], d)
-        mixed = model.weights[gate][:, -1] + sum(model.weights[gate][:, k] * x[k] for k in range(6))
-        p = lm_scoring.final(mixed, gate, model.refined)
-        total[b] += np.log(np.where(bit == 1, p, 1 - p))
-    assert np.exp(total).sum() == pytest.approx(1.0, abs=1e-4)
+    p = rng.random((2, 256))
+    f = lm_scoring.FirstBytes(np.log(p / p.sum(axis=1, keepdims=True)), rng.integers(0, 9, (256, 256)), rng.integers(0, 3, (lm_scoring.PAIR_CONTEXTS, 256)))
+    assert sum(2.0 ** -int(n) for n in f.length) == pytest.approx(1.0)
+    # whatever a node's probability, the two sides of every node share it: the 256 paths have all of it
+    q = rng.random(f.nodes)
+    paths = [np.prod([q[n] if v else 1 - q[n] for n, v in zip(f.node[b, : f.length[b]], f.bit[b, : f.length[b]])]) for b in range(256)]
+    assert sum(paths) == pytest.approx(1.0)
+    # with the mixture as the only input, the bits of a byte multiply to the mixture's probability
+    for b in (0, 32, 101, 255):
+        shares = [f.ones[0, n] / f.mass[0, n] for n in f.node[b, : f.length[b]]]
+        assert np.prod([s if v else 1 - s for s, v in zip(shares, f.bit[b, : f.length[b]])]) == pytest.approx(np.exp(f.log_p[0, b]))
+
+
+class Scalar:
+    """The same model in plain Python, one bit at a time, from counted training tokens."""
+
+    def __init__(self, scorer, train):  # train: (tokens, class) of each training text
+        self.s, self.f, self.k = scorer, scorer.first, scorer.classes
+        self.counts = collections.defaultdict(lambda: np.zeros(self.k))  # (predictor length, context, byte) -> by class
+        self.after = collections.defaultdict(lambda: np.zeros(8))
+        for tokens, cls in train:
+            for i, t in enumerate(tokens):
+                for length, context, byte in self.contexts(t):
+                    self.counts[length, context, byte][cls] += 1
+                if i:
+                    self.after[tokens[i - 1]][int(lm_scoring.group_of(np.array([t[0]]))[0])] += 1
+
+    def contexts(self, token):
+        word = token + b" "
+        for i, byte in enumerate(word):
+            for length in (1, 2, 3, 4, 0):
+                yield length, word[max(0, i - length) if length else 0 : i], byte
+
+    def cost(self, token, first_only=False):
+        """Log probability under each class."""
+        tree, out, word = self.s.tree, np.zeros(self.k), token + b" "
+        for i, byte in enumerate(word[:1] if first_only else word):
+            for d in range(int(tree.length[byte])):
+                node, bit = tree.node[byte, d], tree.bit[byte, d]
+                n = {}
+                for length in (1, 2, 3, 4, 0):
+                    context = word[max(0, i - length) if length else 0 : i]
+                    n[length] = np.zeros((2, self.k))
+                    for b in range(256):
+                        if tree.length[b] > d and tree.node[b, d] == node and (length, context, b) in self.counts:
+                            n[length][tree.bit[b, d]] += self.counts[length, context, b]
+                odds = lambda a: math.log((a[1] + lm_scoring.PRIOR) / (a[0] + lm_scoring.PRIOR))
+                level = lambda a: int(np.searchsorted([0.5, 1.5, 3.5, 15.5, 127.5], a))
+                four, whole = odds(n[4].sum(axis=1)), odds(n[0].sum(axis=1))
+                for c in range(self.k):
+                    x = [odds(n[1][:, c]), odds(n[2][:, c]), odds(n[3][:, c]), four, odds(n[0][:, c]), whole]
+                    own, shared = level(n[0][:, c].sum()), level(n[0].sum())
+                    rank = own - 1 if own else 4 + min(shared, 3) if shared else 8 if x[3] else 9 if x[2] else 10
+                    gate = (rank * 2 + (i == 0)) * 4 + min(d, 3)
+                    w = self.s.weights[gate]
+                    mixed = float(w[-1] + sum(a * b for a, b in zip(w[:-1], x)))
+                    p = 1 / (1 + math.exp(-max(-16, min(16, mixed))))
+                    bucket = max(0, min(lm_scoring.BUCKETS - 1, round(mixed * 2.5) + lm_scoring.BUCKETS // 2))
+                    p = max(1e-6, min(1 - 1e-6, 0.5 * p + 0.5 * float(self.s.refined[gate, bucket])))
+                    out[c] += math.log(p if bit else 1 - p)
+        return out
+
+    def score(self, tokens):
+        f, total, before = self.f, 0.0, np.log(self.s.shares)
+        weights, seen = None, {}
+        for i, t in enumerate(tokens):
+            if i % lm_scoring.SEGMENT_TOKENS == 0:
+                weights = collections.defaultdict(lambda: np.array(lm_scoring.START, dtype=np.float64))
+            post = np.exp(before - before.max())
+            post /= post.sum()
+            cost = self.cost(t)
+            byte, prev = t[0], tokens[i - 1] if i else None
+            total += math.log(post @ np.exp(cost)) - math.log(post @ np.exp(f.log_p[:, byte]))
+            one = prev[-1] if i else 0
+            two = ((prev[-2] if len(prev) > 1 else 0) * 257 + prev[-1]) * 40503 >> 4 & lm_scoring.PAIR_CONTEXTS - 1 if i else 0
+            steps = np.minimum(np.rint(6 * np.log2(1 + self.after[prev])), 255) if i else np.zeros(8)
+            follows = 2 ** (steps / 6) - 1
+            guess = seen.get(prev, -1) if i else -1
+            for d in range(int(f.length[byte])):
+                node, bit = f.node[byte, d], f.bit[byte, d]
+                share = max(1e-6, min(1 - 1e-6, float(post @ f.ones[:, node] / (post @ f.mass[:, node]))))
+                x = [math.log(share / (1 - share)), float(f.one[one, node]), float(f.two[two, node]), 0.0, 0.0, 1.0]
+                known = 0
+                if f.group_bits[node] and i:
+                    n, k = follows @ f.groups[:, node, 0], follows @ f.groups[:, node, 1]
+                    p = (k + lm_scoring.SHRINK * f.overall[node]) / (n + lm_scoring.SHRINK)
+                    x[3], known = math.log(p / (1 - p)) - float(f.base[node]), int(n >= 2)
+                if guess >= 0 and d < f.length[guess] and f.node[guess, d] == node:
+                    x[4] = 2.0 * f.bit[guess, d] - 1
+                x = np.clip(x, -8, 8)
+                gate = int(f.group_bits[node]) * 4 + int(x[4] != 0) * 2 + known
+                w = weights[gate]
+                p = 1 / (1 + math.exp(-max(-12, min(12, float(w @ x)))))
+                total += math.log(p if bit else 1 - p)
+                weights[gate] = w + lm_scoring.ONLINE_RATE * (bit - p) * x
+            if i:
+                seen[prev] = byte
+            before = before + cost
+        return total / math.log(10)
+
+
+def test_scores_agree_with_a_scalar_model(spark, monkeypatch):
+    made = []
+
+    class Kept(lm_scoring.WordScorer):
+        def __init__(self, *args):
+            super().__init__(*args)
+            made.append(self)
+
+    monkeypatch.setattr(lm_scoring, "WordScorer", Kept)
+    rng = np.random.default_rng(4)
+    vocab = {"a": ["the", "cat", "sat", "mät", "on", "it"], "b": ["der", "hund", "ist", "the", "so"], None: ["x1", "x2", "the"]}
+    rows = [(i, " ".join(rng.choice(vocab[lang], int(rng.integers(0, 14)))), lang) for i, lang in enumerate(["a", "b", "a", None, "b"] * 5)]
+    rows += [(100, None, "a"), (101, " ".join(["the cat sat"] * 300), "b"), (102, "new wörds Here", None), (None, "the cat", "a"), (None, "so ist it", "b")]
+    docs = spark.createDataFrame([(*r, 1) for r in rows], "doc_id long, text string, lang string, h int")
+    got = {(r["doc_id"], r["n_tokens"]): r["score"] for r in lm_scoring.score_documents(spark, docs).collect()}
+    tokens = lambda t: [w.translate(LOW).encode() for w in WORD.findall(t or "")] + [b"\n"]
+    key = lambda i: crc("" if i is None else i, 5)
+    train = [(tokens(t), lang) for i, t, lang in rows if key(i) != 1]
+    named = collections.Counter(lang for _, lang in train if lang)
+    order = sorted(named, key=lambda x: (-named[x], x))  # a null label counts as the first
+    scalar = Scalar(made[0], [(ts, order.index(lang) if lang else 0) for ts, lang in train])
+    for i, t, _ in [*rows[:6], *rows[-5:]]:
+        assert got[i, len(tokens(t))] == pytest.approx(scalar.score(tokens(t)), rel=2e-4)
+
+
+def test_rare_labels_share_a_class(spark):
+    docs = spark.createDataFrame([(i, f"w{i % 7} v{i % 3} the", f"l{i % 6}") for i in range(120)], "doc_id long, text string, lang string")
+    few, many = (lm_scoring.score_documents(spark, docs, classes=k).agg({"score": "sum"}).first()[0] for k in (3, 6))
+    assert few < 0 and many < 0 and few != many
 
 
 def test_model_beats_the_base_on_held_out_text(spark):
@@ -88,8 +196,29 @@ def test_suffix_automaton_by_brute_force():
                 k += 1
             count, i = count + 1, i + k
         assert a.phrases(other) == count
-        model = language_id.LanguageModel({"x": text})
-        assert model.word_phrases([other, "", text])[:, 0].tolist() == [count, 0, 1]
+        model = language_id.LanguageModel({"x": text, "y": other})
+        got = model.phrases([other, "", text, "zz" + text])
+        assert got[:, 0].tolist() == [count, 0, 1, 3] and got[0, 1] == 1
+
+
+def test_letters_and_languages_have_no_cap(spark):
+    """Alphabets of 1,500 letters and 70 languages; phrases run over words; segments add one phrase each at most."""
+    rng = np.random.default_rng(2)
+    draw = lambda low, n: "".join(chr(low + int(x)) for x in rng.integers(0, 1500, n))
+    latin = " ".join("".join(rng.choice(list("aeiou lmn"), 6)) for _ in range(300))
+    model = language_id.LanguageModel({"han": f" {draw(0x4E00, 9000)} ", "hangul": f" {draw(0xAC00, 9000)} ", "latin": f" {latin} "})
+    import pyarrow as pa
+
+    texts = [draw(0x4E00, 300) for _ in range(20)] + [draw(0xAC00, 300) for _ in range(20)] + [latin[50:200]]
+    assert model.predict(pa.array(texts))[0] == ["han"] * 20 + ["hangul"] * 20 + ["latin"]
+    many = spark.createDataFrame([(f"l{i:02d}", " ".join(f"{chr(97 + i % 26)}{chr(97 + i // 26)}{w}" for w in "abcdefgh") * 4) for i in range(70)], "lang string, text string")
+    found = language_id.fit_language_model(many)
+    assert len(found.langs) == 70 and found.predict(pa.array([r["text"] for r in many.collect()]))[0] == [r["lang"] for r in many.collect()]
+    whole = language_id.LanguageModel({"x": " one two three "})
+    assert whole.phrases([" one two three ", " two three "]).tolist() == [[1], [1]]
+    long = "abc " * 100_000
+    bound = language_id.LanguageModel({"x": f" {long[:4000]}"})
+    assert bound.phrases([" " + long])[0, 0] <= 400_001 / 1024 + 400_001 / 4000 + 2
 
 
 def test_languages_on_held_out_rows(spark, middle):
@@ -119,8 +248,8 @@ def test_permutation_and_inverse(n):
 
 
 def test_shards_follow_the_law(spark, monkeypatch):
-    monkeypatch.setattr(sharding, "BUCKET_ROWS", 100)
-    rows = [(i * 3, f"text {i}") for i in range(700)] + [(5, "same")] * 40 + [(None, None), (None, "x"), (2, None)]
+    monkeypatch.setattr(sharding, "BLOCK_ROWS", 16)
+    rows = [(i * 3, f"text {i}") for i in range(700)] + [(5, "same")] * 40 + [(None, None), (None, "x"), (2, None)] + [(None, f"hot {i}") for i in range(400)]
     docs = spark.createDataFrame([(i, t, 1) for i, t in rows], "doc_id long, text string, shard int").repartition(4)
     got = sharding.feistel_shards(docs).collect()
     assert len(got) == len(rows)
