@@ -5,25 +5,27 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from ..session import materialise
+from ..session import forget, materialise
 
 MOST_ROUNDS = 60
 
 
 def _hook(spark: SparkSession, sides: DataFrame, keep_larger: bool) -> DataFrame:
-    """Ties the neighbours of each node u to the least of them and u; sides has rows (u, v)."""
+    """Ties the neighbours of each node u to the least of them and u; sides has rows (u, v). Returns a written table."""
     least = materialise(spark, sides.groupBy("u").agg(F.least(F.min("v"), F.col("u")).alias("m")), "least")
     tied = sides.join(least, "u")
     out = tied.where(F.col("v") > F.col("u")).select(F.col("v").alias("a"), F.col("m").alias("b")) if keep_larger else tied.select(F.col("v").alias("a"), F.col("m").alias("b")).unionAll(least.select(F.col("u").alias("a"), F.col("m").alias("b")))
-    return out.where("a != b").distinct()
+    made = materialise(spark, out.where("a != b").distinct(), "star")
+    forget(spark, least)
+    return made
 
 
 def components(spark: SparkSession, links: DataFrame) -> DataFrame:
     """node, component (its least node) for every node of links (a, b); links stay on the executors.
 
     Each round is a few aggregations and joins on tables written to the shared folder, so a lost
-    executor costs one round at most. A node with very many links is split by the join, since both
-    of its sides are written tables or plain exchanges.
+    executor costs one round at most; earlier rounds' tables are deleted. A node with very many links
+    is split by the join, since both of its sides are written tables or plain exchanges.
     """
     edges = materialise(spark, links.select(F.greatest("a", "b").alias("a"), F.least("a", "b").alias("b")).where("a != b").distinct(), "links")
 
@@ -36,9 +38,11 @@ def components(spark: SparkSession, links: DataFrame) -> DataFrame:
         if not before[0]:
             break
         both = edges.select(F.col("a").alias("u"), F.col("b").alias("v")).unionAll(edges.select(F.col("b").alias("u"), F.col("a").alias("v")))
-        large = materialise(spark, _hook(spark, both, keep_larger=True), "large-star")
-        small = _hook(spark, large.select(F.greatest("a", "b").alias("u"), F.least("a", "b").alias("v")), keep_larger=False)
-        edges = materialise(spark, small.select(F.greatest("a", "b").alias("a"), F.least("a", "b").alias("b")).distinct(), "small-star")
+        large = _hook(spark, both, keep_larger=True)
+        # a star's links point from the larger to the smaller node in both steps
+        small = _hook(spark, large.select(F.col("a").alias("u"), F.col("b").alias("v")), keep_larger=False)
+        forget(spark, edges, large)
+        edges = small
         after = state(edges)
         if after == before:
             break

@@ -240,6 +240,65 @@ def test_long_conversations_run_over_segments(spark):
     assert "".join(r["text"] for r in got) == whole[0]["text"]
 
 
+@pytest.mark.parametrize("length,wrong", [(12, 0), (13, 1), (14, 2), (15, 3), (16, 3), (18, 3), (20, 4)])
+def test_no_pattern_of_substitutions_escapes_the_masks(length, wrong):
+    """Every overlap of that many tokens, so many of them replaced (never the ends), is hit and verified."""
+    import pyarrow as pa
+
+    words = [f"t{i}" for i in range(length)]
+    docs = [" ".join("zz" if i in gone else w for i, w in enumerate(words)) for gone in itertools.combinations(range(1, length - 1), wrong)]
+    index = decontaminate.BenchmarkIndex([(1, " ".join(words))])
+    assert {h[0] for h in index.hits(pa.array(docs))} == set(range(len(docs)))
+
+
+def test_short_items_and_phrases_that_are_everywhere(monkeypatch):
+    import pyarrow as pa
+
+    index = decontaminate.BenchmarkIndex([(1, "three word item"), (2, "two words"), (3, "just one more four"), (4, "")])
+    assert [h[:2] for h in index.hits(pa.array(["a three word item b", "two words", "one more four just one more four", "three word"]))] == [(0, 0), (2, 2)]
+    phrase = "this phrase of seven words is common"
+    items = [(i, f"{phrase} own{i} " + " ".join(f"x{i}y{j}" for j in range(12))) for i in range(40)]
+    text = " ".join([phrase] * 50) + " " + items[7][1]
+    index = decontaminate.BenchmarkIndex(items)
+    want = index.hits(pa.array([text]))
+    assert [h[:2] for h in want] == [(0, 7)] and want[0][4] == 20
+    monkeypatch.setattr(decontaminate, "PAIRS", 13)  # blocks cut inside the postings of one position
+    assert index.hits(pa.array([text])) == want
+
+
+def chat_by_hand(rows):
+    """Maximal conversations of (conv, turn, role, text) rows, in plain Python."""
+    low = lambda v: (v is not None, v)
+    convs = {}
+    for c, *rest in set(rows):
+        convs.setdefault(c, []).append(tuple(rest))
+    turns = {c: tuple((r, t) for _, r, t in sorted(x, key=lambda y: tuple(map(low, y)))) for c, x in convs.items()}
+    prefixes = {t[:k] for t in turns.values() for k in range(1, len(t))}
+    out = {}
+    for t in set(turns.values()) - prefixes:
+        same = [c for c in turns if turns[c] == t]
+        out[min(same, key=low)] = (len(t), len(same), "".join(f"<|{r or 'unknown'}|>\n{x or ''}<|end|>\n" for r, x in t))
+    return out
+
+
+@pytest.mark.parametrize("broadcast", [150_000, 0])
+def test_chat_by_brute_force_with_ties_and_null_turns(spark, monkeypatch, broadcast):
+    monkeypatch.setattr(chat, "BROADCAST_ROWS", broadcast)
+    rng = random.Random(broadcast)
+    rows = []
+    for c in [*range(60), None]:
+        for i in range(rng.randint(1, 6)):
+            for _ in range(rng.choice([1, 1, 1, 2])):
+                rows.append((c, rng.choice([i, i, i, None]), rng.choice(["user", "assistant", None]) if rng.random() < 0.2 else "user", rng.choice(["a", "b", "b" * 70 + "x", "b" * 70 + "y", "", None])))
+    rows += [(99, None, "user", f"hot {i % 700}") for i in range(3000)]  # one conversation without numbers, rows repeated
+    turns = spark.createDataFrame(rows, "conv_id long, turn long, role string, text string").repartition(5)
+    got = {}
+    for r in sorted(chat.render_conversations(turns, segment=256).collect(), key=lambda r: r["segment"]):
+        n, k, t = got.get(r["conv_id"], (r["n_turns"], r["n_equal"], ""))
+        got[r["conv_id"]] = (n, k, t + r["text"])
+    assert got == chat_by_hand(rows)
+
+
 def test_chat_plan_is_native(spark, small):
     plan = chat.render_conversations(spark.read.parquet(f"{small}/conversations.parquet"))._jdf.queryExecution().executedPlan().toString()
     assert not re.search("Python|Arrow|Pandas", plan)
