@@ -19,8 +19,10 @@ from .components import components
 SKETCH, INDEXED = 48, 24
 #: The chance that a pair at the limit shares fewer values than is asked for, by sketch or by list.
 LOST = 1e-9
-#: Members (and their shingles) of a chunk; longer lists and clusters are compared chunk by chunk.
-CHUNK, CHUNK_SHINGLES = 512, 1_000_000
+#: Members (and their shingles) of a chunk; longer lists and clusters are searched chunk by chunk.
+CHUNK, CHUNK_SHINGLES = 128, 100_000
+#: Chunks are so many times as large where members outside the largest component are compared with all others.
+WIDER = 16
 #: Bits of the membership filter at most, as a power of two: 4 MB.
 FILTER_BITS = 25
 
@@ -228,13 +230,14 @@ def local_links(dealt: DataFrame, key: str, values: str, similar) -> DataFrame:
 
 
 def open_groups(rows: DataFrame, key: str) -> DataFrame:
-    """key, chunks, probe_chunks, top: the groups that hold several components, and the one with most members.
+    """key, local_chunks, chunks, probe_chunks, top: the groups that hold several components, and the one with most members.
 
     Only members outside `top` have to be compared with all others: those in it are linked already.
     """
     sizes = rows.groupBy(key, "component").agg(F.sum("w").alias("w"), F.count(F.lit(1)).alias("n"))
     by = sizes.groupBy(key).agg(F.sum("w").alias("w"), F.max(F.struct("n", "component", "w")).alias("top"), F.count(F.lit(1)).alias("parts")).where("parts > 1")
-    return by.select(key, F.ceil("w").cast("long").alias("chunks"), F.greatest(F.ceil(F.col("w") - F.col("top.w")), F.lit(1)).cast("long").alias("probe_chunks"), F.col("top.component").alias("top"))
+    chunks = lambda w: F.greatest(F.ceil(w / WIDER), F.lit(1)).cast("long")
+    return by.select(key, F.ceil("w").cast("long").alias("local_chunks"), chunks(F.col("w")).alias("chunks"), chunks(F.col("w") - F.col("top.w")).alias("probe_chunks"), F.col("top.component").alias("top"))
 
 
 def across_chunks(rows: DataFrame, key: str) -> DataFrame:
@@ -249,7 +252,7 @@ def across_chunks(rows: DataFrame, key: str) -> DataFrame:
     single = (F.col("chunks") == 1) & (F.col("probe_chunks") == 1)
     as_member = F.transform(upto("probe_chunks"), lambda b: F.struct(own.alias("c1"), b.alias("c2"), F.when(single & probe, 2).otherwise(0).alias("role")))
     as_probe = F.when(probe & ~single, F.transform(upto("chunks"), lambda a: F.struct(a.alias("c1"), at.alias("c2"), F.lit(1).alias("role")))).otherwise(F.expr("CAST(array() AS ARRAY<STRUCT<c1: BIGINT, c2: BIGINT, role: INT>>)"))
-    return rows.withColumn("to", F.explode(F.concat(as_member, as_probe))).select("*", "to.*").drop("to", "chunks", "probe_chunks", "top", "w")
+    return rows.withColumn("to", F.explode(F.concat(as_member, as_probe))).select("*", "to.*").drop("to", "chunks", "local_chunks", "probe_chunks", "top", "w")
 
 
 def crossing_links(dealt: DataFrame, key: str, values: str, similar) -> DataFrame:
@@ -289,8 +292,9 @@ def loose_components(spark: SparkSession, members: DataFrame, percent: int) -> D
     Inverted lists hold, for each class, those of its smallest values that are rarest: if two sets
     share enough of their values, they share one of these. So a passage or shingle that is in very
     many documents gives no list for documents that have other content.
-    First each class is looked up in the list of its rarest value alone. That joins groups of copies, so
-    of all lists only those that still hold several components are dealt out with their sketches.
+    First each class is looked up in the lists of its two smallest shared values alone, chunk by chunk.
+    That joins groups of copies, so of the other lists only those that still hold several components
+    are dealt out with their sketches.
     """
     entries = members.select("id", "s1", "s2", F.least(F.size("sketch"), F.lit(INDEXED)).alias("k"), F.explode(F.slice("sketch", 1, INDEXED)).alias("v"))
     counts = materialise(spark, entries.groupBy("v").agg(F.count(F.lit(1)).alias("c")).where("c > 1"), "value-counts")
@@ -298,14 +302,14 @@ def loose_components(spark: SparkSession, members: DataFrame, percent: int) -> D
     # what is in no other sketch comes first in the order and finds no partner
     need = F.element_at(F.array(*(F.lit(shared_values(k, percent)) for k in range(1, INDEXED + 1))), F.col("k").cast("int"))
     prefix = F.col("k") - need + 1 - (F.col("k") - F.size("own"))
-    taken = shared.withColumn("take", prefix).where("take > 0").select("id", "s1", "s2", F.posexplode(F.slice("own", F.lit(1), F.col("take"))).alias("rank", "e"))
-    chosen = materialise(spark, taken.select("id", "s1", "s2", "rank", F.col("e.v").alias("v"), F.lit(1.0 / CHUNK).alias("w")), "lists")
+    taken = materialise(spark, shared.withColumn("take", prefix).where("take > 0").select("id", "s1", "s2", F.slice("own.v", F.lit(1), F.col("take")).alias("vs"), F.slice(F.array_sort("own.v"), 1, 2).alias("least")), "lists")
+    listed = lambda c: taken.select("id", "s1", "s2", F.explode(c).alias("v"), F.lit(1.0 / CHUNK).alias("w"))
     least = shared_values(SKETCH, percent) / SKETCH
     payload = members.select("id", "s1", "s2", "n", "sketch")
     similar = lambda g, flat, offsets: alike_by_sketch(flat, offsets, g["n"].to_numpy(), least)
-    first = in_chunks(chosen.where("rank = 0").drop("rank"), "v").join(payload, ["id", "s1", "s2"])
+    first = in_chunks(listed("least"), "v").join(payload, ["id", "s1", "s2"])
     found = components(spark, local_links(first, "v", "sketch", similar))
-    labelled = materialise(spark, _labelled(chosen.drop("rank"), found), "labelled-lists")
+    labelled = materialise(spark, _labelled(listed("vs"), found), "labelled-lists")
     crossing = across_chunks(labelled.join(open_groups(labelled, "v"), "v"), "v").join(payload, ["id", "s1", "s2"])
     more = crossing_links(crossing, "v", "sketch", similar)
     return components(spark, found.select(F.col("node").alias("a"), F.col("component").alias("b")).unionAll(more))
@@ -370,7 +374,7 @@ def near_classes(spark: SparkSession, docs: DataFrame, words: int, percent: int,
     similar = lambda g, flat, offsets: alike_exactly(flat, offsets, percent)
     linked = components(spark, local_links(sets(wanted, in_chunks(wanted, "cluster")), "cluster", "shingles", similar))
     labelled = _labelled(wanted, linked)
-    broken = materialise(spark, labelled.join(open_groups(labelled, "cluster").where("chunks > 1"), "cluster"), "open-clusters")
+    broken = materialise(spark, labelled.join(open_groups(labelled, "cluster").where("local_chunks > 1"), "cluster"), "open-clusters")
     if not broken.isEmpty():
         more = crossing_links(sets(broken, across_chunks(broken, "cluster")), "cluster", "shingles", similar)
         linked = components(spark, linked.select(F.col("node").alias("a"), F.col("component").alias("b")).unionAll(more))
