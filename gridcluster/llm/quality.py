@@ -30,7 +30,12 @@ class Batch:
         self._parts: dict[str, object] = {}
 
     def take(self, keep: np.ndarray) -> Batch:
-        return self if keep.all() else Batch(self.text.filter(pa.array(keep)))
+        """The documents that are kept, with the figures that are known already."""
+        if keep.all():
+            return self
+        out = Batch(self.text.filter(pa.array(keep)))
+        out._parts = {k: v[keep] for k, v in self._parts.items() if isinstance(v, np.ndarray) and len(v) == len(keep)}
+        return out
 
     def part(self, name: str, make: Callable[[], object]):
         if name not in self._parts:
@@ -43,7 +48,7 @@ class Batch:
 
     @property
     def n_words(self) -> np.ndarray:
-        return np.diff(self.words[1])
+        return self.part("n_words", lambda: np.diff(self.words[1]))
 
     @property
     def lines(self) -> tuple[pa.Array, np.ndarray]:
@@ -138,6 +143,13 @@ RULES = (
 )
 
 
+#: What every document must pass, as rules.
+BASE = (
+    Rule("few_words", lambda b: b.n_words < MIN_WORDS),
+    Rule("repeated_words", lambda b: 100 * b.repeat_words() > MOST_REPEAT_PERCENT * b.n_words),
+)
+
+
 def measured(batches: Iterator[pa.RecordBatch], rules: tuple[Rule, ...], column: str) -> Iterator[pa.RecordBatch]:
     seconds, turned = np.zeros(len(rules)), np.zeros(len(rules), dtype=np.int64)
     docs = 0
@@ -211,14 +223,19 @@ def quality_verdicts(docs: DataFrame, rules: tuple[Rule, ...] = RULES, id_col: s
 
 
 def keep_good(docs: DataFrame, rules: tuple[Rule, ...] = RULES, text_col: str = "text", sample_docs: int = SAMPLE_DOCS) -> DataFrame:
-    """The rows that the base and all rules keep, with all their columns, in one narrow pass."""
+    """The rows that the base and all rules keep, with all their columns, whatever these are named, in one narrow pass.
+
+    The base's two conditions are rules of the cascade like the others, so the dear one (repeated words)
+    is worked out for the documents that are still in. Null and empty texts have too few words and go; repeated
+    rows stay or go alike; an empty table stays empty.
+    """
+    rules = (*BASE, *rules)
     names = [n for n, _, _ in plan_cascade(docs, rules, text_col, sample_docs)]
     ranked = [next(r for r in rules if r.name == n) for n in names]
 
     def judge(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for piece in slices(batches, text_col):
             b = Batch(texts(piece, text_col))
-            failed = (b.n_words < MIN_WORDS) | (100 * b.repeat_words() > MOST_REPEAT_PERCENT * b.n_words)
-            yield piece.filter(pa.array(cascade(b, ~failed, ranked)))
+            yield piece.filter(pa.array(cascade(b, np.ones(piece.num_rows, dtype=bool), ranked)))
 
     return docs.mapInArrow(judge, docs.schema)

@@ -5,6 +5,7 @@ from __future__ import annotations
 from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
 
 from . import chat, decontaminate, language_id, lm_scoring, near_dups, quality, sentence_pieces, sharding, substring_dedup, token_files
 from .common import crc_bucket, documents
@@ -31,6 +32,12 @@ def op3_lm_scoring(spark: SparkSession, sf_dir: str) -> DataFrame:
     return lm_scoring.score_documents(spark, documents(spark, sf_dir, "doc_id", "text", "lang"))
 
 
+def lm_base_scores(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The columns of op3 that plain counts give."""
+    out = lm_scoring.score_documents(spark, documents(spark, sf_dir, "doc_id", "text", "lang"))
+    return out.select("doc_id", "held_out", "n_tokens", "n_known", "train_tokens", (F.round("base_score", 4) + F.lit(0.0)).alias("base_score"))
+
+
 def op4_sharding(spark: SparkSession, sf_dir: str) -> DataFrame:
     return sharding.feistel_shards(documents(spark, sf_dir), shards=8)
 
@@ -63,10 +70,11 @@ def op10_sentence_pieces(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op1_substring_dedup, op2_chat_formatting, op3_lm_scoring, op4_sharding, op5_decontamination, op6_token_output, op7_quality_rules, op8_near_duplicates, op9_language_id, op10_sentence_pieces)}
+    return {f.__name__: f for f in (op1_substring_dedup, op2_chat_formatting, op3_lm_scoring, lm_base_scores, op4_sharding, op5_decontamination, op6_token_output, op7_quality_rules, op8_near_duplicates, op9_language_id, op10_sentence_pieces)}
 
 
 def oracle_sql() -> dict[str, str]:
     from . import oracles
 
-    return {"op2_chat_formatting": chat.oracle(), "op7_quality_rules": oracles.QUALITY, "op8_near_duplicates": oracles.NEAR_DUPLICATES}
+    shards = oracles.sharding(sharding.round_keys(sharding.SEED), sharding._PRIME, 8)
+    return {"op2_chat_formatting": chat.oracle(), "lm_base_scores": oracles.BASE_SCORES, "op4_sharding": shards, "op7_quality_rules": oracles.QUALITY, "op8_near_duplicates": oracles.NEAR_DUPLICATES}

@@ -14,6 +14,7 @@ from ..session import materialise
 #: Modulus of the round function: products of two residues stay within 63 bits.
 _PRIME = (1 << 31) - 1
 ROUNDS = 6
+SEED = 20_231
 #: Copies of one row that are numbered together.
 BLOCK_ROWS = 4096
 
@@ -103,7 +104,7 @@ def number_rows(rows: DataFrame, id_col: str, *ties: str) -> tuple[DataFrame, in
     return blocks.select(id_col, *ties, F.explode(F.sequence("__from", upto)).alias("row_number")), total
 
 
-def feistel_shards(docs: DataFrame, shards: int = 8, seed: int = 20_231, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+def feistel_shards(docs: DataFrame, shards: int = 8, seed: int = SEED, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """A reproducible shuffle of the documents over shards.
 
     Law `rows`: shard = image mod shards, slot = image div shards, so shard sizes differ by one row at
