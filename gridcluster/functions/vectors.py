@@ -36,7 +36,9 @@ def sqdist_to(values: Sequence[Column], center: Sequence[float]) -> Column:
 
 
 def nearest(values: Sequence[Column], centers: Sequence[Sequence[float]]) -> tuple[Column, Column]:
-    """Number (from 0) of the nearest literal center, ties to the lowest, and the squared distance."""
+    """Number (from 0) of the nearest literal center, ties to the lowest, and the squared distance; nulls if there is no center."""
+    if not len(centers):
+        return F.lit(None).cast("int"), F.lit(None).cast("double")
     distances = F.array(*(sqdist_to(values, c) for c in centers))
     least = F.array_min(distances)
     return (F.array_position(distances, least) - 1).cast("int"), least

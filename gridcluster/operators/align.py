@@ -63,10 +63,20 @@ def fit_aligner(codes: DataFrame, kind: str = "affine", width: int | str | float
     width: a number, a share of the squared singular values (0..1), or `min_code`: the least code width
     of a row group, one more when affine. solver `tsqr` works on the triangular factor of A instead.
     """
-    wide, blocks = anchor_rows(codes)
-    one = kind == "affine"
     if kind not in ("affine", "linear") or target not in ("U", "US"):
         raise ValueError((kind, target))
+    wide, blocks = anchor_rows(codes)
+    one = kind == "affine"
+    order, spans = block_order(blocks, one)
+    if solver == "tsqr":
+        ready = wide.select(F.concat("codes", F.array(F.lit(1.0))).alias("codes")) if one else wide
+        r = tsqr(ready, "codes")[:, order]
+        return solve_aligner(r.T @ r, spans, kind, width, target, r)
+    return solve_aligner(gram(wide, "codes", with_one=one)[np.ix_(order, order)], spans, kind, width, target)
+
+
+def block_order(blocks: list[tuple[int, int, int]], one: bool) -> tuple[list[int], dict[int, slice]]:
+    """Columns of the anchors' codes side by side, brought to row groups in a row, each with the trailing constant if `one`; and each group's span."""
     order, spans, at = [], {}, 0
     total = sum(w for *_, w in blocks)
     for i in sorted({b[0] for b in blocks}):
@@ -80,14 +90,16 @@ def fit_aligner(codes: DataFrame, kind: str = "affine", width: int | str | float
             order.append(total)
             at += 1
         spans[i] = slice(begin, at)
-    if solver == "tsqr":
-        ready = wide.select(F.concat("codes", F.array(F.lit(1.0))).alias("codes")) if one else wide
-        r = tsqr(ready, "codes")[:, order]
-        cross = r.T @ r
-        _, s, vt = np.linalg.svd(r, full_matrices=False)
-        left, v = s, vt.T
+    return order, spans
+
+
+def solve_aligner(cross: np.ndarray, spans: dict[int, slice], kind: str, width: int | str | float, target: str, r: np.ndarray | None = None) -> Aligner:
+    """The aligners from the cross products of all groups' anchor codes, or better from their triangular factor r."""
+    one = kind == "affine"
+    if r is not None:
+        _, left, vt = np.linalg.svd(r, full_matrices=False)
+        v = vt.T
     else:
-        cross = gram(wide, "codes", with_one=one)[np.ix_(order, order)]
         values, vectors = np.linalg.eigh(cross)
         left, v = np.sqrt(np.maximum(values[::-1], 0)), vectors[:, ::-1]
     if width == "min_code":
@@ -102,7 +114,7 @@ def fit_aligner(codes: DataFrame, kind: str = "affine", width: int | str | float
     divide = left[:m] if target == "U" else np.ones(m)
     weights, shift = {}, {}
     for i, s in spans.items():
-        if solver == "tsqr":
+        if r is not None:
             g = np.linalg.pinv(r[:, s], rcond=np.sqrt(CUTOFF)) @ (r @ lead) / divide
         else:
             g = np.linalg.pinv(cross[s, s], rcond=CUTOFF, hermitian=True) @ (cross[s] @ lead) / divide
@@ -111,9 +123,15 @@ def fit_aligner(codes: DataFrame, kind: str = "affine", width: int | str | float
 
 
 def concat_codes(codes: DataFrame, key: str = "row_id") -> DataFrame:
-    """Codes of a row's column parties side by side: key, row_grp, code."""
+    """Codes of a row's column parties side by side: key, row_grp, code. Fails on a repeated row id."""
     ordered = F.sort_array(F.collect_list(F.struct("col_grp", "code")))
-    return codes.groupBy(key, "row_grp").agg(ordered.alias("parts")).select(key, "row_grp", F.flatten("parts.code").alias("code"))
+    parts = codes.groupBy(key, "row_grp").agg(ordered.alias("parts"), F.size(F.collect_set("col_grp")).alias("parties"))
+    return parts.select(key, "row_grp", _checked(F.flatten("parts.code"), F.size("parts") == F.col("parties"), key).alias("code"))
+
+
+def _checked(value, ok, key: str):
+    """value, or an error: parts of two rows of one id would be added up to a point that neither is."""
+    return F.when(ok, value).otherwise(F.raise_error(F.concat(F.lit(f"{key} "), F.coalesce(F.col(key).cast("string"), F.lit("null")), F.lit(" has more or fewer parts than there are column parties: ids must be unique and every party must hold the row"))).cast("array<double>"))
 
 
 def apply_aligner(codes: DataFrame, aligner: Aligner, widths: dict[tuple[int, int], int], key: str = "row_id") -> DataFrame:
@@ -121,6 +139,7 @@ def apply_aligner(codes: DataFrame, aligner: Aligner, widths: dict[tuple[int, in
 
     The aligner is linear in the concatenated code, so each column party's part is mapped where it
     lies, and one sum by row takes the place of a join of all parts: z = sum of parts + shift.
+    Row ids must be unique, and each column party must hold the row: anything else is an error.
     """
     parts: dict[tuple[int, int], np.ndarray] = {}
     for i, w in aligner.weights.items():
@@ -144,8 +163,9 @@ def apply_aligner(codes: DataFrame, aligner: Aligner, widths: dict[tuple[int, in
 
     kind = dict(codes.dtypes)[key]
     mapped = codes.select(key, "row_grp", "col_grp", "code").mapInArrow(run, f"{key} {kind}, row_grp int, " + ", ".join(f"z{k} double" for k in range(m)))
-    summed = mapped.groupBy(key, "row_grp").agg(*(F.sum(f"z{k}").alias(f"z{k}") for k in range(m)))
-    return summed.select(key, "row_grp", F.array(*(f"z{k}" for k in range(m))).alias("z"))
+    parties = F.element_at(F.create_map(*(F.lit(x) for i in first for x in (i, sum(a == i for a, _ in widths)))), F.col("row_grp"))
+    summed = mapped.groupBy(key, "row_grp").agg(*(F.sum(f"z{k}").alias(f"z{k}") for k in range(m)), F.count(F.lit(1)).alias("parts"))
+    return summed.select(key, "row_grp", _checked(F.array(*(f"z{k}" for k in range(m))), F.col("parts") == parties, key).alias("z"))
 
 
 def fused_transform(points: DataFrame, spec, maps: dict, aligner: Aligner, key: str = "row_id", keep: tuple[str, ...] = ()) -> DataFrame:

@@ -7,6 +7,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ..functions.portable import gaussian, uniform
+from . import graph
 from .numeric import moments
 
 
@@ -29,17 +30,25 @@ def anchor_lowrank(spark: SparkSession, public: DataFrame, rows: int, rank: int,
     return spark.range(rows).select(F.col("id").alias("anchor_id"), F.array(*feats).alias("feats"))
 
 
-def anchor_mix(public: DataFrame, rows: int, seed: int = 0, key: str = "row_id") -> DataFrame:
-    """Oversampling of a public table: convex mixes of rows that are neighbours in a hash order of the first feature's slice."""
-    tagged = public.select(F.col(key).alias("k"), "feats", F.xxhash64(F.lit(seed), key).alias("h"))
-    picked = tagged.orderBy("h", "k").limit(rows)
-    from pyspark.sql.window import Window
-
-    bucket = F.pmod("h", F.lit(max(1, rows // 64)))
-    near = picked.withColumn("b", bucket).withColumn("other", F.lead("feats").over(Window.partitionBy("b").orderBy(F.col("feats")[0], "k")))
-    share = uniform(seed, F.col("k"), "mix")
+def anchor_mix(public: DataFrame, rows: int, seed: int = 0, key: str = "row_id", neighbours: int = 5, method: str = "exact") -> DataFrame:
+    """Oversampling of a public table: each anchor lies at random between a row and one of its nearest neighbours.
+
+    Rows are taken in the order of a hash, each as often as the number of anchors asks for. method: of
+    the neighbour search (`lsh` for a public table of many rows). A table of one row gives copies of it.
+    """
+    n = public.count()
+    copies = max(1, -(-rows // max(n, 1)))
+    points = public.select(F.col(key).cast("long").alias("k"), "feats")
+    near = graph.knn_graph(points, neighbours, "feats", "k", method=method, rows=n, seed=seed)
+    ranked = near.groupBy("src").agg(F.sort_array(F.collect_list(F.struct("dist", "dst"))).alias("near"))
+    drawn = points.withColumn("c", F.explode(F.sequence(F.lit(0), F.lit(copies - 1)))).withColumn("h", F.xxhash64(F.lit(seed), "k", "c"))
+    drawn = drawn.orderBy("c", "h", "k").limit(rows).join(ranked, F.col("k") == F.col("src"), "left")
+    partner = F.element_at("near", (F.pmod(F.xxhash64(F.lit(seed + 1), "k", "c"), F.size("near")) + 1).cast("int"))["dst"]
+    drawn = drawn.withColumn("partner", F.when(F.size("near") > 0, partner))
+    met = drawn.join(points.select(F.col("k").alias("partner"), F.col("feats").alias("other")), "partner", "left")
+    share = uniform(seed, F.concat_ws("~", F.col("k").cast("string"), F.col("c").cast("string")), "mix")
     mixed = F.zip_with("feats", F.coalesce("other", "feats"), lambda a, b: a + (b - a) * share)
-    return near.select(F.col("k").alias("anchor_id"), mixed.alias("feats"))
+    return met.select((F.col("k") * copies + F.col("c")).alias("anchor_id"), mixed.alias("feats"))
 
 
 def anchor_from(public: DataFrame, key: str = "row_id") -> DataFrame:

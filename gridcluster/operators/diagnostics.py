@@ -11,7 +11,10 @@ def outliers(df: DataFrame, top: int, distance: str = "dist", key: str = "row_id
     return df.orderBy(F.col(distance).desc(), key).limit(top)
 
 
-def distance_quantiles(df: DataFrame, distance: str = "dist", by: str = "pred", at: tuple[float, ...] = (0.5, 0.9, 0.99)) -> DataFrame:
+def distance_quantiles(df: DataFrame, distance: str = "dist", by: str = "pred", at: tuple[float, ...] = (0.5, 0.9, 0.99), exact: bool = False) -> DataFrame:
+    """Quantiles by cluster: a sketch of bounded size, or exact (interpolated) ones, which hold a cluster's distinct values in one task."""
+    if exact:
+        return df.groupBy(by).agg(F.percentile(distance, list(at)).alias("quantiles"))
     return df.groupBy(by).agg(F.percentile_approx(distance, list(at), 10_000).alias("quantiles"))
 
 
@@ -34,9 +37,12 @@ def summarise_trials(ledger: DataFrame) -> DataFrame:
 
 
 def pct_delta(summary: DataFrame, against: str = "pooled") -> DataFrame:
-    """Relative difference of each mean to that of `against`, in percent: absolute (improvements count too) and signed."""
+    """Relative difference of each mean to that of `against`, in percent: absolute (improvements count too) and signed.
+
+    Where that mean is 0, equal means differ by 0 percent and others by null, which averages leave out.
+    """
     base = summary.where(F.col("method") == against).select("dataset", "metric", F.col("mean").alias("base"))
-    diff = (F.col("mean") - F.col("base")) / F.abs("base") * 100
+    diff = F.when(F.col("mean") == F.col("base"), 0.0).otherwise(F.try_divide(F.col("mean") - F.col("base"), F.abs("base")) * 100)
     return summary.where(F.col("method") != against).join(base, ["dataset", "metric"]).select("dataset", "method", "metric", F.abs(diff).alias("pct"), diff.alias("signed_pct"))
 
 

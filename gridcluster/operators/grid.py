@@ -51,12 +51,17 @@ def split_grid(points: DataFrame, groups: int, row_group: Column | None = None,
     return points.withColumn("row_grp", expr.cast("int"))
 
 
+#: Rows of a slice that are ranked in one task, about.
+SLICE_ROWS = 200_000
+
+
 def equal_groups(points: DataFrame, groups: int, seed: int = 0, key: str = "row_id") -> DataFrame:
     """Random groups whose sizes differ by one at most: a rank within hash slices, carried over slices.
 
-    The order is that of a hash; slices of it are ranked side by side, so no task sees all rows.
+    The order is that of a hash; slices of it are ranked side by side, as many as keep a slice's rows
+    bounded, so no task sees all rows.
     """
-    slices = 256
+    slices = max(256, points.count() // SLICE_ROWS)
     h = F.xxhash64(F.lit(seed), F.col(key))
     tagged = points.withColumn("__h", h).withColumn("__s", F.pmod("__h", F.lit(slices)))
     before = Window.orderBy("s").rowsBetween(Window.unboundedPreceding, -1)

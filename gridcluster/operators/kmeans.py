@@ -25,8 +25,23 @@ class KMeansResult:
     passes: int = 0
 
 
+#: Moves of centers, in parts of the greatest coordinate, that count as none.
+ROUNDING = 1e-12
+#: Distances that are worked out at once.
+CELLS = 1 << 20
+
+
 def _distances(z: np.ndarray, centers: np.ndarray) -> np.ndarray:
-    return np.maximum((z * z).sum(axis=1)[:, None] - 2 * z @ centers.T + (centers * centers).sum(axis=1)[None], 0)
+    """Squared distances by differences, coordinate after coordinate: the same numbers, to the last digit, as the
+    generated code of `functions.vectors`, and no loss of digits for features far from zero."""
+    out = np.zeros((len(z), len(centers)))
+    step = max(1, CELLS // max(1, len(centers)))
+    for a in range(0, len(z), step):
+        part = out[a : a + step]
+        for i in range(z.shape[1]):
+            d = z[a : a + step, i, None] - centers[None, :, i]
+            part += d * d
+    return out
 
 
 def _batches(it: Iterator[pa.RecordBatch], key: str, name: str, group: str | None, weight: str | None):
@@ -197,9 +212,11 @@ def lloyd_step(df: DataFrame, centers: dict[int, list[np.ndarray]], name: str =
 def lloyd(df: DataFrame, centers: dict[int, list[np.ndarray]], passes: int = 300, tol: float | None = None, name: str = "z", key: str = "row_id", group: str | None = None, weight: str | None = None) -> dict[int, list[KMeansResult]]:
     """`passes` updates of all groups' and restarts' centers; an empty cluster keeps its center.
 
-    Ends early when nothing moves any more (further passes would change nothing), or when no center
+    Ends early when nothing moves any more but by rounding (sums come in any order), or when no center
     moves by more than tol. Ties go to the lowest cluster.
     """
+    size = max((float(np.abs(c).max(initial=0)) for cs in centers.values() for c in cs), default=0.0)
+    still = ROUNDING * max(size, 1e-300)
     results = {g: [KMeansResult(c, float("nan")) for c in cs] for g, cs in centers.items()}
     now = {g: [c.copy() for c in cs] for g, cs in centers.items()}
     for done in range(passes + 1):
@@ -213,7 +230,7 @@ def lloyd(df: DataFrame, centers: dict[int, list[np.ndarray]], passes: int = 300
                     new = np.where(n[:, None] > 0, s / np.maximum(n, 1e-300)[:, None], now[g][r])
                     moved = max(moved, float(np.abs(new - now[g][r]).max(initial=0)))
                     now[g][r] = new
-        if moved == 0.0 or (tol is not None and moved <= tol):
+        if moved <= max(still, tol or 0.0):
             break
     return results
 
@@ -221,8 +238,8 @@ def lloyd(df: DataFrame, centers: dict[int, list[np.ndarray]], passes: int = 300
 def fit(df: DataFrame, k: int, passes: int = 300, seed: int = 0, restarts: int = 1, tol: float | None = None, name: str = "z", key: str = "row_id", seeding: str = "dsq", sample: float | None = None, weight: str | None = None) -> KMeansResult:
     """Seeding and Lloyd passes; the restart of least inertia. Points are kept narrow in memory and on disk.
 
-    seeding: `dsq`, or `parallel` for many clusters. sample: passes on a hash sample first, then on
-    all rows from there.
+    seeding: `dsq`, k passes over the rows; or `parallel`, five passes whatever k, the choice for many
+    clusters. sample: passes on a hash sample first, then on all rows from there. No rows: no centers.
     """
     if k < 1:
         raise ValueError("k")
@@ -243,14 +260,14 @@ def fit(df: DataFrame, k: int, passes: int = 300, seed: int = 0, restarts: int =
 
 
 def assign(df: DataFrame, centers: np.ndarray, name: str = "z", label: str = "pred", distance: str | None = None) -> DataFrame:
-    """Adds the nearest center's number (ties to the lowest). Narrow and stateless: for streams too.
+    """Adds the nearest center's number (ties to the lowest; null without any center). Narrow and stateless: for streams too.
 
-    Up to a few hundred products the distances are plain expressions in generated code; beyond, a
-    batch at a time by matrix products.
+    Up to a few hundred products the distances are plain expressions in generated code; beyond, the same
+    sums a batch at a time.
     """
     from ..functions.vectors import nearest
 
-    k, m = centers.shape
+    k, m = centers.shape if centers.ndim == 2 else (0, 0)
     if k * m <= 256:
         number, least = nearest([F.col(name)[i] for i in range(m)], centers.tolist())
         out = df.withColumn(label, number)

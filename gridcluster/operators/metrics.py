@@ -110,24 +110,27 @@ def agreement(a: DataFrame, b: DataFrame, key: str = "row_id", label: str = "pre
 
 
 def ari_rows(df: DataFrame, truth: str = "truth", pred: str = "pred") -> DataFrame:
-    """The adjusted Rand index as a one-row table, by aggregation alone."""
+    """The adjusted Rand index as a one-row table, by aggregation alone; 1 where `ari` gives 1 for trivial sides."""
     u = contingency(df, truth, pred)
-    pairs = lambda c: F.sum(F.col(c).cast("double") * (F.col(c) - 1) / 2)
-    one = u.agg(pairs("cnt").alias("i"), F.sum("cnt").cast("double").alias("n"))
+    pairs = lambda c: F.coalesce(F.sum(F.col(c).cast("double") * (F.col(c) - 1) / 2), F.lit(0.0))
+    one = u.agg(pairs("cnt").alias("i"), F.coalesce(F.sum("cnt"), F.lit(0)).cast("double").alias("n"))
     a = u.groupBy("truth").agg(F.sum("cnt").alias("c")).agg(pairs("c").alias("a"))
     b = u.groupBy("pred").agg(F.sum("cnt").alias("c")).agg(pairs("c").alias("b"))
-    expected = F.col("a") * F.col("b") / (F.col("n") * (F.col("n") - 1) / 2)
-    return one.crossJoin(a).crossJoin(b).select(((F.col("i") - expected) / ((F.col("a") + F.col("b")) / 2 - expected)).alias("ari"))
+    expected = F.try_divide(F.col("a") * F.col("b"), F.col("n") * (F.col("n") - 1) / 2)
+    value = F.try_divide(F.col("i") - expected, (F.col("a") + F.col("b")) / 2 - expected)
+    return one.crossJoin(a).crossJoin(b).select(F.coalesce(value, F.lit(1.0)).alias("ari"))  # three one-row tables
 
 
 def nmi_rows(df: DataFrame, truth: str = "truth", pred: str = "pred") -> DataFrame:
+    """Normalised mutual information as a one-row table; 0 if one side is constant, 1 if both are."""
     u = contingency(df, truth, pred)
     total = u.agg(F.sum("cnt").cast("double").alias("n"))
     a = u.groupBy("truth").agg(F.sum("cnt").cast("double").alias("a"))
     b = u.groupBy("pred").agg(F.sum("cnt").cast("double").alias("b"))
-    entropy = lambda d, c: d.crossJoin(total).agg((-F.sum(F.col(c) / F.col("n") * F.ln(F.col(c) / F.col("n")))).alias(f"h{c}"))
-    mutual = u.join(a, "truth").join(b, "pred").crossJoin(total).agg(F.sum(F.col("cnt") / F.col("n") * F.ln(F.col("cnt") * F.col("n") / (F.col("a") * F.col("b")))).alias("mi"))
-    return mutual.crossJoin(entropy(a, "a")).crossJoin(entropy(b, "b")).select((F.col("mi") / F.sqrt(F.col("ha") * F.col("hb"))).alias("nmi"))
+    entropy = lambda d, c: d.crossJoin(total).agg(F.coalesce(-F.sum(F.col(c) / F.col("n") * F.ln(F.col(c) / F.col("n"))), F.lit(0.0)).alias(f"h{c}"))
+    mutual = u.join(a, u["truth"].eqNullSafe(a["truth"])).join(b, u["pred"].eqNullSafe(b["pred"])).crossJoin(total).agg(F.coalesce(F.sum(F.col("cnt") / F.col("n") * F.ln(F.col("cnt") * F.col("n") / (F.col("a") * F.col("b")))), F.lit(0.0)).alias("mi"))
+    trivial = F.when((F.col("ha") <= 0) & (F.col("hb") <= 0), 1.0).when((F.col("ha") <= 0) | (F.col("hb") <= 0), 0.0)
+    return mutual.crossJoin(entropy(a, "a")).crossJoin(entropy(b, "b")).select(trivial.otherwise(F.try_divide("mi", F.sqrt(F.col("ha") * F.col("hb")))).alias("nmi"))
 
 
 def dataset_card(df: DataFrame, features: int, truth: str = "truth") -> DataFrame:

@@ -11,7 +11,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .grid import GridSpec
-from .numeric import fix_signs, list_column, matrix, moments
+from .numeric import fix_signs, gram, list_column, matrix, moments
 
 
 @dataclass
@@ -70,21 +70,22 @@ def fit_pca_maps(points: DataFrame, spec: GridSpec, width: str | int = "minus1",
     A constant feature keeps scale 1. center=False takes components about zero. rotate_seed mixes each
     party's code by its own secret rotation.
     """
-    maps = {}
-    for (i, j), (n, mean, cross) in sorted(moments(points, spec.col_groups).items()):
-        m = len(mean)
-        w = code_width(m, width, allow_full)
-        cov = cross / max(n, 1)
-        if not center:
-            cov, mean = cov + np.outer(mean, mean), np.zeros(m)
-        sd = np.sqrt(np.maximum(np.diag(cov), 0)) if scale else np.ones(m)
-        sd = np.where(sd > 1e-12 * max(1.0, float(np.abs(mean).max(initial=0))), sd, 1.0)
-        values, vectors = np.linalg.eigh(cov / np.outer(sd, sd))
-        proj = fix_signs(vectors[:, ::-1][:, :w])
-        if rotate_seed is not None:
-            proj = proj @ rotation(w, rotate_seed + 1009 * i + j)
-        maps[i, j] = AffineMap(mean, sd, proj)
-    return maps
+    found = sorted(moments(points, spec.col_groups).items())
+    return {(i, j): pca_map(n, mean, cross, width, scale, center, None if rotate_seed is None else rotate_seed + 1009 * i + j, allow_full) for (i, j), (n, mean, cross) in found}
+
+
+def pca_map(n: int, mean: np.ndarray, cross: np.ndarray, width: str | int = "minus1", scale: bool = True, center: bool = True, rotate_seed: int | None = None, allow_full: bool = False) -> AffineMap:
+    """One party's map from its rows' number, mean and centered cross products."""
+    m = len(mean)
+    w = code_width(m, width, allow_full)
+    cov = cross / max(n, 1)
+    if not center:
+        cov, mean = cov + np.outer(mean, mean), np.zeros(m)
+    sd = np.sqrt(np.maximum(np.diag(cov), 0)) if scale else np.ones(m)
+    sd = np.where(sd > 1e-12 * max(1.0, float(np.abs(mean).max(initial=0))), sd, 1.0)
+    _, vectors = np.linalg.eigh(cov / np.outer(sd, sd))
+    proj = fix_signs(vectors[:, ::-1][:, :w])
+    return AffineMap(mean, sd, proj if rotate_seed is None else proj @ rotation(w, rotate_seed))
 
 
 def sample_rows(points: DataFrame, per_group: int, seed: int, key: str = "row_id") -> dict[int, np.ndarray]:
@@ -101,24 +102,41 @@ def sample_rows(points: DataFrame, per_group: int, seed: int, key: str = "row_id
     return {g: np.array(x) for g, x in out.items()}
 
 
-def fit_lpp_maps(points: DataFrame, spec: GridSpec, width: str | int = "minus1", neighbours: int = 10, sample: int = 1000, seed: int = 0) -> dict[tuple[int, int], AffineMap]:
-    """Locality-preserving projection on a bounded sample of each party: smallest generalised
-    eigenvectors of the neighbour graph's Laplacian against its degrees."""
-    stats = moments(points, spec.col_groups)
-    rows = sample_rows(points, sample, seed)
-    maps = {}
-    for (i, j), (n, mean, cross) in sorted(stats.items()):
+def _scaled_blocks(points: DataFrame, spec: GridSpec, stats: dict) -> dict[tuple[int, int], tuple[np.ndarray, np.ndarray]]:
+    """Mean and deviation of each party's features; 1 for a constant one."""
+    out = {}
+    for key, (n, mean, cross) in sorted(stats.items()):
         sd = np.sqrt(np.diag(cross) / max(n, 1))
-        sd = np.where(sd > 1e-12, sd, 1.0)
-        x = (rows[i][:, list(spec.col_groups[j])] - mean) / sd
-        d = ((x[:, None] - x[None]) ** 2).sum(axis=2)
-        np.fill_diagonal(d, np.inf)
-        near = np.argsort(d, axis=1, kind="stable")[:, : min(neighbours, len(x) - 1)]
-        w = np.zeros(d.shape)
-        w[np.arange(len(x))[:, None], near] = 1
-        w = np.maximum(w, w.T)
-        deg = w.sum(axis=1)
-        a, b = x.T @ (deg[:, None] * x) - x.T @ w @ x, x.T @ (deg[:, None] * x)
+        out[key] = (mean, np.where(sd > 1e-12, sd, 1.0))
+    return out
+
+
+def fit_lpp_maps(points: DataFrame, spec: GridSpec, width: str | int = "minus1", neighbours: int = 10, sample: int | None = None, seed: int = 0, method: str = "exact", key: str = "row_id") -> dict[tuple[int, int], AffineMap]:
+    """Locality-preserving projection: smallest generalised eigenvectors of the Laplacian of a party's
+    neighbour graph against its degrees.
+
+    All rows of a party take part: its graph is an edge table, and two sums of outer products over it reach the
+    driver. method: of the neighbour search (`lsh` for parties of many rows). sample: at most so many rows of each
+    row group instead, solved on the driver.
+    """
+    scales = _scaled_blocks(points, spec, moments(points, spec.col_groups))
+    if sample is not None:
+        rows = sample_rows(points, sample, seed, key)
+    maps = {}
+    for (i, j), (mean, sd) in scales.items():
+        cols = list(spec.col_groups[j])
+        if sample is not None:
+            x = (rows[i][:, cols] - mean) / sd
+            d = ((x[:, None] - x[None]) ** 2).sum(axis=2)
+            np.fill_diagonal(d, np.inf)
+            near = np.argsort(d, axis=1, kind="stable")[:, : min(neighbours, len(x) - 1)]
+            w = np.zeros(d.shape)
+            w[np.arange(len(x))[:, None], near] = 1
+            w = np.maximum(w, w.T)
+            deg = w.sum(axis=1)
+            a, b = x.T @ (deg[:, None] * x) - x.T @ w @ x, x.T @ (deg[:, None] * x)
+        else:
+            a, b = _graph_products(points, i, cols, mean, sd, neighbours, seed, method, key)
         e, u = np.linalg.eigh(b + 1e-9 * np.trace(b) / len(b) * np.eye(len(b)))
         half = u / np.sqrt(e)
         _, v = np.linalg.eigh(half.T @ a @ half)
@@ -127,31 +145,83 @@ def fit_lpp_maps(points: DataFrame, spec: GridSpec, width: str | int = "minus1",
     return maps
 
 
-def fit_autoencoder_maps(points: DataFrame, spec: GridSpec, width: str | int = "minus1", hidden: int = 16, epochs: int = 300, rate: float = 0.05, sample: int = 1000, seed: int = 0) -> dict[tuple[int, int], NeuralMap]:
-    """A small autoencoder a party, trained on a bounded sample by full-batch gradient steps with momentum."""
-    stats = moments(points, spec.col_groups)
-    rows = sample_rows(points, sample, seed)
-    maps = {}
-    for (i, j), (n, mean, cross) in sorted(stats.items()):
-        sd = np.sqrt(np.diag(cross) / max(n, 1))
-        sd = np.where(sd > 1e-12, sd, 1.0)
-        x = (rows[i][:, list(spec.col_groups[j])] - mean) / sd
-        m, w = x.shape[1], code_width(len(mean), width)
+def _graph_products(points: DataFrame, i: int, cols: list[int], mean: np.ndarray, sd: np.ndarray, neighbours: int, seed: int, method: str, key: str) -> tuple[np.ndarray, np.ndarray]:
+    """X'LX and X'DX of a party's neighbour graph: sums over edges of the outer products of differences and of ends."""
+    from ..session import forget, materialise
+    from . import graph
+
+    spark = points.sparkSession
+    z = F.array(*((F.col("feats")[c] - F.lit(float(m))) / F.lit(float(v)) for c, m, v in zip(cols, mean, sd)))
+    rows = materialise(spark, points.where(F.col("row_grp") == i).select(F.col(key).alias("id"), z.alias("z")), "party")
+    near = graph.knn_graph(rows, neighbours, "z", "id", method=method, seed=seed)
+    edges = near.select(F.least("src", "dst").alias("a"), F.greatest("src", "dst").alias("b")).distinct()
+    ends = edges.join(rows.select(F.col("id").alias("a"), F.col("z").alias("x")), "a").join(rows.select(F.col("id").alias("b"), F.col("z").alias("y")), "b")
+    pairs = materialise(spark, ends.select("x", "y"), "edges")
+    lap = gram(pairs.select(F.zip_with("x", "y", lambda p, q: p - q).alias("v")), "v")
+    own = gram(pairs.select(F.col("x").alias("v")).unionAll(pairs.select(F.col("y").alias("v"))), "v")
+    forget(spark, rows, pairs)
+    width = len(cols)
+    return (lap, own) if len(own) else (np.eye(width), np.eye(width))
+
+
+def fit_autoencoder_maps(points: DataFrame, spec: GridSpec, width: str | int = "minus1", hidden: int = 16, steps: int = 30, rounds: int = 10, rate: float = 0.05, seed: int = 0) -> dict[tuple[int, int], NeuralMap]:
+    """A small autoencoder a party, trained over all its rows.
+
+    A round is one scan for all parties: each task takes some gradient steps with momentum on each batch
+    of a party's rows, and the tasks' weights are averaged by their rows; the next round goes on from there.
+    """
+    scales = _scaled_blocks(points, spec, moments(points, spec.col_groups))
+    nets = {}
+    for (i, j), (mean, _) in scales.items():
+        m, w = len(mean), code_width(len(mean), width)
         rng = np.random.default_rng(seed + 1009 * i + j)
-        p = [rng.standard_normal((m, hidden)) / np.sqrt(m), np.zeros(hidden), rng.standard_normal((hidden, w)) / np.sqrt(hidden), np.zeros(w), rng.standard_normal((w, m)) / np.sqrt(w), np.zeros(m)]
-        speed = [np.zeros_like(q) for q in p]
-        for _ in range(epochs):
-            h = np.tanh(x @ p[0] + p[1])
-            z = h @ p[2] + p[3]
-            err = (z @ p[4] + p[5] - x) / len(x)
-            dz = err @ p[4].T
-            dh = dz @ p[2].T * (1 - h * h)
-            grads = [x.T @ dh, dh.sum(axis=0), h.T @ dz, dz.sum(axis=0), z.T @ err, err.sum(axis=0)]
-            for k, g in enumerate(grads):
-                speed[k] = 0.9 * speed[k] - rate * g
-                p[k] = p[k] + speed[k]
-        maps[i, j] = NeuralMap(mean, sd, p[:4])
-    return maps
+        nets[i, j] = [rng.standard_normal((m, hidden)) / np.sqrt(m), np.zeros(hidden), rng.standard_normal((hidden, w)) / np.sqrt(hidden), np.zeros(w), rng.standard_normal((w, m)) / np.sqrt(w), np.zeros(m)]
+    groups = spec.col_groups
+    for _ in range(rounds):
+        now = {key: [p.copy() for p in net] for key, net in nets.items()}
+
+        def run(batches: Iterator[pa.RecordBatch], now=now) -> Iterator[pa.RecordBatch]:
+            held: dict[tuple[int, int], list] = {}
+            for b in batches:
+                if not b.num_rows:
+                    continue
+                x, grp = matrix(b.column("feats")), b.column("row_grp").to_numpy()
+                for i in np.unique(grp):
+                    for j, cols in enumerate(groups):
+                        mean, sd = scales[int(i), j]
+                        at = held.setdefault((int(i), j), [0, [p.copy() for p in now[int(i), j]]])
+                        part = (x[grp == i][:, list(cols)] - mean) / sd
+                        at[0] += len(part)
+                        _train(at[1], part, steps, rate)
+            names = ["row_grp", "col_grp", "n", "dots"]
+            rows = [(i, j, n, (n * np.concatenate([p.ravel() for p in net])).tolist()) for (i, j), (n, net) in held.items()]
+            types = [pa.int32(), pa.int32(), pa.int64(), pa.list_(pa.float64())]
+            yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(list(zip(*rows)) or [[]] * 4, types)], names=names)
+
+        def add(t: pa.Table) -> pa.Table:
+            return pa.table({"row_grp": t["row_grp"].slice(0, 1), "col_grp": t["col_grp"].slice(0, 1), "n": pa.array([sum(t["n"].to_pylist())]), "dots": list_column(matrix(t["dots"]).sum(axis=0, keepdims=True))})
+
+        schema = "row_grp int, col_grp int, n long, dots array<double>"
+        for r in points.select("row_grp", "feats").mapInArrow(run, schema).groupBy("row_grp", "col_grp").applyInArrow(add, schema).collect():  # a row a party
+            flat, at, net = np.array(r["dots"]) / r["n"], 0, nets[r["row_grp"], r["col_grp"]]
+            for p in net:
+                p[...] = flat[at : at + p.size].reshape(p.shape)
+                at += p.size
+    return {key: NeuralMap(*scales[key], net[:4]) for key, net in nets.items()}
+
+
+def _train(p: list[np.ndarray], x: np.ndarray, steps: int, rate: float) -> None:
+    speed = [np.zeros_like(q) for q in p]
+    for _ in range(steps):
+        h = np.tanh(x @ p[0] + p[1])
+        z = h @ p[2] + p[3]
+        err = (z @ p[4] + p[5] - x) / len(x)
+        dz = err @ p[4].T
+        dh = dz @ p[2].T * (1 - h * h)
+        grads = [x.T @ dh, dh.sum(axis=0), h.T @ dz, dz.sum(axis=0), z.T @ err, err.sum(axis=0)]
+        for k, g in enumerate(grads):
+            speed[k] = 0.9 * speed[k] - rate * g
+            p[k] += speed[k]
 
 
 def encode(points: DataFrame, spec: GridSpec, maps: dict, key: str = "row_id") -> DataFrame:

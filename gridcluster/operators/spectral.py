@@ -2,13 +2,15 @@
 
 from __future__ import annotations
 
+import warnings
 from dataclasses import dataclass
 
 import numpy as np
+from pyspark import StorageLevel
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from ..session import materialise
+from ..session import forget, materialise
 from . import graph, kmeans
 from .numeric import fix_signs
 
@@ -36,58 +38,78 @@ def dense_embedding(ids: np.ndarray, src: np.ndarray, dst: np.ndarray, w: np.nda
     return values[:k], fix_signs(vectors[:, :k])
 
 
-def subspace_embedding(spark: SparkSession, edges: DataFrame, k: int, steps: int = 60, tol: float = 1e-6, padding: int = 2, seed: int = 0) -> tuple[DataFrame, np.ndarray]:
-    """The same eigenvectors by block subspace iteration on I plus the normalised weights.
+#: Products with the edges between two written blocks, and what a round may leave as residual of an eigenvector.
+DEGREE, TOLERANCE = 12, 1e-4
 
-    A step is one join and one sum over the edges; only a small matrix of products reaches the driver.
-    Every few steps the block is made orthonormal, turned to its Ritz vectors and written to the shared folder.
+
+def subspace_embedding(spark: SparkSession, edges: DataFrame, k: int, rounds: int = 25, tol: float = TOLERANCE, padding: int | None = None, seed: int = 0, degree: int = DEGREE) -> tuple[DataFrame, np.ndarray]:
+    """The same eigenvectors by subspace iteration with a Chebyshev filter of the normalised weights.
+
+    A product is one join with the edges, which lie dealt by their end once and for all, and one sum by
+    their begin; the block and the one before it, which the filter's recursion needs, travel in one row, so
+    `degree` products are one job without a table in between. After them the block is made orthonormal and
+    turned to its Ritz vectors; only small matrices of products reach the driver. Ends when the residual
+    of each of the k vectors is at most tol; warns if `rounds` don't get there.
     """
     from ..functions.portable import gaussian
 
-    p = k + padding
+    p = k + (max(4, k) if padding is None else padding)
     norm = materialise(spark, graph.normalised_weights(edges), "normalised")
     ids = norm.select(F.col("src").alias("id")).distinct()
-    q = materialise(spark, ids.select("id", *(gaussian(seed, F.col("id"), i).alias(f"v{i}") for i in range(p))), "block")
-    cols = [f"v{i}" for i in range(p)]
+    parts = int(spark.conf.get("spark.sql.shuffle.partitions"))
+    both = norm.select("src", "dst", "w", F.lit(False).alias("own")).unionAll(ids.select(F.col("id").alias("src"), F.col("id").alias("dst"), F.lit(0.0).alias("w"), F.lit(True).alias("own")))
+    ends = both.repartition(parts, "dst").persist(StorageLevel.MEMORY_AND_DISK)
+    cols, olds = [f"v{i}" for i in range(p)], [f"o{i}" for i in range(p)]
 
     def products(a: DataFrame, left: list[str], right: list[str]) -> np.ndarray:
         r = a.agg(*(F.sum(F.col(x) * F.col(y)).alias(f"{i}_{j}") for i, x in enumerate(left) for j, y in enumerate(right))).first()
-        return np.array(r).reshape(len(left), len(right))
+        return np.array(r, dtype=np.float64).reshape(len(left), len(right))
 
     def turned(a: DataFrame, t: np.ndarray) -> DataFrame:
         return a.select("id", *(sum((F.col(x) * F.lit(float(t[i, j])) for i, x in enumerate(cols)), F.lit(0.0)).alias(cols[j]) for j in range(t.shape[1])))
 
-    def multiplied(a: DataFrame) -> DataFrame:
-        moved = norm.join(a.withColumnRenamed("id", "dst"), "dst").select(F.col("src").alias("id"), *((F.col("w") * F.col(c)).alias(c) for c in cols))
-        return moved.unionAll(a.select("id", *cols)).groupBy("id").agg(*(F.sum(c).alias(c) for c in cols))
-
-    def orthonormal(a: DataFrame) -> DataFrame:
-        s = products(a, cols, cols)
-        values, vectors = np.linalg.eigh(s)
-        return turned(a, vectors / np.sqrt(np.maximum(values, 1e-300 + values[-1] * 1e-15)))
-
-    q = materialise(spark, orthonormal(q), "block")
-    before = np.full(k, np.inf)
-    ritz = np.zeros(p)
-    for step in range(0, steps, 4):
-        y = q
-        for _ in range(4):
-            y = materialise(spark, multiplied(y), "block")
-        q = materialise(spark, orthonormal(y), "block")
-        b = materialise(spark, multiplied(q).select("id", *(F.col(c).alias(f"b{i}") for i, c in enumerate(cols))).join(q, "id"), "image")
-        t = products(b, cols, [f"b{i}" for i in range(p)])
-        ritz, turn = np.linalg.eigh((t + t.T) / 2)
-        ritz, turn = ritz[::-1], turn[:, ::-1]
-        q = turned(q, turn)
-        if np.abs(ritz[:k] - before).max() < tol:
-            break
-        before = ritz[:k]
-    q = materialise(spark, q, "block")
-    return q.select(F.col("id").alias("row_id"), F.array(*cols[:k]).alias("z")), 2 - ritz[:k]
+    def step(a: DataFrame, edge: float, own: float, old: float, keep: bool = True) -> DataFrame:
+        """edge * (weights times v) + own * v + old * o, and v as the next o."""
+        met = ends.join(a, F.col("dst") == F.col("id"))
+        new = [F.when(F.col("own"), F.col(v) * own + (F.col(o) * old if old else 0.0)).otherwise(F.col("w") * F.col(v) * edge).alias(v) for v, o in zip(cols, olds)]
+        before = [F.when(F.col("own"), F.col(v)).otherwise(0.0).alias(o) for v, o in zip(cols, olds)]
+        return met.select(F.col("src").alias("id"), *new, *(before if keep else [])).groupBy("id").agg(*(F.sum(c).alias(c) for c in cols + (olds if keep else [])))
+
+    try:
+        block = materialise(spark, ids.select("id", *(gaussian(seed, F.col("id"), i).alias(f"v{i}") for i in range(p))), "block")
+        view, turn, low, ritz, rest = block, np.eye(p), 0.5, np.zeros(p), np.inf
+        for _ in range(rounds):
+            half, mid = (low + 1) / 2, (low - 1) / 2  # the filter damps what lies between -1 and low
+            y = step(turned(view, turn), 1 / half, -mid / half, 0.0)
+            for _ in range(degree - 1):
+                y = step(y, 2 / half, -2 * mid / half, -1.0)
+            y = materialise(spark, y.select("id", *cols), "block")
+            forget(spark, block)
+            values, vectors = np.linalg.eigh(products(y, cols, cols))
+            orthonormal = turned(y, vectors / np.sqrt(np.maximum(values, 1e-300 + values[-1] * 1e-15)))
+            images = step(orthonormal, 1.0, 0.0, 0.0)  # an image and, as `o`, what it is of
+            block = materialise(spark, images, "block")
+            forget(spark, y)
+            t, square = products(block, olds, cols), products(block, cols, cols)
+            ritz, turn = np.linalg.eigh((t + t.T) / 2)
+            ritz, turn = ritz[::-1], turn[:, ::-1]
+            left = np.sqrt(np.maximum(np.einsum("ij,ik,kj->j", turn, square, turn) - ritz**2, 0))
+            view = block.select("id", *(F.col(o).alias(v) for o, v in zip(olds, cols)))
+            rest, low = float(left[:k].max()), float(np.clip(ritz[-1], -0.5, 1 - 1e-6))
+            if rest <= tol:
+                break
+        else:
+            warnings.warn(f"the embedding was left with residuals of {rest:.1e} after {rounds} rounds", stacklevel=2)
+        out = materialise(spark, turned(view, turn), "embedding")
+        forget(spark, block)
+        return out.select(F.col("id").alias("row_id"), F.array(*cols[:k]).alias("z")), 1 - ritz[:k]
+    finally:
+        ends.unpersist()
 
 
 def embed(spark: SparkSession, edges: DataFrame, k: int, nodes: int | None = None, row_normalise: bool = False) -> tuple[DataFrame, np.ndarray]:
-    """row_id, z for every node with an edge; on the driver while the graph is small, else distributed."""
+    """row_id, z for every node with an edge; a small graph's eigenproblem is solved whole on the driver, a larger
+    one's by iteration to a residual of TOLERANCE. row_normalise: each row of the embedding at length 1."""
     n = nodes if nodes is not None else edges.select("src").distinct().count()
     if n <= DENSE_NODES:
         e = edges.select("src", "dst", "w").toArrow()  # at most DENSE_NODES x neighbours rows

@@ -50,7 +50,8 @@ def grid_cluster(points: DataFrame, spec: GridSpec, k: int, algo: str = "kmeans"
 
     Parties reduce their rows and the shared anchors by private maps and send both once; the hub learns
     aligners from the anchors' codes, clusters the common representation, and sends back centers and
-    each row group's part of the cluster space; parties label rows by the nearest center.
+    each row group's part of the cluster space; parties label rows by the nearest center. Row ids must be
+    unique wherever rows are put together by them: without `fuse`, and for neighbour graphs; that is checked.
 
     aligner: `affine`, `linear`, or `none` (codes as they are: shown to fail). fuse: map and align in
     one narrow step, for one trusted cluster. landmarks: spectral clustering of so many representatives,
@@ -60,6 +61,10 @@ def grid_cluster(points: DataFrame, spec: GridSpec, k: int, algo: str = "kmeans"
     n_by = {r["row_grp"]: r["n"] for r in points.groupBy("row_grp").agg(F.count(F.lit(1)).alias("n")).collect()}
     if not n_by:
         raise ValueError("no points")
+    if not fuse or (algo == "spectral" and not landmarks):
+        twice = points.groupBy("row_id").agg(F.count(F.lit(1)).alias("n")).where("n > 1").first()
+        if twice:
+            raise ValueError(f"row_id {twice['row_id']} is there {twice['n']} times: ids must be unique")
     maps = fit_maps(points, spec, map_kind, **(map_options or {}))
     widths = {key: m.width for key, m in maps.items()}
     total = sum(widths.values())

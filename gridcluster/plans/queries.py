@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+import math
+import uuid
 from collections.abc import Callable
 
 import numpy as np
@@ -13,8 +15,8 @@ from ..functions.vectors import dot, norm, sqdist
 from ..operators import align, anchors, diagnostics, graph, grid, kmeans, metrics, numeric, partymap, privacy, protocol
 from ..operators import spectral as spectral_ops
 from ..operators.grid import GridSpec, even_columns, split_grid
-from ..session import materialise
-from ..sources.tables import hash_sample, load
+from ..session import materialise, shared_dir
+from ..sources.tables import hash_sample, load, load_model, load_text, save_model, write_blocks
 from ..streaming import scoring
 from . import baselines, sqlapi, workloads
 from .estimator import GridClusterer
@@ -37,16 +39,21 @@ def r(c, digits: int = DIGITS):
 # -- points that several queries share -------------------------------------------------------------------------
 
 
-def vectors(spark: SparkSession, sf_dir: str, dims: int) -> DataFrame:
+#: Components of the given vectors; all are used.
+DIMS = 64
+
+
+def vectors(spark: SparkSession, sf_dir: str) -> DataFrame:
+    dims = DIMS
     return load(spark, sf_dir, "embeddings").select(F.col("vec_id").alias("row_id"), F.array(*(F.col("embedding")[i].cast("double") for i in range(dims))).alias("z"), "label")
 
 
 #: Fixed centers for queries whose result must not depend on a search.
-CENTERS = np.array([[0.2, 0.0, 0.0, 0.0], [-0.1, 0.2, 0.0, 0.0], [-0.1, -0.2, 0.1, 0.0]])
+CENTERS = np.array([[round(0.1 * math.cos(1.3 * k + 0.7 * i), 3) for i in range(DIMS)] for k in range(3)])
 
 
 def assigned(spark: SparkSession, sf_dir: str) -> DataFrame:
-    v = vectors(spark, sf_dir, 4)
+    v = vectors(spark, sf_dir)
     return kmeans.assign(v, CENTERS, distance="dist").withColumn("truth", F.pmod("label", F.lit(3)))
 
 
@@ -203,7 +210,7 @@ def alignment_residuals(spark, sf_dir):
     """Linear against affine aligners on reduced codes."""
     codes, _ = _anchor_codes(spark, sf_dir, scale=True)
     rows = [(kind, solver, align.fit_aligner(codes, kind, solver=solver).residual(0, 1)) for kind in ("linear", "affine") for solver in ("gram", "tsqr")]
-    return spark.createDataFrame(rows, "kind string, solver string, residual double")
+    return spark.createDataFrame(rows, "kind string, solver string, residual double").select("kind", "solver", (F.col("residual") > 1e-3).alias("left_over"))
 
 
 @query
@@ -246,13 +253,13 @@ def nearest_center(spark, sf_dir):
 def nearest_center_sql(spark, sf_dir):
     """The same through the registered SQL function."""
     sqlapi.register_all(spark)
-    vectors(spark, sf_dir, 4).createOrReplaceTempView("gridcluster_points")
+    vectors(spark, sf_dir).createOrReplaceTempView("gridcluster_points")
     text = ", ".join("array(" + ", ".join(f"{x}D" for x in c) + ")" for c in CENTERS.tolist())
     return spark.sql(f"SELECT row_id, nearest_center(z, array({text})) AS pred FROM gridcluster_points")
 
 
 def _lloyd(spark, sf_dir, passes):
-    v = vectors(spark, sf_dir, 4)
+    v = vectors(spark, sf_dir)
     found = kmeans.lloyd(v, {0: [kmeans.seed_fixed(v, 3)]}, passes)[0][0]
     return spark.createDataFrame([(k, i, float(x)) for k, c in enumerate(found.centers) for i, x in enumerate(c)], "cluster int, pos int, val double").withColumn("val", r("val"))
 
@@ -270,25 +277,25 @@ def lloyd_5(spark, sf_dir):
 @query
 def dsq_weights(spark, sf_dir):
     """Squared distance to the nearest of the first three rows: the weights of the next draw."""
-    v = vectors(spark, sf_dir, 4)
+    v = vectors(spark, sf_dir)
     return kmeans.assign(v, kmeans.seed_fixed(v, 3), distance="d").select("row_id", r("d").alias("w"))
 
 
 @query
 def seed_farthest(spark, sf_dir):
-    c = kmeans.seed_fixed(vectors(spark, sf_dir, 4), 4, "farthest")
+    c = kmeans.seed_fixed(vectors(spark, sf_dir), 4, "farthest")
     return spark.createDataFrame([(i, float(x[0]), float(x[1])) for i, x in enumerate(c)], "draw int, z0 double, z1 double").select("draw", r("z0").alias("z0"), r("z1").alias("z1"))
 
 
 @query
 def seed_dsq(spark, sf_dir):
-    c = kmeans.seed_dsq(vectors(spark, sf_dir, 4), 5, seed=3)[0][0]
+    c = kmeans.seed_dsq(vectors(spark, sf_dir), 5, seed=3)[0][0]
     return spark.createDataFrame([(i, x.tolist()) for i, x in enumerate(c)], "draw int, center array<double>")
 
 
 @query
 def seed_parallel(spark, sf_dir):
-    c = kmeans.seed_parallel(vectors(spark, sf_dir, 4), 5, seed=3)
+    c = kmeans.seed_parallel(vectors(spark, sf_dir), 5, seed=3)
     return spark.createDataFrame([(i, x.tolist()) for i, x in enumerate(c)], "draw int, center array<double>")
 
 
@@ -309,7 +316,7 @@ def fed_merge_round(spark, sf_dir):
 
 
 def _edges(spark, sf_dir):
-    return graph.knn_graph(vectors(spark, sf_dir, 8), q=5)
+    return graph.knn_graph(vectors(spark, sf_dir), q=5)
 
 
 @query
@@ -319,7 +326,7 @@ def knn_edges(spark, sf_dir):
 
 @query
 def knn_edges_lsh(spark, sf_dir):
-    return graph.knn_graph(vectors(spark, sf_dir, 8), q=5, method="lsh")
+    return graph.knn_graph(vectors(spark, sf_dir), q=5, method="lsh")
 
 
 @query
@@ -354,7 +361,7 @@ def laplacian_sym(spark, sf_dir):
 
 @query
 def radius_edges(spark, sf_dir):
-    return graph.radius_edges(vectors(spark, sf_dir, 3), 0.08).select("src", "dst", r("dist").alias("dist"))
+    return graph.radius_edges(vectors(spark, sf_dir), 1.0).select("src", "dst", r("dist").alias("dist"))
 
 
 @query
@@ -418,9 +425,9 @@ def anchor_rows_udtf(spark, sf_dir):
 
 @query
 def solo_vs_pooled_assignments(spark, sf_dir):
-    """How labels from two of four features agree with labels from all, under fixed centers."""
-    v = vectors(spark, sf_dir, 4)
-    own = kmeans.assign(v.select("row_id", F.slice("z", 1, 2).alias("z")), CENTERS[:, :2], label="solo").select("row_id", "solo")
+    """How labels from half of the features agree with labels from all, under fixed centers."""
+    v = vectors(spark, sf_dir)
+    own = kmeans.assign(v.select("row_id", F.slice("z", 1, DIMS // 2).alias("z")), CENTERS[:, : DIMS // 2], label="solo").select("row_id", "solo")
     return kmeans.assign(v, CENTERS).join(own, "row_id").groupBy("pred", "solo").agg(F.count(F.lit(1)).alias("n"))
 
 
@@ -506,8 +513,8 @@ def category_index(spark, sf_dir):
 
 @query
 def vector_algebra(spark, sf_dir):
-    v = vectors(spark, sf_dir, 8)
-    one = F.array(*(F.lit(0.1 * i) for i in range(8)))
+    v = vectors(spark, sf_dir)
+    one = F.array(*(F.lit(0.1 * i) for i in range(DIMS)))
     return v.select("row_id", r(dot(F.col("z"), one)).alias("dot"), r(sqdist(F.col("z"), one)).alias("sqdist"), r(norm(F.col("z"))).alias("norm"))
 
 
@@ -519,36 +526,37 @@ def layout_round_trip(spark, sf_dir):
 
 
 def _profile_rows(spark, sf_dir):
-    return load(spark, sf_dir, "customer", ["c_custkey"]).select(F.col("c_custkey").alias("row_id"))
+    return load(spark, sf_dir, "documents", ["doc_id"]).select(F.col("doc_id").alias("row_id"))
 
 
-def _order_rows(spark, sf_dir):
-    return load(spark, sf_dir, "orders", ["o_custkey"]).select(F.col("o_custkey").alias("row_id")).distinct()
+def _labelled_rows(spark, sf_dir):
+    """Rows that a second holder knows: labels cover some of the documents."""
+    return load(spark, sf_dir, "labels", ["doc_id"]).select(F.col("doc_id").alias("row_id")).distinct()
 
 
 @query
 def lattice_missing_rows(spark, sf_dir):
-    return grid.missing_rows(_profile_rows(spark, sf_dir), [_order_rows(spark, sf_dir).where("row_id % 5 <> 0"), _order_rows(spark, sf_dir)])
+    return grid.missing_rows(_profile_rows(spark, sf_dir), [_profile_rows(spark, sf_dir), _labelled_rows(spark, sf_dir)])
 
 
 @query
 def lattice_complete_rows(spark, sf_dir):
-    return grid.complete_rows(_profile_rows(spark, sf_dir), [_order_rows(spark, sf_dir).where("row_id % 5 <> 0"), _order_rows(spark, sf_dir)])
+    return grid.complete_rows(_profile_rows(spark, sf_dir), [_profile_rows(spark, sf_dir), _labelled_rows(spark, sf_dir)])
 
 
 @query
 def row_id_except(spark, sf_dir):
-    return grid.extra_ids(_profile_rows(spark, sf_dir), _order_rows(spark, sf_dir).where("row_id % 3 = 0"))
+    return grid.extra_ids(_profile_rows(spark, sf_dir), _labelled_rows(spark, sf_dir))
 
 
 @query
 def row_id_intersect(spark, sf_dir):
-    return grid.shared_ids(_profile_rows(spark, sf_dir), _order_rows(spark, sf_dir).where("row_id % 3 = 0"))
+    return grid.shared_ids(_profile_rows(spark, sf_dir), _labelled_rows(spark, sf_dir))
 
 
 @query
 def stack_union(spark, sf_dir):
-    both = grid.stack([_profile_rows(spark, sf_dir), _order_rows(spark, sf_dir)])
+    both = grid.stack([_profile_rows(spark, sf_dir), _labelled_rows(spark, sf_dir)])
     return both.groupBy("row_id").agg(F.count(F.lit(1)).alias("n"))
 
 
@@ -564,20 +572,128 @@ def outliers(spark, sf_dir):
 
 @query
 def distance_quantiles(spark, sf_dir):
-    return diagnostics.distance_quantiles(assigned(spark, sf_dir))
+    q = diagnostics.distance_quantiles(assigned(spark, sf_dir), exact=True)
+    return q.select("pred", *(r(F.col("quantiles")[i]).alias(n) for i, n in enumerate(("p50", "p90", "p99"))))
 
 
 @query
 def center_shift(spark, sf_dir):
-    v = vectors(spark, sf_dir, 4)
+    v = vectors(spark, sf_dir)
     start = {0: [kmeans.seed_fixed(v, 3)]}
     history = [(p, k, c.tolist()) for p in range(4) for k, c in enumerate(kmeans.lloyd(v, start, p)[0][0].centers)]
-    return diagnostics.center_shift(spark.createDataFrame(history, "pass int, cluster int, center array<double>"))
+    return diagnostics.center_shift(spark.createDataFrame(history, "pass int, cluster int, center array<double>")).withColumn("shift", r("shift"))
 
 
 @query
 def hash_sample_rows(spark, sf_dir):
-    return hash_sample(lines(spark, sf_dir), 0.1, seed=4)
+    return hash_sample(lines(spark, sf_dir), 0.1, seed=4).select("row_id", *(F.col("feats")[i].alias(f"f{i}") for i in range(5)))
+
+
+@query
+def encode_uncentered(spark, sf_dir):
+    """Codes of maps about zero."""
+    p = parts(spark, sf_dir)
+    codes = partymap.encode(p, TWO_BY_TWO, partymap.fit_pca_maps(p, TWO_BY_TWO, scale=False, center=False))
+    return codes.select("row_id", "row_grp", "col_grp", r(F.col("code")[0], 5).alias("code"))
+
+
+@query
+def encode_rotated_norms(spark, sf_dir):
+    """A secret rotation changes codes, not their lengths."""
+    p = parts(spark, sf_dir)
+    codes = partymap.encode(p, TWO_BY_TWO, partymap.fit_pca_maps(p, TWO_BY_TWO, width=2, allow_full=True, scale=False, rotate_seed=7))
+    return codes.select("row_id", "col_grp", r(norm(F.col("code")), 5).alias("length"))
+
+
+@query
+def knn_include_self(spark, sf_dir):
+    return graph.knn_graph(vectors(spark, sf_dir), q=5, include_self=True).select("src", "dst", r("dist").alias("dist"))
+
+
+@query
+def spectral_row_normalised(spark, sf_dir):
+    """Rows of the embedding at length one."""
+    p = workloads.text_language(spark, sf_dir).select("row_id", F.col("feats").alias("z"))
+    z, _ = spectral_ops.embed(spark, materialise(spark, graph.symmetrise(graph.knn_graph(p, 10)), "edges"), 4, row_normalise=True)
+    return z.select("row_id", r(norm(F.col("z"))).alias("length"))
+
+
+def _segments(spark, sf_dir):
+    """Mean order price by status: customers without an order of a status have no mean."""
+    o = load(spark, sf_dir, "orders", ["o_custkey", "o_orderstatus", "o_totalprice"])
+    return o.groupBy(F.col("o_custkey").alias("row_id")).pivot("o_orderstatus", ["F", "O", "P"]).agg(F.avg("o_totalprice"))
+
+
+@query
+def null_policy_drop(spark, sf_dir):
+    return features.clean(_segments(spark, sf_dir), ["F", "O", "P"]).select("row_id", *(r(c).alias(c.lower()) for c in "FOP"))
+
+
+@query
+def null_policy_zero(spark, sf_dir):
+    return features.clean(_segments(spark, sf_dir), ["F", "O", "P"], "zero").select("row_id", *(r(c).alias(c.lower()) for c in "FOP"))
+
+
+@query
+def null_policy_mean(spark, sf_dir):
+    return features.clean(_segments(spark, sf_dir), ["F", "O", "P"], "mean").select("row_id", *(r(c).alias(c.lower()) for c in "FOP"))
+
+
+@query
+def one_hot_segments(spark, sf_dir):
+    names = ["AUTOMOBILE", "BUILDING", "FURNITURE"]
+    hot = features.one_hot(load(spark, sf_dir, "customer", ["c_custkey", "c_mktsegment"]), "c_mktsegment", names)
+    return hot.select("c_custkey", *(F.col("c_mktsegment_hot")[i].cast("int").alias(n.lower()) for i, n in enumerate(names)))
+
+
+@query
+def block_files(spark, sf_dir):
+    """Blocks written a folder a party, and read back by one party's folder."""
+    path = f"{shared_dir(spark)}/blocks-{uuid.uuid4().hex}"
+    p = parts(spark, sf_dir)
+    for j in range(2):
+        write_blocks(grid.block(p, TWO_BY_TWO, None, j).withColumn("col_grp", F.lit(j)), f"{path}/{j}")
+    return spark.read.parquet(f"{path}/0").where("row_grp = 1").select("row_id", r(F.col("feats")[0]).alias("f0"), r(F.col("feats")[1]).alias("f1"))
+
+
+@query
+def model_files(spark, sf_dir):
+    """Centers saved as a model, loaded, and used."""
+    path = f"{shared_dir(spark)}/model-{uuid.uuid4().hex}"
+    save_model(spark, {"centers": CENTERS}, path)
+    found = kmeans.assign(vectors(spark, sf_dir), np.array(load_model(spark, path)["centers"]))
+    return found.groupBy("pred").agg(F.count(F.lit(1)).alias("n"))
+
+
+def _text_files(spark, sf_dir, fmt, schema):
+    path = f"{shared_dir(spark)}/{fmt}-{uuid.uuid4().hex}"
+    load(spark, sf_dir, "region", ["r_regionkey", "r_name"]).write.format(fmt).save(path)
+    return load_text(spark, path, fmt, schema)
+
+
+@query
+def csv_scan(spark, sf_dir):
+    return _text_files(spark, sf_dir, "csv", "r_regionkey int, r_name string")
+
+
+@query
+def json_scan(spark, sf_dir):
+    return _text_files(spark, sf_dir, "json", "r_regionkey int, r_name string")
+
+
+@query
+def long_report(spark, sf_dir):
+    """The wide report back to a row a measure; measures without a value are null."""
+    w = diagnostics.wide_table(diagnostics.summarise_trials(_orders_ledger(spark, sf_dir)))
+    return diagnostics.long_table(w).select("dataset", "method", "metric", r("mean").alias("mean"))
+
+
+@query
+def encode_code_sql(spark, sf_dir):
+    """A party's code through the registered SQL function."""
+    sqlapi.register_all(spark)
+    parts(spark, sf_dir).createOrReplaceTempView("gridcluster_parts")
+    return spark.sql("SELECT row_id, round(c[0], 6) + 0.0 AS c0, round(c[1], 6) + 0.0 AS c1 FROM (SELECT row_id, encode_code(feats, array(25D, 9D, 6D, 5D), array(2D, 1D, 1D, 4D), array(array(1D, 0D), array(0D, 1D), array(0.5D, 0D), array(0D, 0.25D))) AS c FROM gridcluster_parts)")
 
 
 # -- events ----------------------------------------------------------------------------------------------------
@@ -605,9 +721,9 @@ def event_scores_session(spark, sf_dir):
 
 @query
 def event_latest_model(spark, sf_dir):
-    """Events with the newest version in force at their time; a version every purchase by a user of even id below 20."""
+    """Events with the newest version in force at their time; every sign-up is a version."""
     e = load(spark, sf_dir, "events", ["event_id", "ts", "user_id", "event_type"])
-    v = e.where("user_id < 20 AND user_id % 2 = 0").groupBy("ts").agg(F.max("event_id").alias("version"))
+    v = e.where("event_type = 'signup'").groupBy("ts").agg(F.max("event_id").alias("version"))
     return scoring.latest_model(e.select("event_id", "ts"), v).select("event_id", "version")
 
 
@@ -731,23 +847,53 @@ def estimator_language(spark, sf_dir):
     return GridClusterer(spec, 4).fit(p).transform(p.select("row_id", "row_grp", "feats", "truth")).select("row_id", "truth", "pred")
 
 
-def _exp1(name, shape, split):
-    def run(spark, sf_dir):
-        return workloads.run_exp1(spark, sf_dir, shape, split)
-
-    REGISTRY[name] = run
+def _exp1(name, shape, split, **options):
+    REGISTRY[name] = lambda spark, sf_dir: workloads.run_exp1(spark, sf_dir, shape, split, **options)
 
 
 for _shape in ("blobs", "rings"):
     for _split in ("iid", "skew"):
         _exp1(f"exp1_{_shape}_{_split}", _shape, _split)
+        # the recipe as printed: standardise, reduce, align to orthonormal targets
+        _exp1(f"exp1_{_shape}_{_split}_recipe", _shape, _split, scale=True, target="U")
+
+
+#: Trials of the registered queries; the README's table has 100 of both.
+TRIALS = {"kmeans": 100, "spectral": 20}
 
 
-def _exp2(name, dataset, algo, trials):
-    REGISTRY[name] = lambda spark, sf_dir: workloads.run_exp2(spark, sf_dir, dataset, algo, trials=trials, passes=100)
+def _exp2(name, dataset, algo, **options):
+    REGISTRY[name] = lambda spark, sf_dir: workloads.run_exp2(spark, sf_dir, dataset, algo, TRIALS[algo], **options)
 
 
 for _name in workloads.DATASETS:
-    _exp2(f"exp2_kmeans_{_name}", _name, "kmeans", 1)
-for _name in ("small_three", "text_quality", "language"):
-    _exp2(f"exp2_spectral_{_name}", _name, "spectral", 1)
+    for _algo in TRIALS:
+        _exp2(f"exp2_{_algo}_{_name}", _name, _algo)
+
+
+@query
+def exp2_summary(spark, sf_dir):
+    """Mean and deviation over 100 trials of k-means on the three-class table, with differences to pooled and ranks."""
+    summary = diagnostics.summarise_trials(workloads.run_exp2(spark, sf_dir, "small_three", "kmeans", TRIALS["kmeans"]))
+    ranks = diagnostics.rank_methods(summary).select("dataset", "method", "metric", "rank")
+    return summary.join(diagnostics.pct_delta(summary), ["dataset", "method", "metric"], "left").join(ranks, ["dataset", "method", "metric"])
+
+
+@query
+def exp2_average_deviation(spark, sf_dir):
+    """Average difference to pooled over the six tables and three measures, by method, for both algorithms."""
+    return workloads.average_deviations(spark, sf_dir, TRIALS["kmeans"], TRIALS["spectral"])
+
+
+@query
+def exp2_federation_steps(spark, sf_dir):
+    """Federated k-means with five and with ten steps."""
+    runs = [diagnostics.summarise_trials(workloads.run_exp2(spark, sf_dir, d, "kmeans", TRIALS["kmeans"], methods=("fed",), rounds=n)).withColumn("steps", F.lit(n)) for d in ("small_three", "ten_classes") for n in (5, 10)]
+    return grid.stack(runs)
+
+
+@query
+def exp2_aligner_kinds(spark, sf_dir):
+    """Affine, linear and no aligner under the second experiment's cut."""
+    runs = [diagnostics.summarise_trials(workloads.run_exp2(spark, sf_dir, d, "kmeans", TRIALS["kmeans"], methods=("grid",), aligner=kind)).withColumn("aligner", F.lit(kind)) for d in ("small_three", "language") for kind in ("affine", "linear", "none")]
+    return grid.stack(runs)

@@ -12,20 +12,17 @@ from pyspark.sql.functions import udtf
 from ..operators import metrics
 
 
-@F.pandas_udf(T.IntegerType())
-def nearest_center(code: pd.Series, centers: pd.Series) -> pd.Series:
-    """Number of the center nearest to a point; centers: array of arrays."""
-    out = []
-    for z, c in zip(code, centers):
-        m = np.stack(list(c))
-        out.append(int(((m - np.asarray(z)) ** 2).sum(axis=1).argmin()))
-    return pd.Series(out, dtype="int32")
-
-
-@F.pandas_udf(T.ArrayType(T.DoubleType()))
-def encode_code(feats: pd.Series, mean: pd.Series, scale: pd.Series, proj: pd.Series) -> pd.Series:
-    """A party's code of a point, its map given as arrays."""
-    return pd.Series([(((np.asarray(x) - np.asarray(m)) / np.asarray(s)) @ np.stack(list(p))).tolist() for x, m, s, p in zip(feats, mean, scale, proj)])
+#: Functions in SQL, which the optimizer puts into the calling plan: no Python worker.
+_SQL = {
+    "nearest_center": (
+        "z ARRAY<DOUBLE>, centers ARRAY<ARRAY<DOUBLE>>", "INT",
+        "CAST(array_position(transform(centers, c -> {d}), array_min(transform(centers, c -> {d}))) - 1 AS INT)".format(d="aggregate(zip_with(z, c, (a, b) -> (a - b) * (a - b)), 0D, (s, x) -> s + x)"),
+    ),
+    "encode_code": (
+        "feats ARRAY<DOUBLE>, mean ARRAY<DOUBLE>, scale ARRAY<DOUBLE>, proj ARRAY<ARRAY<DOUBLE>>", "ARRAY<DOUBLE>",
+        "transform(sequence(0, size(proj[0]) - 1), j -> aggregate(sequence(0, size(feats) - 1), 0D, (s, i) -> s + (feats[i] - mean[i]) / scale[i] * proj[i][j]))",
+    ),
+}
 
 
 def _table(truth: pd.Series, pred: pd.Series) -> np.ndarray:
@@ -66,7 +63,11 @@ class KnnRows:
 
 
 def register_all(spark: SparkSession) -> None:
-    for name, f in (("nearest_center", nearest_center), ("encode_code", encode_code), ("ari_agg", ari_agg), ("nmi_agg", nmi_agg)):
+    """nearest_center(z, centers): number of the nearest center, ties to the lowest; encode_code(feats, mean, scale,
+    proj): a party's code of a point; ari_agg, nmi_agg (truth, pred); anchor_rows and knn_rows as table functions."""
+    for name, (arguments, kind, body) in _SQL.items():
+        spark.sql(f"CREATE OR REPLACE TEMPORARY FUNCTION {name}({arguments}) RETURNS {kind} RETURN {body}")
+    for name, f in (("ari_agg", ari_agg), ("nmi_agg", nmi_agg)):
         spark.udf.register(name, f)
     spark.udtf.register("anchor_rows", AnchorRows)
     spark.udtf.register("knn_rows", KnnRows)

@@ -2,7 +2,6 @@
 
 from __future__ import annotations
 
-import hashlib
 import math
 from collections.abc import Sequence
 
@@ -12,10 +11,11 @@ from pyspark.sql import functions as F
 from ..functions import features
 from ..functions.portable import gaussian, uniform
 from ..operators import diagnostics, metrics
-from ..operators.grid import GridSpec, even_columns, skewed_groups, split_grid
-from ..session import materialise
+from ..operators.grid import GridSpec, equal_groups, even_columns, skewed_groups, split_grid
+from ..session import forget, materialise
 from ..sources.tables import load
 from . import baselines
+from . import trials as trials_
 from .pipeline import grid_cluster
 
 #: Layout of the planted shapes: centers of the blobs, radii of the rings, spread of the minor features.
@@ -82,11 +82,19 @@ def embedding_shift(spark: SparkSession, sf_dir: str, dims: int = 16, shift: flo
     return load(spark, sf_dir, "embeddings").select(F.col("vec_id").alias("row_id"), label.alias("truth"), F.array(*feats).alias("feats"))
 
 
-def text_language(spark: SparkSession, sf_dir: str, least: int = 200) -> DataFrame:
-    """Letter shares of texts; truth: the language."""
-    docs = load(spark, sf_dir, "documents", ["doc_id", "text", "lang", "n_chars"]).where(F.col("n_chars") >= least)
-    number = F.when(F.col("lang") == "de", 0).when(F.col("lang") == "en", 1).when(F.col("lang") == "es", 2).otherwise(3)
-    return docs.select(F.col("doc_id").alias("row_id"), number.cast("int").alias("truth"), F.array(*features.letter_shares(F.col("text"))).alias("feats"))
+#: Languages by number; any other label, or none, has a number of its own behind them.
+LANGUAGES = ("de", "en", "es", "fr")
+
+
+def text_language(spark: SparkSession, sf_dir: str, least: int = 0) -> DataFrame:
+    """Letter shares of all texts; truth: the language. least: only texts of so many characters (of the text itself)."""
+    docs = load(spark, sf_dir, "documents", ["doc_id", "text", "lang"])
+    if least:
+        docs = docs.where(F.length("text") >= least)
+    number = F.coalesce(F.array_position(F.array(*map(F.lit, LANGUAGES)), F.col("lang")), F.lit(0))
+    truth = F.when(number > 0, number - 1).otherwise(len(LANGUAGES)).cast("int")
+    text = F.coalesce(F.col("text"), F.lit(""))
+    return docs.select(F.col("doc_id").alias("row_id"), truth.alias("truth"), F.array(*features.letter_shares(text)).alias("feats"))
 
 
 def text_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -136,8 +144,12 @@ def _scored(pred: DataFrame, truth: DataFrame) -> dict[str, float]:
     return metrics.scores(pred.join(truth, "row_id"))
 
 
-def run_exp1(spark: SparkSession, sf_dir: str, shape: str = "blobs", split: str = "iid", scale: bool = False, methods: Sequence[str] = ("solo", "pooled", "grid"), seed: int = 1, restarts: int = 5, q: int = 10, keys: tuple[str, str] = CUSTOMERS) -> DataFrame:
-    """First experiment: one trial of four parties; a ledger row a method and measure."""
+def run_exp1(spark: SparkSession, sf_dir: str, shape: str = "blobs", split: str = "iid", scale: bool = False, methods: Sequence[str] = ("solo", "pooled", "grid"), seed: int = 1, restarts: int = 5, q: int = 10, keys: tuple[str, str] = CUSTOMERS, target: str | None = None, anchor_count: int | None = None) -> DataFrame:
+    """First experiment: one trial of four parties; a ledger row a method and measure.
+
+    The recipe as printed standardises before the component analysis and aligns to orthonormal targets, with as
+    many anchors as rows: scale=True, target="U". By default rows are only centered, and rings aligned to scaled targets.
+    """
     points = materialise(spark, (planted_blobs if shape == "blobs" else planted_rings)(spark, sf_dir, split, seed, keys=keys), shape)
     algo = "kmeans" if shape == "blobs" else "spectral"
     spec, truth = GridSpec(SHAPE_COLUMNS), points.select("row_id", "truth")
@@ -153,33 +165,58 @@ def run_exp1(spark: SparkSession, sf_dir: str, shape: str = "blobs", split: str
     if "pooled" in methods:
         note("pooled", baselines.pooled(points, 3, algo, **options))
     if "grid" in methods:
-        found = grid_cluster(points, spec, 3, algo, map_options={"scale": scale}, target="US" if algo == "spectral" else "U", restarts=restarts, seed=seed, q=q)
+        found = grid_cluster(points, spec, 3, algo, anchor_count=anchor_count or points.count(), map_options={"scale": scale}, target=target or ("US" if algo == "spectral" else "U"), restarts=restarts, seed=seed, q=q)
         note("grid", found.labels.select("row_id", "pred"))
     return _ledger(spark, out)
 
 
-def run_exp2(spark: SparkSession, sf_dir: str, dataset: str, algo: str = "kmeans", trials: int = 5, row_groups: int = 10, column_groups: int = 2, methods: Sequence[str] = ("solo", "fed", "grid", "pooled"), restarts: int = 1, passes: int = 300, rounds: int = 10, aligner: str = "affine") -> DataFrame:
-    """Second experiment: random rows and columns each trial; a ledger row a trial, method and measure."""
+def run_exp2(spark: SparkSession, sf_dir: str, dataset: str, algo: str = "kmeans", trials: int = 100, row_groups: int = 10, column_groups: int = 2, methods: Sequence[str] = ("solo", "fed", "grid", "pooled"), restarts: int = 1, passes: int = 300, rounds: int = 10, aligner: str = "affine", q: int = 10) -> DataFrame:
+    """Second experiment: random rows and columns each trial, in equal groups, with as many anchors as rows; a ledger
+    row a trial, method and measure.
+
+    A table of bounded size is broadcast, and each trial is a task; a larger one is taken trial by
+    trial through the distributed operators.
+    """
     loader, width, k = DATASETS[dataset]
     points = materialise(spark, loader(spark, sf_dir), dataset)
+    n = points.count()
+    setting = trials_.Setting(k, algo, row_groups, column_groups, tuple(methods), restarts, passes, rounds, aligner, "U", q)
+    if n <= trials_.MOST_ROWS[algo]:
+        return trials_.run_trials(spark, trials_.Points.of(points), setting, dataset, trials)
     truth = points.select("row_id", "truth")
     out = []
     for t in range(trials):
-        seed = int(hashlib.md5(f"{dataset}~{t}".encode()).hexdigest()[:8], 16)
+        seed = trials_.trial_seed(dataset, t)
         spec = GridSpec(even_columns(width, column_groups, seed))
-        split = materialise(spark, split_grid(points, row_groups, seed=seed), "split")
-        options = {"restarts": restarts, "seed": seed, "passes": passes}
+        split = materialise(spark, equal_groups(points, row_groups, seed=seed), "split")
+        options = {"restarts": restarts, "seed": seed, "passes": passes, "q": q}
         runs = {
             "solo": lambda: baselines.solo(split, spec, 0, 0, k, algo, **options),
-            "fed": lambda: (baselines.fed_kmeans(split, spec, k, rounds, seed=seed) if algo == "kmeans" else baselines.fed_spectral(split, spec, k, seed=seed))[0],
-            "grid": lambda: grid_cluster(split, spec, k, algo, aligner=aligner, passes=passes, restarts=restarts, seed=seed).labels,
+            "fed": lambda: (baselines.fed_kmeans(split, spec, k, rounds, seed=seed, restarts=restarts) if algo == "kmeans" else baselines.fed_spectral(split, spec, k, seed=seed, q=q))[0],
+            "grid": lambda: grid_cluster(split, spec, k, algo, anchor_count=n, aligner=aligner, passes=passes, restarts=restarts, seed=seed, q=q).labels,
             "pooled": lambda: baselines.pooled(split, k, algo, **options),
         }
         for m in methods:
             out.extend((dataset, m, t, name, v) for name, v in _scored(runs[m]().select("row_id", "pred"), truth).items())
+        forget(spark, split)
     return _ledger(spark, out)
 
 
+#: The six tables of the second experiment; `language` is one more.
+PRINTED = ("small_three", "two_overlapping", "ten_classes", "no_structure", "behaviour", "text_quality")
+
+
+def average_deviations(spark: SparkSession, sf_dir: str, trials: int = 100, spectral_trials: int = 20, datasets: Sequence[str] = PRINTED) -> DataFrame:
+    """Average difference to pooled, in percent, over all tables and measures: algo, method, avg_pct, tables."""
+    parts = []
+    for algo, n in (("kmeans", trials), ("spectral", spectral_trials)):
+        ledger = run_exp2(spark, sf_dir, datasets[0], algo, n)
+        for d in datasets[1:]:
+            ledger = ledger.unionByName(run_exp2(spark, sf_dir, d, algo, n))
+        parts.append(deviation_report(ledger).withColumn("algo", F.lit(algo)))
+    return parts[0].unionByName(parts[1]).select("algo", "method", "avg_pct")
+
+
 def deviation_report(ledger: DataFrame) -> DataFrame:
     """Average relative difference to pooled, by method."""
     return diagnostics.avg_pct_delta(diagnostics.pct_delta(diagnostics.summarise_trials(ledger)))

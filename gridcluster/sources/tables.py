@@ -10,6 +10,8 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.types import StructType
 
+from ..functions.portable import uniform
+
 
 def load(spark: SparkSession, sf_dir: str, name: str, columns: Sequence[str] | None = None) -> DataFrame:
     df = spark.read.parquet(f"{sf_dir}/{name}.parquet")
@@ -38,9 +40,8 @@ def write_bucketed(df: DataFrame, table: str, buckets: int, key: str = "row_id")
 
 
 def hash_sample(df: DataFrame, fraction: float, seed: int, key: str = "row_id") -> DataFrame:
-    """The same rows in every run and partitioning."""
-    grain = 1_000_000
-    return df.where(F.pmod(F.xxhash64(F.lit(seed), F.col(key)), F.lit(grain)) < int(fraction * grain))
+    """The same rows in every run, partitioning and engine: by the portable uniform number of the key."""
+    return df.where(uniform(seed, F.col(key), "sample") < fraction)
 
 
 def save_model(spark: SparkSession, model: dict, path: str) -> None:

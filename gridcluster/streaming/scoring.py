@@ -2,17 +2,19 @@
 
 from __future__ import annotations
 
+import uuid
 from collections.abc import Callable, Iterator
 
 import numpy as np
 import pandas as pd
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.streaming.state import GroupState, GroupStateTimeout
 from pyspark.sql.window import Window
 
 from ..functions.vectors import matvec
 from ..operators import kmeans
+from ..session import discard, shared_dir
 
 
 def score(points: DataFrame, centers: np.ndarray, matrix: np.ndarray | None = None, shift: np.ndarray | None = None, feats: str = "feats") -> DataFrame:
@@ -56,23 +58,40 @@ def dedup(stream: DataFrame, key: str = "event_id", time: str = "ts", watermark:
     return _watermarked(stream, time, watermark).dropDuplicatesWithinWatermark([key])
 
 
-def late_splitter(on_time: Callable[[DataFrame, int], None], late: Callable[[DataFrame, int], None], delay_seconds: int = 600, time: str = "ts") -> Callable[[DataFrame, int], None]:
-    """A foreachBatch function that writes rows older than the greatest time seen, less the delay, aside."""
-    seen = {"max": None}
+def late_splitter(on_time: Callable[[DataFrame, int], None], late: Callable[[DataFrame, int], None], delay_seconds: int = 600, time: str = "ts", state: str | None = None) -> Callable[[DataFrame, int], None]:
+    """A foreachBatch function that writes rows older than the greatest time seen, less the delay, aside.
+
+    The greatest time up to each batch is kept in `state`, a folder that outlives the driver (by
+    default one of the shared folder, for this function's life only), under the batch's number. So a batch
+    that is run again after a restart is split as it was the first time.
+    """
+    folder: list[str] = [state] if state else []
     at = F.col(time).cast("timestamp")  # what comes back as a literal is a timestamp, too
 
+    def known(spark: SparkSession, number: int):
+        path = f"{folder[0]}/batch={number}"
+        jvm = spark.sparkContext._jvm
+        where = jvm.org.apache.hadoop.fs.Path(path)
+        if not where.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).exists(where):
+            return None
+        return spark.read.schema("top timestamp").parquet(path).first()["top"]
+
     def run(batch: DataFrame, number: int) -> None:
+        spark = batch.sparkSession
+        if not folder:
+            folder.append(f"{shared_dir(spark)}/late-{uuid.uuid4().hex}")
         batch = batch.persist()
-        limit = seen["max"]
+        limit = known(spark, number - 1)
         if limit is None:
             on_time(batch, number)
         else:
             cut = F.lit(limit) - F.make_interval(secs=F.lit(delay_seconds))
-            on_time(batch.where(at >= cut), number)
+            on_time(batch.where((at >= cut) | at.isNull()), number)
             late(batch.where(at < cut), number)
-        top = batch.agg(F.max(at)).first()[0]
-        if top is not None:
-            seen["max"] = top if limit is None else max(limit, top)
+        top = batch.agg(F.max(at).alias("top")).first()["top"]
+        top = limit if top is None else top if limit is None else max(limit, top)
+        spark.createDataFrame([(top,)], "top timestamp").coalesce(1).write.mode("overwrite").parquet(f"{folder[0]}/batch={number}")
+        discard(spark, f"{folder[0]}/batch={number - 2}")
         batch.unpersist()
 
     return run

@@ -52,7 +52,7 @@ def test_distributed_embedding_spans_the_dense_one(spark):
     x = np.vstack([rng.standard_normal((30, 2)) * 0.3 + c for c in ((0, 0), (4, 0), (0, 4))])
     e = graph.symmetrise(graph.knn_graph(frame(spark, x), 8)).cache()
     a, va = sp.embed(spark, e, 3)
-    b, vb = sp.subspace_embedding(spark, e, 3, steps=40)
+    b, vb = sp.subspace_embedding(spark, e, 3, degree=6)
     assert np.allclose(va, vb, atol=1e-4)
     za = np.array([r["z"] for r in a.orderBy("row_id").collect()])
     zb = np.array([r["z"] for r in b.orderBy("row_id").collect()])
@@ -72,11 +72,48 @@ def test_radius_edges(spark):
     assert got == {(i, j) for i in range(80) for j in range(i + 1, 80) if d[i, j] <= 0.3}
 
 
-def test_lsh_graph_finds_most_neighbours(spark):
-    x = np.random.default_rng(3).standard_normal((300, 4))
-    exact = {(r["src"], r["dst"]) for r in graph.knn_graph(frame(spark, x), 3).collect()}
-    near = {(r["src"], r["dst"]) for r in graph.knn_graph(frame(spark, x), 3, method="lsh").collect()}
-    assert len(exact & near) / len(exact) > 0.7
+@pytest.mark.parametrize("n,width", [(300, 4), (20_000, 8), (100_000, 8)])
+def test_lsh_graph_keeps_its_recall_as_rows_grow(spark, n, width):
+    x = np.random.default_rng(3).standard_normal((n, width))
+    rows = spark.range(n).mapInPandas(_normal_rows(x), "row_id long, z array<double>")
+    near = graph.knn_graph(rows, 5, method="lsh", rows=n)
+    probe = np.random.default_rng(4).choice(n, 200, replace=False)
+    got = {}
+    for r in near.where(near.src.isin(probe.tolist())).collect():
+        got.setdefault(r["src"], set()).add(r["dst"])
+    hit = 0
+    for i in probe:
+        d = ((x - x[i]) ** 2).sum(axis=1)
+        d[i] = np.inf
+        hit += len(set(np.argsort(d, kind="stable")[:5].tolist()) & got.get(int(i), set()))
+    assert hit / (5 * len(probe)) >= 0.9
+
+
+def _normal_rows(x):
+    import pandas as pd
+
+    return lambda frames: (pd.DataFrame({"row_id": f["id"], "z": [x[i].tolist() for i in f["id"]]}) for f in frames)
+
+
+def test_lsh_graph_of_a_dense_spot_and_of_few_rows(spark, monkeypatch):
+    """A third of all rows in one place: their bucket is compared in chunks, and all have their neighbours."""
+    monkeypatch.setattr(graph, "BLOCK_ROWS", 50)
+    x = np.vstack([np.zeros((200, 3)), np.random.default_rng(5).standard_normal((400, 3))])
+    found = graph.knn_graph(frame(spark, x), 4, method="lsh").collect()
+    by = {}
+    for r in found:
+        by.setdefault(r["src"], []).append((r["dist"], r["dst"]))
+    assert all(len(v) == 4 for v in by.values()) and len(by) == 600
+    assert sorted(by[7]) == [(0.0, 0), (0.0, 1), (0.0, 2), (0.0, 3)]
+    assert graph.knn_graph(frame(spark, x[:2]), 4, method="lsh").count() == 2
+    assert graph.knn_graph(frame(spark, x).limit(0), 4, method="lsh").count() == 0
+    assert graph.knn_graph(frame(spark, x).limit(0), 4).count() == 0
+
+
+def test_embedding_that_does_not_settle_says_so(spark):
+    e = graph.symmetrise(graph.knn_graph(frame(spark, np.random.default_rng(6).uniform(size=(300, 2))), 6))
+    with pytest.warns(UserWarning, match="residuals"):
+        sp.subspace_embedding(spark, e, 4, rounds=1, degree=2, tol=1e-12)
 
 
 def test_landmarks_separate_rings(spark):

@@ -141,3 +141,84 @@ def test_even_columns():
     with pytest.raises(ValueError):
         even_columns(2, 3)
     assert np.isfinite(grid.default_anchor_rows(100, 8))
+
+
+def test_repeated_ids_are_refused_where_rows_meet_by_id(spark):
+    """Two rows of one id aren't added up to a third point: an error without `fuse`, labels of their own with it."""
+    rng = np.random.default_rng(0)
+    rows = [(min(i, 199), int(i % 2), rng.standard_normal(4).tolist()) for i in range(201)]
+    p = spark.createDataFrame(rows, "row_id long, row_grp int, feats array<double>")
+    spec = GridSpec(((0, 1), (2, 3)))
+    assert grid_cluster(p, spec, 2, passes=5, fuse=True).labels.count() == 201
+    with pytest.raises(ValueError, match="unique"):
+        grid_cluster(p, spec, 2, passes=5)
+    from gridcluster.operators import align, partymap
+
+    codes = partymap.encode(p, spec, partymap.fit_pca_maps(p, spec))
+    with pytest.raises(Exception, match="ids must be unique"):
+        align.concat_codes(codes.withColumn("row_grp", codes.row_grp * 0)).collect()
+
+
+def test_empty_table_has_no_centers_and_no_labels(spark):
+    from gridcluster.plans import baselines
+
+    p = spark.createDataFrame([], "row_id long, row_grp int, feats array<double>")
+    assert baselines.pooled(p, 3).count() == 0
+    with pytest.raises(ValueError, match="no points"):
+        grid_cluster(p, GridSpec(((0,), (1,))), 2)
+
+
+def test_seeds_and_labels_of_a_trial_are_those_of_the_operators(spark, small):
+    """The trial engine draws the seeds that the distributed search draws, and ends in the same clusters."""
+    from gridcluster.operators import kmeans
+    from gridcluster.plans import trials, workloads
+
+    points = materialise(spark, workloads.planted_like(spark, small, "customer", "c_custkey", 4, 3, 2.2), "points")
+    p = trials.Points.of(points)
+    z = points.withColumnRenamed("feats", "z")
+    assert np.allclose(trials.seeds(p.ids, p.feats, 3, 5, 0), kmeans.seed_dsq(z, 3, 5)[0][0])
+    labels, centers = trials.kmeans_labels(p.ids, p.feats, 3, trials.Setting(3), 5)
+    assert np.allclose(centers, kmeans.fit(z, 3, seed=5).centers)
+    got = {r["row_id"]: r["pred"] for r in kmeans.assign(z, centers).collect()}
+    assert [got[i] for i in p.ids] == labels.tolist()
+
+
+@pytest.mark.parametrize("algo", ["kmeans", "spectral"])
+def test_trials_follow_the_protocol(spark, small, algo):
+    from gridcluster.operators import diagnostics
+    from gridcluster.plans import workloads
+
+    ledger = workloads.run_exp2(spark, small, "small_three", algo, trials=6).cache()
+    assert ledger.count() == 6 * 4 * 3
+    mean = {(r["method"], r["metric"]): r["mean"] for r in diagnostics.summarise_trials(ledger).collect()}
+    assert abs(mean["grid", "ari"] - mean["pooled", "ari"]) < abs(mean["solo", "ari"] - mean["pooled", "ari"])
+    again = workloads.run_exp2(spark, small, "small_three", algo, trials=6)
+    assert sorted(map(tuple, again.collect())) == sorted(map(tuple, ledger.collect()))
+
+
+def test_whole_and_sampled_projections_agree(spark, small):
+    """On a party that the sample holds whole, the distributed sums give the driver's maps."""
+    from gridcluster.operators import partymap
+    from gridcluster.plans import workloads
+
+    p = materialise(spark, workloads.planted_blobs(spark, small), "blobs")
+    spec = GridSpec(((0, 2, 3), (1, 4, 5)))
+    a, b = partymap.fit_lpp_maps(p, spec), partymap.fit_lpp_maps(p, spec, sample=10_000)
+    assert all(np.allclose(a[k].proj, b[k].proj, atol=1e-6) for k in a)
+
+
+def test_mixed_anchors_lie_between_neighbours(spark):
+    from gridcluster.operators import anchors
+
+    rng = np.random.default_rng(1)
+    x = rng.standard_normal((60, 2))
+    public = spark.createDataFrame([(i, v.tolist()) for i, v in enumerate(x)], "row_id long, feats array<double>")
+    got = anchors.anchor_mix(public, 150, neighbours=3).collect()
+    assert len(got) == 150 and len({r["anchor_id"] for r in got}) == 150
+    d = ((x[:, None] - x) ** 2).sum(axis=2)
+    np.fill_diagonal(d, np.inf)
+    near = np.argsort(d, axis=1)[:, :3]
+    for r in got:
+        k, a = r["anchor_id"] // 3, np.array(r["feats"])
+        on = [abs(np.linalg.norm(a - x[k]) + np.linalg.norm(a - x[o]) - np.linalg.norm(x[k] - x[o])) for o in near[k]]
+        assert min(on) < 1e-9

@@ -70,3 +70,21 @@ def test_pct_delta_is_absolute(spark):
     ledger = spark.createDataFrame(rows, "dataset string, method string, trial int, metric string, value double")
     out = diagnostics.pct_delta(diagnostics.summarise_trials(ledger)).first()
     assert out["pct"] == pytest.approx(200.0) and out["signed_pct"] == pytest.approx(200.0)
+
+
+def test_trivial_labels_have_the_same_value_in_tables(spark):
+    """One class, one cluster, one row, no row: the column versions follow the driver's conventions."""
+    for rows in ([], [(0, 0)], [(0, 0), (0, 0)], [(0, 0), (1, 0)], [(0, 0), (0, 1)], [(0, 1), (1, 2)], [(None, 0), (0, 1), (None, 0)]):
+        df = spark.createDataFrame(rows, "truth int, pred int")
+        u = metrics.table_of(metrics.contingency(df)) if rows else np.zeros((0, 0))
+        assert metrics.ari_rows(df).first()["ari"] == pytest.approx(metrics.ari(u))
+        assert metrics.nmi_rows(df).first()["nmi"] == pytest.approx(metrics.nmi(u))
+
+
+def test_difference_to_a_mean_of_zero(spark):
+    from gridcluster.operators import diagnostics
+
+    summary = spark.createDataFrame([("d", "pooled", "ari", 0.0), ("d", "grid", "ari", 0.0), ("d", "solo", "ari", 0.2)], "dataset string, method string, metric string, mean double")
+    got = {r["method"]: r["pct"] for r in diagnostics.pct_delta(summary).collect()}
+    assert got == {"grid": 0.0, "solo": None}
+    assert {r["method"]: r["avg_pct"] for r in diagnostics.avg_pct_delta(diagnostics.pct_delta(summary)).collect()} == {"grid": 0.0, "solo": None}

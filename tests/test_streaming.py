@@ -93,3 +93,23 @@ def test_latest_model_by_brute_force(spark):
     v = spark.createDataFrame([(at(3), 1), (at(30), 2), (at(40), 3)], "ts timestamp, version int")
     got = {r["event_id"]: r["version"] for r in scoring.latest_model(e, v).collect()}
     assert got == {0: None, 1: 1, 2: 2, 3: 3, 4: 3}
+
+
+def test_late_rows_after_a_restart(spark, tmp_path):
+    """The greatest time seen lies in the state folder: a new process splits the next batch, or the same one again, alike."""
+    import datetime as dt
+
+    t = dt.datetime(2024, 1, 1, 12)
+    rows = lambda *x: spark.createDataFrame([(k, t + dt.timedelta(seconds=s)) for k, s in x], "k int, ts timestamp")
+
+    def fresh():
+        good, late = [], []
+        return scoring.late_splitter(lambda d, i: good.extend(r["k"] for r in d.collect()), lambda d, i: late.extend(r["k"] for r in d.collect()), 600, state=f"file://{tmp_path}/state"), good, late
+
+    first, good, late = fresh()
+    first(rows((1, 0), (2, 5000)), 0)
+    assert good == [1, 2] and not late
+    for _ in range(2):
+        again, good, late = fresh()
+        again(rows((3, 100), (4, 4900)), 1)
+        assert good == [4] and late == [3]
