@@ -29,9 +29,14 @@ def slices(batches: Iterator[pa.RecordBatch], column: str = "text", limit: int =
     try:
         yield from _cut(batches, column, limit)
     finally:
-        pa.default_memory_pool().release_unused()
-        if _TRIM:
-            _TRIM(0)
+        give_back()
+
+
+def give_back() -> None:
+    """Free memory of this worker to the system."""
+    pa.default_memory_pool().release_unused()
+    if _TRIM:
+        _TRIM(0)
 
 
 _TRIM = getattr(ctypes.CDLL(None), "malloc_trim", None) if sys.platform.startswith("linux") else None

@@ -41,21 +41,21 @@ def test_base_scores_and_probability(spark, small):
     assert lm_scoring.score_documents(spark, docs.limit(0)).count() == 0
 
 
-def test_tree_and_first_bytes_are_distributions():
+def test_trees_are_distributions():
     rng = np.random.default_rng(0)
     tree = lm_scoring.ByteTree(rng.integers(0, 50, 256))
     assert sum(2.0 ** -int(n) for n in tree.length) == pytest.approx(1.0)
     p = rng.random((2, 256))
-    f = lm_scoring.FirstBytes(np.log(p / p.sum(axis=1, keepdims=True)), rng.integers(0, 9, (256, 256)), rng.integers(0, 3, (lm_scoring.PAIR_CONTEXTS, 256)))
-    assert sum(2.0 ** -int(n) for n in f.length) == pytest.approx(1.0)
-    # whatever a node's probability, the two sides of every node share it: the 256 paths have all of it
-    q = rng.random(f.nodes)
-    paths = [np.prod([q[n] if v else 1 - q[n] for n, v in zip(f.node[b, : f.length[b]], f.bit[b, : f.length[b]])]) for b in range(256)]
+    f = lm_scoring.Openings(np.log(p / p.sum(axis=1, keepdims=True)), rng.integers(0, 3, (lm_scoring.PAIR_CONTEXTS, 256)))
+    assert f.p.sum(axis=1) == pytest.approx([1.0, 1.0])
+    # whatever a node's probability, its two sides share it: the eight groups have all of it
+    q = rng.random(7)
+    paths = [np.prod([q[n] if v else 1 - q[n] for n, v in zip(lm_scoring.NODES[g], lm_scoring.BITS[g])]) for g in range(8)]
     assert sum(paths) == pytest.approx(1.0)
-    # with the mixture as the only input, the bits of a byte multiply to the mixture's probability
-    for b in (0, 32, 101, 255):
-        shares = [f.ones[0, n] / f.mass[0, n] for n in f.node[b, : f.length[b]]]
-        assert np.prod([s if v else 1 - s for s, v in zip(shares, f.bit[b, : f.length[b]])]) == pytest.approx(np.exp(f.log_p[0, b]))
+    mass, ones = lm_scoring.node_counts(f.p)
+    for g in range(8):
+        shares = [ones[0, n] / mass[0, n] for n in lm_scoring.NODES[g]]
+        assert np.prod([s if v else 1 - s for s, v in zip(shares, lm_scoring.BITS[g])]) == pytest.approx(f.p[0, g])
 
 
 class Scalar:
@@ -64,18 +64,15 @@ class Scalar:
     def __init__(self, scorer, train):  # train: (tokens, class) of each training text
         self.s, self.f, self.k = scorer, scorer.first, scorer.classes
         self.counts = collections.defaultdict(lambda: np.zeros(self.k))  # (predictor length, context, byte) -> by class
-        self.after = collections.defaultdict(lambda: np.zeros(8))
         for tokens, cls in train:
-            for i, t in enumerate(tokens):
+            for t in tokens:
                 for length, context, byte in self.contexts(t):
                     self.counts[length, context, byte][cls] += 1
-                if i:
-                    self.after[tokens[i - 1]][int(lm_scoring.group_of(np.array([t[0]]))[0])] += 1
 
     def contexts(self, token):
         word = token + b" "
         for i, byte in enumerate(word):
-            for length in (1, 2, 3, 4, 0):
+            for length in (3, 0):
                 yield length, word[max(0, i - length) if length else 0 : i], byte
 
     def cost(self, token, first_only=False):
@@ -85,7 +82,7 @@ class Scalar:
             for d in range(int(tree.length[byte])):
                 node, bit = tree.node[byte, d], tree.bit[byte, d]
                 n = {}
-                for length in (1, 2, 3, 4, 0):
+                for length in (3, 0):
                     context = word[max(0, i - length) if length else 0 : i]
                     n[length] = np.zeros((2, self.k))
                     for b in range(256):
@@ -93,11 +90,11 @@ class Scalar:
                             n[length][tree.bit[b, d]] += self.counts[length, context, b]
                 odds = lambda a: math.log((a[1] + lm_scoring.PRIOR) / (a[0] + lm_scoring.PRIOR))
                 level = lambda a: int(np.searchsorted([0.5, 1.5, 3.5, 15.5, 127.5], a))
-                four, whole = odds(n[4].sum(axis=1)), odds(n[0].sum(axis=1))
+                whole = odds(n[0].sum(axis=1))
                 for c in range(self.k):
-                    x = [odds(n[1][:, c]), odds(n[2][:, c]), odds(n[3][:, c]), four, odds(n[0][:, c]), whole]
+                    x = [odds(n[3][:, c]), odds(n[0][:, c]), whole]
                     own, shared = level(n[0][:, c].sum()), level(n[0].sum())
-                    rank = own - 1 if own else 4 + min(shared, 3) if shared else 8 if x[3] else 9 if x[2] else 10
+                    rank = own - 1 if own else 4 + min(shared, 3) if shared else 8 if x[0] else 9
                     gate = (rank * 2 + (i == 0)) * 4 + min(d, 3)
                     w = self.s.weights[gate]
                     mixed = float(w[-1] + sum(a * b for a, b in zip(w[:-1], x)))
@@ -117,27 +114,24 @@ class Scalar:
             post /= post.sum()
             cost = self.cost(t)
             byte, prev = t[0], tokens[i - 1] if i else None
-            total += math.log(post @ np.exp(cost)) - math.log(post @ np.exp(f.log_p[:, byte]))
-            one = prev[-1] if i else 0
+            group = (byte & 31) >> 2
+            total += math.log(post @ np.exp(cost)) - math.log(post @ f.p[:, group])
             two = ((prev[-2] if len(prev) > 1 else 0) * 257 + prev[-1]) * 40503 >> 4 & lm_scoring.PAIR_CONTEXTS - 1 if i else 0
-            steps = np.minimum(np.rint(6 * np.log2(1 + self.after[prev])), 255) if i else np.zeros(8)
-            follows = 2 ** (steps / 6) - 1
+            mixture = post @ f.p
             guess = seen.get(prev, -1) if i else -1
-            for d in range(int(f.length[byte])):
-                node, bit = f.node[byte, d], f.bit[byte, d]
-                share = max(1e-6, min(1 - 1e-6, float(post @ f.ones[:, node] / (post @ f.mass[:, node]))))
-                x = [math.log(share / (1 - share)), float(f.one[one, node]), float(f.two[two, node]), 0.0, 0.0, 1.0]
-                known = 0
-                if f.group_bits[node] and i:
-                    n, k = follows @ f.groups[:, node, 0], follows @ f.groups[:, node, 1]
-                    p = (k + lm_scoring.SHRINK * f.overall[node]) / (n + lm_scoring.SHRINK)
-                    x[3], known = math.log(p / (1 - p)) - float(f.base[node]), int(n >= 2)
-                if guess >= 0 and d < f.length[guess] and f.node[guess, d] == node:
-                    x[4] = 2.0 * f.bit[guess, d] - 1
+            for d in range(3):
+                # the groups under this node share the bits above; those on the side of ones have the next bit set
+                under = [g for g in range(8) if g >> (3 - d) == group >> (3 - d)]
+                ones = [g for g in under if g >> (2 - d) & 1]
+                node, bit = [0, 1 + (group >> 2), 3 + (group >> 1)][d], group >> (2 - d) & 1
+                share = max(1e-6, min(1 - 1e-6, mixture[ones].sum() / mixture[under].sum()))
+                x = [math.log(share / (1 - share)), float(f.two[two, node]), 0.0]
+                if guess >= 0 and (guess & 31) >> 2 in under:
+                    x[2] = 1.0 if (guess & 31) >> 2 in ones else -1.0
                 x = np.clip(x, -8, 8)
-                gate = int(f.group_bits[node]) * 4 + int(x[4] != 0) * 2 + known
+                gate = d * 2 + int(x[2] != 0)
                 w = weights[gate]
-                p = 1 / (1 + math.exp(-max(-12, min(12, float(w @ x)))))
+                p = max(1e-6, min(1 - 1e-6, 1 / (1 + math.exp(-float(w @ x)))))
                 total += math.log(p if bit else 1 - p)
                 weights[gate] = w + lm_scoring.ONLINE_RATE * (bit - p) * x
             if i:
