@@ -206,7 +206,7 @@ def run_exp2(spark: SparkSession, sf_dir: str, dataset: str, algo: str = "kmeans
 PRINTED = ("small_three", "two_overlapping", "ten_classes", "no_structure", "behaviour", "text_quality")
 
 
-def average_deviations(spark: SparkSession, sf_dir: str, trials: int = 100, spectral_trials: int = 20, datasets: Sequence[str] = PRINTED) -> DataFrame:
+def average_deviations(spark: SparkSession, sf_dir: str, trials: int = 100, spectral_trials: int = 100, datasets: Sequence[str] = PRINTED) -> DataFrame:
     """Average difference to pooled, in percent, over all tables and measures: algo, method, avg_pct, tables."""
     parts = []
     for algo, n in (("kmeans", trials), ("spectral", spectral_trials)):

@@ -15,7 +15,7 @@ from gridcluster.session import materialise
 
 @pytest.fixture(scope="module")
 def language(spark, middle):
-    return materialise(spark, workloads.text_language(spark, middle), "language")
+    return materialise(spark, workloads.text_language(spark, middle, least=200), "language")
 
 
 def ari(labels, points):
