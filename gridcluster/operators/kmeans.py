@@ -10,8 +10,10 @@ import pyarrow as pa
 from pyspark import StorageLevel
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql.window import Window
 
 from ..functions.portable import hashed_uniform
+from ..session import materialise
 from .numeric import matrix
 
 
@@ -286,3 +288,37 @@ def assign(df: DataFrame, centers: np.ndarray, name: str = "z", label: str = "pr
 
 def inertia(df: DataFrame, centers: np.ndarray, name: str = "z") -> float:
     return assign(df, centers, name, "__c", "__d").agg(F.avg("__d")).first()[0]
+
+
+def pairwise_assign(df: DataFrame, centers: np.ndarray, name: str = "z", key: str = "row_id", label: str = "pred") -> DataFrame:
+    """The same labels by a join of all rows with the table of centers (k rows, broadcast) and a least distance a row:
+    key, label, dist. For comparison; `assign` needs neither the join nor the aggregation. Ids must be unique."""
+    from ..functions.vectors import sqdist
+
+    table = df.sparkSession.createDataFrame([(k, c.tolist()) for k, c in enumerate(centers)], f"{label} int, center array<double>")
+    pairs = df.select(key, F.col(name).alias("z")).crossJoin(F.broadcast(table)).select(key, label, sqdist(F.col("z"), F.col("center")).alias("dist"))
+    return pairs.groupBy(key).agg(F.min(F.struct("dist", label)).alias("best")).select(key, f"best.{label}", "best.dist")
+
+
+def cumulative_draw(df: DataFrame, shares: list[float], weight: str = "w", key: str = "row_id") -> list:
+    """For each share u of the total weight the row, in the order of keys, at which the running sum first exceeds u.
+
+    The draw by running sums, which the exponential race of `seed_dsq` does without. Rows are sorted by
+    ranges; each range's sum reaches the driver, and only the range that a share falls into is summed up row by row.
+    """
+    spark = df.sparkSession
+    ranged = df.select(F.col(key).alias("k"), F.col(weight).cast("double").alias("w")).where("w > 0").repartitionByRange("k").withColumn("part", F.spark_partition_id())
+    ranged = materialise(spark, ranged, "ranges")
+    sums = {r["part"]: r["w"] for r in ranged.groupBy("part").agg(F.sum("w").alias("w")).collect()}
+    total, out = sum(sums.values()), []
+    for u in shares:
+        left, at = u * total, None
+        for part in sorted(sums):
+            at = part
+            if left < sums[part]:
+                break
+            left -= sums[part]
+        running = F.sum("w").over(Window.partitionBy("part").orderBy("k").rowsBetween(Window.unboundedPreceding, 0))
+        found = ranged.where(F.col("part") == F.lit(at)).withColumn("sum", running).where(F.col("sum") > left).agg(F.min("k").alias("k")).first()
+        out.append(found["k"])
+    return out

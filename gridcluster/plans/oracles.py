@@ -138,6 +138,8 @@ def oracle_sql() -> dict[str, str]:
         "comm_volume": f"WITH {PARTS}, n AS (SELECT row_grp, count(*) AS n FROM p GROUP BY row_grp) SELECT row_grp, CAST(j AS INT) AS col_grp, n + 300 AS up, (n + 3) * 2 AS down FROM n, range(2) t(j)",
         "nearest_center": f"WITH {ASSIGNED} SELECT row_id, pred, {r('dist')} AS dist FROM a",
         "nearest_center_sql": f"WITH {ASSIGNED} SELECT row_id, pred FROM a",
+        "pairwise_center": f"WITH {ASSIGNED} SELECT row_id, pred, {r('dist')} AS dist FROM a",
+        "cumulative_draw": "WITH s AS (SELECT o_orderkey AS row_id, sum(o_totalprice) OVER (ORDER BY o_orderkey ROWS UNBOUNDED PRECEDING) AS s, sum(o_totalprice) OVER () AS t FROM orders) SELECT u AS share, min(row_id) AS row_id FROM s, (VALUES (CAST(0.05 AS DOUBLE)), (0.25), (0.5), (0.75), (0.95)) d(u) WHERE s > u * t GROUP BY u",
         "lloyd_1": _lloyd(1),
         "lloyd_5": _lloyd(5),
         "dsq_weights": f"WITH {_V}, c AS (SELECT * FROM v ORDER BY row_id LIMIT 3) SELECT v.row_id, {r('min(' + ' + '.join(f'pow(v.z{i} - c.z{i}, 2)' for i in range(DIMS)) + ')')} AS w FROM v, c GROUP BY v.row_id",

@@ -281,6 +281,20 @@ def dsq_weights(spark, sf_dir):
     return kmeans.assign(v, kmeans.seed_fixed(v, 3), distance="d").select("row_id", r("d").alias("w"))
 
 
+@query
+def pairwise_center(spark, sf_dir):
+    """Labels by a join with the table of centers."""
+    return kmeans.pairwise_assign(vectors(spark, sf_dir), CENTERS).select("row_id", "pred", r("dist").alias("dist"))
+
+
+@query
+def cumulative_draw(spark, sf_dir):
+    """Rows drawn at given shares of the running sum of order prices."""
+    o = load(spark, sf_dir, "orders", ["o_orderkey", "o_totalprice"]).select(F.col("o_orderkey").alias("row_id"), F.col("o_totalprice").alias("w"))
+    shares = [0.05, 0.25, 0.5, 0.75, 0.95]
+    return spark.createDataFrame(list(zip(shares, kmeans.cumulative_draw(o, shares))), "share double, row_id long")
+
+
 @query
 def seed_farthest(spark, sf_dir):
     c = kmeans.seed_fixed(vectors(spark, sf_dir), 4, "farthest")
