@@ -6,6 +6,7 @@ import itertools
 import random
 import re
 
+import numpy as np
 import pytest
 
 from gridcluster.llm import chat, components, decontaminate, near_dups, substring_dedup
@@ -302,3 +303,21 @@ def test_chat_by_brute_force_with_ties_and_null_turns(spark, monkeypatch, broadc
 def test_chat_plan_is_native(spark, small):
     plan = chat.render_conversations(spark.read.parquet(f"{small}/conversations.parquet"))._jdf.queryExecution().executedPlan().toString()
     assert not re.search("Python|Arrow|Pandas", plan)
+
+
+@pytest.mark.parametrize("few", [-1, 1 << 20])
+def test_few_links_on_the_driver_give_the_components_of_the_rounds(spark, monkeypatch, few):
+    """Few links take no round of jobs; many give the same."""
+    monkeypatch.setattr(components, "FEW_LINKS", few)
+    rounds = []
+    monkeypatch.setattr(components, "_hook", lambda *a, hook=components._hook, **o: rounds.append(1) or hook(*a, **o))
+    rng = np.random.default_rng(8)
+    links = [(i, i + 1) for i in range(50, 90)] + [tuple(map(int, rng.integers(-40, 40, 2))) for _ in range(30)] + [(-(1 << 63), 200), (5, 5)]
+    got = {r["node"]: r["component"] for r in components.components(spark, spark.createDataFrame(links, "a long, b long")).collect()}
+    least = {n: n for a, b in links if a != b for n in (a, b)}
+    for _ in range(len(least)):
+        for a, b in links:
+            if a != b:
+                least[a] = least[b] = min(least[a], least[b])
+    assert got == least
+    assert bool(rounds) == (few < 0)
