@@ -124,3 +124,60 @@ def test_landmarks_separate_rings(spark):
     u = np.zeros((2, 2))
     np.add.at(u, (np.repeat([0, 1], 150), label), 1)
     assert metrics.ari(u) == pytest.approx(1.0)
+
+
+@pytest.mark.parametrize("include_self", [False, True])
+@pytest.mark.parametrize("crowded", [False, True])
+def test_tree_search_is_brute_force(spark, monkeypatch, include_self, crowded):
+    """A table of bounded size is searched leaf by leaf: same neighbours, also among rows in one place."""
+    monkeypatch.setattr(graph, "BLOCK_ROWS", 50)
+    made = []
+    monkeypatch.setattr(graph, "LeafTree", lambda *a, tree=graph.LeafTree: made.append(1) or tree(*a, leaf=16))
+    rng = np.random.default_rng(3)
+    x = rng.integers(0, 3, (400, 3)).astype(float) if crowded else rng.standard_normal((400, 3))
+    rows = lambda e: sorted((r["src"], r["dst"], r["dist"]) for r in e.collect())
+    tree = rows(graph.knn_graph(frame(spark, x), 5, include_self=include_self))
+    few = rows(graph.knn_graph(frame(spark, x), 5, include_self=include_self, of=frame(spark, x).where("row_id % 7 = 0")))
+    assert len(made) == 1
+    monkeypatch.setattr(graph, "TREE_VALUES", 0)
+    assert tree == rows(graph.knn_graph(frame(spark, x), 5, include_self=include_self))
+    assert few == [r for r in tree if r[0] % 7 == 0]
+
+
+def test_embedding_in_a_task_is_that_of_the_matrix(spark, monkeypatch):
+    """Connected graphs and graphs of several components."""
+    rng = np.random.default_rng(6)
+    for gap, known in ((1.5, 1), (30.0, 3)):
+        x = np.vstack([rng.standard_normal((150, 2)) + gap * i for i in range(3)])
+        edges = graph.symmetrise(graph.knn_graph(frame(spark, x), 8)).cache()
+        want, least = sp.embed(spark, edges, 4)
+        monkeypatch.setattr(sp, "DENSE_NODES", 100)
+        monkeypatch.setattr(sp, "subspace_embedding", None)
+        got, values = sp.embed(spark, edges, 4)
+        monkeypatch.undo()
+        a, b = (np.array([r["z"] for r in z.orderBy("row_id").collect()]) for z in (want, got))
+        assert values == pytest.approx(least, abs=1e-6) and (least[:known] < 1e-9).all()
+        assert np.linalg.svd(a.T @ b)[1] == pytest.approx(1, abs=1e-3)
+
+
+def test_only_drawn_rows_look_for_neighbours(spark, monkeypatch):
+    """Few anchors of many rows: same anchors as with the graph of all rows."""
+    from gridcluster.operators import anchors
+
+    x = np.random.default_rng(9).standard_normal((300, 3))
+    public = frame(spark, x).withColumnRenamed("z", "feats")
+    rows = lambda: sorted((r["anchor_id"], *r["feats"]) for r in anchors.anchor_mix(public, 20, seed=2).collect())
+    given, whole = [], graph.knn_graph
+    monkeypatch.setattr(graph, "knn_graph", lambda *a, of=None, **o: given.append(of.count()) or whole(*a, of=of, **o))
+    few = rows()
+    monkeypatch.setattr(graph, "knn_graph", lambda *a, of=None, **o: whole(*a, **o))
+    assert given == [20] and few == rows()
+
+
+def test_trials_of_larger_tables_are_tasks(spark, monkeypatch):
+    """15,000 rows under spectral clustering: no trial goes through the distributed operators."""
+    from gridcluster.plans import workloads
+
+    monkeypatch.setattr(workloads, "equal_groups", None)
+    ledger = workloads.run_exp2(spark, "/root/testdata/sf0.1", "small_three", "spectral", 1, methods=("solo", "grid")).collect()
+    assert {r["method"] for r in ledger} == {"solo", "grid"} and all(r["value"] > 0.3 for r in ledger)
