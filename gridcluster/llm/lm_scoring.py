@@ -37,9 +37,8 @@ CLASSES = 16
 END_TOKEN, STOP = "\n", " "
 #: Context predictors inside a word: (bytes of context, 0 for the whole word so far; by class).
 PREDICTORS = ((3, True), (0, True), (0, False))
-#: Rates of the passes over training words in which the mixing weights are learned, bytes between updates, and the
-#: parts of the vocabulary (by hash, of up to SCORE_WORDS words each) that are learned from: the bound of that sample.
-RATES, LEARN_BYTES, LEARN_PARTS = (0.5, 0.25, 0.12, 0.06), 4000, 16
+#: Rates of the passes over training words in which the mixing weights are learned, and bytes between updates.
+RATES, LEARN_BYTES = (0.5, 0.25, 0.12, 0.06), 4000
 PRIOR = 0.3
 WORD_BATCH = 30_000
 #: Text in a chunk whose words are looked up together.
@@ -598,7 +597,7 @@ class WordScorer:
         return ByteTree(counts)
 
     def _mixer(self, used: DataFrame) -> Mixer:
-        """Each of LEARN_PARTS parts learns online over all its training words, each without itself in the counts; the
+        """Each part of the vocabulary learns online over all its training words, each without itself in the counts; the
         parts' weights are averaged by what each has seen, their refinement counts added."""
         tree, names, classes = self.tree, self.names, self.classes
 
@@ -616,7 +615,7 @@ class WordScorer:
 
         out = Mixer()
         total = np.zeros(out.weights.size + N_GATES + out.seen.size)
-        learned = used.where(F.col("p") < LEARN_PARTS).groupBy("p").cogroup(self.near.where(F.col("p") < LEARN_PARTS).groupBy("p")).applyInArrow(run, "cell long, value double")
+        learned = used.groupBy("p").cogroup(self.near.groupBy("p")).applyInArrow(run, "cell long, value double")
         for r in learned.groupBy("cell").agg(F.sum("value").alias("value")).collect():  # as many rows as the mixer has numbers
             total[r["cell"]] = r["value"]
         weights, mass, seen = np.split(total, [out.weights.size, out.weights.size + N_GATES])

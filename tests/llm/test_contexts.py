@@ -58,3 +58,24 @@ def test_parts_give_the_score_of_one_part(spark, monkeypatch):
     monkeypatch.setattr(lm_scoring, "LEAST_PARTS", 1)
     many = {r["doc_id"]: r["score"] for r in lm_scoring.score_documents(spark, docs).collect()}
     assert many == pytest.approx(one, rel=1e-6)
+
+
+def test_weights_are_learned_from_all_parts(spark, monkeypatch):
+    """What the mixer has seen is the sum over all parts of the vocabulary, however many there are."""
+    made = []
+
+    class Kept(lm_scoring.WordScorer):
+        def __init__(self, *args):
+            super().__init__(*args)
+            made.append(self)
+
+    monkeypatch.setattr(lm_scoring, "WordScorer", Kept)
+    monkeypatch.setattr(lm_scoring, "LEAST_PARTS", 24)
+    rng = np.random.default_rng(5)
+    docs = spark.createDataFrame([(i, " ".join("".join(rng.choice(list("abcdefgh"), 5)) for _ in range(20)), "a") for i in range(30)], "doc_id long, text string, lang string")
+    lm_scoring.score_documents(spark, docs)
+    scorer, start = made[0], lm_scoring.Mixer().seen
+    used = scorer.words.where("c0 > 0")
+    late, early = (scorer._mixer(used.where(c)).seen - start for c in ("p >= 16", "p < 16"))
+    assert late.sum() > 0 and early.sum() > 0
+    assert scorer._mixer(used).seen - start == pytest.approx(late + early)
