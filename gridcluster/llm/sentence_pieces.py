@@ -18,7 +18,7 @@ from .common import coded, flat_split, row_of, slices, texts
 
 SPACE = "▁"
 #: Distinct words and token pairs that a worker keeps.
-WORDS, PAIRS = 800_000, 500_000
+WORDS, PAIRS = 300_000, 200_000
 _WORD = re.compile(f"{SPACE}+[^{SPACE}]*|[^{SPACE}]+")
 
 
@@ -204,7 +204,7 @@ def sentence_piece_digests(spark: SparkSession, docs: DataFrame, model: bytes, i
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         encoder = encoder_of(shared.value)
-        for piece in slices(batches, "text", 6 << 20):
+        for piece in slices(batches, "text"):
             text = texts(piece)
             lengths, ids = encoder.encode(text)
             ends = np.cumsum(lengths)

@@ -112,3 +112,30 @@ def test_digests_and_empty_table(spark, merger):
     assert by[1]["ids_sha256"] == hashlib.sha256(np.array(ids, dtype="<u4").tobytes()).hexdigest()
     assert by[2]["n_tokens"] == 2 and by[2]["decoded"] == "" and len(got) == 3
     assert sentence_pieces.sentence_piece_digests(spark, docs.limit(0), tokenizer_file("piece_bpe_32k.model")).count() == 0
+
+
+def test_pieces_work_on_bounded_text(spark, merger, monkeypatch):
+    """A batch of 6 MB goes through the encoder in parts of 2 MB."""
+    from gridcluster.llm import common, sentence_pieces
+
+    class Docs:
+        def select(self, *columns):
+            return self
+
+        def mapInArrow(self, run, schema):
+            return run
+
+    sizes = []
+
+    class Seen:
+        processor = merger.processor
+
+        def encode(self, text):
+            sizes.append(text.nbytes)
+            return merger.encode(text)
+
+    monkeypatch.setattr(sentence_pieces, "encoder_of", lambda model: Seen())
+    run = sentence_pieces.sentence_piece_digests(spark, Docs(), b"")
+    batch = pa.RecordBatch.from_arrays([pa.array(range(60)), pa.array(["some words " * 9000] * 60)], names=["doc_id", "text"])
+    assert sum(b.num_rows for b in run(iter([batch]))) == 60
+    assert len(sizes) > 1 and max(sizes) < common.SLICE_BYTES + 10_000
