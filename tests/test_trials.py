@@ -69,3 +69,37 @@ def test_letter_shares_of_odd_texts(spark):
     got = df.select(F.array(*features.letter_shares(F.col("t"))).alias("a"), F.array(*want).alias("b")).collect()
     assert len(got) == len(texts) and all(r["a"] == r["b"] for r in got)
     assert "translate" not in df.select(*features.letter_shares(F.col("t")))._jdf.queryExecution().toString()
+
+
+def clouds(sizes, width, seed=3):
+    rng = np.random.default_rng(seed)
+    return np.vstack([rng.standard_normal((n, width)) + 4 * i for i, n in enumerate(sizes)])
+
+
+@pytest.mark.parametrize("shift, scale", [(0.0, 1.0), (1e7, 1.0), (0.0, 1e-25), (0.0, 1e25)])
+def test_sifted_neighbours_are_those_of_all_differences(shift, scale):
+    from gridcluster.operators.graph import _nearest_between
+    from gridcluster.operators.local import LeafTree
+
+    z = np.vstack([clouds((700, 900), 3), np.ones((40, 3)), np.round(clouds((300,), 3))]) * scale + shift
+    ids = np.random.default_rng(4).permutation(len(z)).astype(np.int64)
+    tree = LeafTree(ids, z, 6)
+    edges = lambda t: sorted(zip(*(t[c].to_pylist() for c in ("src", "dst", "dist"))))
+    got = edges(tree.nearest(range(len(tree))))
+    assert got == edges(_nearest_between(ids, z, ids, z, 6, False))
+
+
+def test_embedding_is_as_near_as_the_gap_asks():
+    """A narrow cloud, whose eigenvalues lie close together: the vectors are those of the whole matrix."""
+    from gridcluster.operators import local, spectral
+    from gridcluster.operators.graph import _nearest_between
+
+    for z, k in ((clouds((2500,), 2), 3), (np.random.default_rng(5).random((2500, 1)) * 50, 3), (clouds((1200, 900), 2) * [1, 9], 4)):
+        ids = np.arange(len(z))
+        e = _nearest_between(ids, z, ids, z, 10, False)
+        src, dst = e["src"].to_numpy(), e["dst"].to_numpy()
+        edges = ids, np.concatenate([src, dst]), np.concatenate([dst, src]), np.full(2 * len(src), 0.5), k
+        values, want = spectral.dense_embedding(*edges)
+        found, got = local.sparse_embedding(*edges, spectral.TOLERANCE, spectral.DEGREE)
+        assert found == pytest.approx(values, rel=1e-3, abs=1e-9)
+        assert np.linalg.svd(want.T @ got)[1] == pytest.approx(1, abs=0.01)
