@@ -103,3 +103,67 @@ def test_embedding_is_as_near_as_the_gap_asks():
         found, got = local.sparse_embedding(*edges, spectral.TOLERANCE, spectral.DEGREE)
         assert found == pytest.approx(values, rel=1e-3, abs=1e-9)
         assert np.linalg.svd(want.T @ got)[1] == pytest.approx(1, abs=0.01)
+
+
+def test_few_rows_are_sorted_for_a_leaf(monkeypatch):
+    """Of the rows that the sift leaves, only those within the q-th distance are put in order."""
+    from gridcluster.operators.local import LeafTree
+
+    z = np.random.default_rng(6).standard_normal((6000, 9))
+    tree, sorted_, whole = LeafTree(np.arange(6000), z, 10), [], np.lexsort
+    monkeypatch.setattr(np, "lexsort", lambda keys: sorted_.append(len(keys[0])) or whole(keys))
+    assert tree.nearest(range(len(tree))).num_rows == 60_000
+    assert sum(sorted_) < 61_000
+
+
+@pytest.mark.parametrize("kinds", [2, 500])
+def test_products_are_those_of_the_matrix(kinds):
+    """Edges of few and of many weights, nodes of few and of very many edges, in both precisions."""
+    from gridcluster.operators.local import NODES, Products
+
+    rng, n = np.random.default_rng(7), NODES + 700
+    a, b = np.concatenate([rng.integers(0, n, 20_000), np.zeros(n - 1, dtype=int)]), np.concatenate([rng.integers(0, n, 20_000), np.arange(1, n)])
+    pairs = np.unique(np.minimum(a, b)[a != b] * n + np.maximum(a, b)[a != b])
+    a, b = np.divmod(pairs, n)
+    w = rng.choice(rng.random(kinds) + 0.5, len(pairs))
+    s, d, w = np.concatenate([a, b]), np.concatenate([b, a]), np.concatenate([w, w])
+    by = np.argsort(s, kind="stable")
+    s, d, w = s[by], d[by], w[by]
+    root = np.sqrt(np.bincount(s, weights=w, minlength=n))
+    dense = np.zeros((n, n))
+    dense[s, d] = w / (root[s] * root[d])
+    times = Products(n, s, d, w, 1 / root)
+    for width in (1, 5, 11):
+        x = rng.standard_normal((n, width))
+        assert np.allclose(times(x), dense @ x, atol=1e-12)
+        single = times(x.astype(np.float32))
+        assert single.dtype == np.float32 and np.allclose(single, dense @ x, atol=1e-5)
+
+
+def test_long_filters_work_in_single_precision(monkeypatch):
+    """A chain's eigenvalues ask for filters of high degree: their products are single, and the vectors those of the matrix."""
+    from gridcluster.operators import local, spectral
+
+    n = 2500
+    a = np.arange(n - 1)
+    edges = np.arange(n), np.concatenate([a, a + 1]), np.concatenate([a + 1, a]), np.ones(2 * (n - 1)), 3
+    kinds, whole = [], local.Products.__call__
+    monkeypatch.setattr(local.Products, "__call__", lambda self, x: kinds.append(x.dtype.itemsize) or whole(self, x))
+    values, want = spectral.dense_embedding(*edges)
+    found, got = local.sparse_embedding(*edges, spectral.TOLERANCE, spectral.DEGREE)
+    assert kinds.count(4) > 2 * kinds.count(8)
+    assert found == pytest.approx(values, rel=1e-2, abs=1e-7)
+    assert np.linalg.svd(want.T @ got)[1] == pytest.approx(1, abs=0.01)
+
+
+def test_character_shares_of_runs(spark):
+    from pyspark.sql import functions as F
+
+    from gridcluster.functions import features
+
+    texts = ["", "AAAbbb  12\n\t9", "ÀÉ 𝐀𝐁 12½", "a1b2 C3", "  ", "..--"]
+    want = [[sum(map(f, t)) / max(1, len(t)) for f in (str.isalpha, lambda c: c in "0123456789", lambda c: c in " \t\n\r")] for t in texts]
+    df = spark.createDataFrame([(i, t) for i, t in enumerate(texts)], "i int, t string")
+    got = [r["a"] for r in df.select("i", F.array(*features.character_shares(F.col("t"))).alias("a")).orderBy("i").collect()]
+    assert [g[:3] for g in got] == [pytest.approx(w) for w in want]
+    assert r"\p{L}+" in df.select(*features.character_shares(F.col("t")))._jdf.queryExecution().toString()
