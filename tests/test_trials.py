@@ -156,6 +156,20 @@ def test_long_filters_work_in_single_precision(monkeypatch):
     assert np.linalg.svd(want.T @ got)[1] == pytest.approx(1, abs=0.01)
 
 
+def test_pooled_embedding_is_a_task_and_trials_run_once(spark, small, monkeypatch):
+    """Nothing is embedded on the driver, and a report that reads the ledger again reads what is written."""
+    from gridcluster.plans import workloads
+
+    here, whole = [], trials.embedded
+    monkeypatch.setattr(trials, "embedded", lambda *a: here.append(1) or whole(*a))  # tasks have a list of their own
+    ledger = workloads.run_exp2(spark, small, "small_three", "spectral", 2)
+    assert "MapInArrow" not in ledger._jdf.queryExecution().toString()
+    rows = ledger.collect()
+    assert not here
+    assert sorted({(r["method"], r["trial"]) for r in rows}) == [(m, t) for m in ("fed", "grid", "pooled", "solo") for t in (0, 1)]
+    assert len(rows) == 24 and all(r["value"] is not None for r in rows)
+
+
 def test_character_shares_of_runs(spark):
     from pyspark.sql import functions as F
 
