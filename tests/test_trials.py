@@ -181,3 +181,23 @@ def test_character_shares_of_runs(spark):
     got = [r["a"] for r in df.select("i", F.array(*features.character_shares(F.col("t"))).alias("a")).orderBy("i").collect()]
     assert [g[:3] for g in got] == [pytest.approx(w) for w in want]
     assert r"\p{L}+" in df.select(*features.character_shares(F.col("t")))._jdf.queryExecution().toString()
+
+
+@pytest.mark.parametrize("shift", [0.0, 1e6])
+def test_sums_are_moved_by_few_points_and_end_in_the_same_bits(monkeypatch, shift):
+    """Few passes sum all points; equal points, ties and centers that lose their points are as with all sums."""
+    rng = np.random.default_rng(8)
+    z, summed, whole = rng.standard_normal((20_000, 5)) + shift, [], np.bincount
+    monkeypatch.setattr(np, "bincount", lambda x, *a, **o: summed.append(len(x)) or whole(x, *a, **o))
+    centers, _, near = kmeans.lloyd_labels(z, np.ones(len(z)), z[:3], 300)
+    monkeypatch.undo()
+    want, labels = plain_lloyd(z, np.ones(len(z)), z[:3], 300)
+    assert np.array_equal(centers, want) and np.array_equal(near, labels)
+    assert sum(summed) < 0.5 * len(summed) * len(z)
+    for t in range(40):
+        z = rng.integers(0, 4, (300, 2)) + shift if t % 2 else np.round(rng.standard_normal((300, 3)), 1) + shift
+        weights, k = rng.integers(0, 3, 300) if t % 3 else rng.random(300), int(rng.integers(1, 9))
+        start, passes = z[rng.choice(300, k)] + (1e9 if t % 7 == 0 else 0) * np.eye(k, z.shape[1]), int(rng.integers(0, 40))
+        centers, _, near = kmeans.lloyd_labels(z, weights, start, passes)
+        want, labels = plain_lloyd(z, weights, start, passes)
+        assert np.array_equal(centers, want) and np.array_equal(near, labels)
