@@ -1,7 +1,9 @@
 """Language ID by cross-parsing: the language whose reference text needs the fewest normalised phrases wins.
 
 A text is parsed greedily into longest substrings of a language's reference; n letters in c phrases
-against a reference of r letters estimate a cross entropy of c * log2(r) / n bits a letter.
+against a reference of r letters estimate a cross entropy of c * log2(r) / n bits a letter. A letter that the
+reference lacks cannot be pointed at: besides its phrase it costs the bits of any character, so that a short
+reference is not the cheapest for a script that it doesn't have.
 """
 
 from __future__ import annotations
@@ -24,6 +26,8 @@ SAMPLE_ROWS, REFERENCE_CHARS, ALL_CHARS = 60, 40_000, 4_000_000
 BROADCAST_ROWS = 200_000
 #: Phrases end at every so many characters, so that long texts are parsed side by side.
 SEGMENT = 1024
+#: Bits that spell any character out.
+LETTER_BITS = math.log2(0x110000)
 UNKNOWN = "und"
 
 
@@ -136,14 +140,20 @@ class LanguageModel:
         self.edges = EdgeTable(np.array(state, dtype=np.int64), np.array(letter, dtype=np.int64), np.array(to, dtype=np.int32), len(points) + 1)
         everything = np.arange(len(points) + 1)
         self.from_root = self.edges.step(np.repeat(self.root[None], len(everything), axis=0), np.repeat(everything[:, None], len(self.langs), axis=1)) if self.langs else None
+        self.lacks = self.from_root < 0 if self.langs else None
 
     def phrases(self, texts_: list[str]) -> np.ndarray:
-        """Phrases of each text in each language: an array texts x languages; all segments are parsed in lock step."""
+        """Phrases of each text in each language: an array texts x languages."""
+        return self.parsed(texts_)[0]
+
+    def parsed(self, texts_: list[str]) -> tuple[np.ndarray, np.ndarray]:
+        """Phrases of each text in each language, and how many of them are characters that its reference lacks; all
+        segments are parsed in lock step."""
         n, k = len(texts_), len(self.langs)
-        out = np.zeros((n, k), dtype=np.int64)
+        out, lacking = np.zeros((n, k), dtype=np.int64), np.zeros((n, k), dtype=np.int64)
         flat = np.frombuffer("".join(texts_).encode("utf-32-le"), dtype=np.uint32)
         if not len(flat) or not k:
-            return out
+            return out, lacking
         at = np.minimum(np.searchsorted(self.points, flat), len(self.points) - 1)
         codes = np.where(self.points[at] == flat, at + 1, 0)
         lengths = np.fromiter(map(len, texts_), dtype=np.int64, count=n)
@@ -166,7 +176,11 @@ class LanguageModel:
             state[:live] = np.where(fresh, np.where(again < 0, self.root[None], again), to)
         for j in range(k):
             out[:, j] = np.bincount(row, weights=count[:, j], minlength=n)
-        return out
+        odd = np.nonzero(self.lacks.any(axis=1)[codes])[0]
+        own = np.searchsorted(np.cumsum(lengths), odd, side="right")
+        for j in range(k):
+            lacking[:, j] = np.bincount(own, weights=self.lacks[codes[odd], j], minlength=n)
+        return out, lacking
 
     def predict(self, text: pa.Array) -> tuple[list[str], np.ndarray]:
         """Language and score of each text; `und` and 0 without a letter or without any learned language."""
@@ -175,7 +189,8 @@ class LanguageModel:
         known = (pc.binary_length(clean).to_numpy(zero_copy_only=False) > 0) & (k > 0)
         if not k:
             return [UNKNOWN] * n, np.zeros(n)
-        cost = self.phrases(clean.to_pylist()) * self.bits
+        phrases, lacking = self.parsed(clean.to_pylist())
+        cost = phrases * self.bits + lacking * LETTER_BITS
         best = cost.argmin(axis=1)
         low = cost[np.arange(n), best]
         rest = (1 / np.maximum(cost, 1e-9)).sum(axis=1)

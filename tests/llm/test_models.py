@@ -215,6 +215,23 @@ def test_letters_and_languages_have_no_cap(spark):
     assert bound.phrases([" " + long])[0, 0] <= 400_001 / 1024 + 400_001 / 4000 + 2
 
 
+def test_letters_that_a_reference_lacks_cost_more_than_phrases():
+    """A short reference without a text's script loses to the text's own, however much longer that is; both count alike."""
+    import pyarrow as pa
+
+    rng = np.random.default_rng(4)
+    draw = lambda n: "".join(chr(0x4E00 + int(x)) for x in rng.integers(0, 1500, n))
+    model = language_id.LanguageModel({"han": f" {draw(9000)} ", "short": " ab "})
+    texts = [draw(300) for _ in range(20)] + ["ab ab", "a\u4e00" + chr(0x3042)]
+    assert model.predict(pa.array(texts))[0][:21] == ["han"] * 20 + ["short"]
+    _, lacking = model.parsed([" ab ", "", f" {texts[0]} ", " \u3042a "])
+    assert lacking.tolist() == [[2, 0], [0, 0], [sum(c not in model_letters(model, "han") for c in texts[0]), 300], [2, 1]]
+
+
+def model_letters(model, lang):
+    return {chr(p) for p, lacks in zip(model.points, model.lacks[1:, model.langs.index(lang)]) if not lacks}
+
+
 def test_languages_on_held_out_rows(spark, middle):
     docs = spark.read.parquet(f"{middle}/documents.parquet").select("doc_id", "text", "lang")
     odd = spark.createDataFrame([(-1, None, "en"), (-2, "", None), (-3, "123 !?", "de"), (-3, "123 !?", "de")], docs.schema)
