@@ -39,6 +39,8 @@ END_TOKEN, STOP = "\n", " "
 PREDICTORS = ((3, True), (0, True), (0, False))
 #: Rates of the passes over training words in which the mixing weights are learned, and bytes between updates.
 RATES, LEARN_BYTES = (0.5, 0.25, 0.12, 0.06), 4000
+#: Bits whose mixed values wait to be noted in the refinement table at once.
+NOTE_BITS = 1 << 16
 PRIOR = 0.3
 WORD_BATCH = 30_000
 #: Text in a chunk whose words are looked up together.
@@ -135,8 +137,11 @@ def odds(n0: np.ndarray, n1: np.ndarray) -> np.ndarray:
 
 
 def level(n: np.ndarray) -> np.ndarray:
-    """How often a context was seen, in six steps."""
-    return np.searchsorted(np.array([0.5, 1.5, 3.5, 15.5, 127.5]), n).astype(np.uint8)
+    """How often a context was seen (a whole number), in six steps."""
+    return LEVELS.take(np.clip(n, 0, len(LEVELS) - 1).astype(np.int64))
+
+
+LEVELS = np.searchsorted(np.array([0.5, 1.5, 3.5, 15.5, 127.5]), np.arange(129)).astype(np.uint8)
 
 
 def gates(own: np.ndarray, shared: np.ndarray, three: np.ndarray, start: np.ndarray, depth: int) -> np.ndarray:
@@ -170,15 +175,20 @@ class Mixer:
         self.seen = np.stack([np.tile(1 - grid, (N_GATES, 1)), np.tile(grid, (N_GATES, 1))]) * 20
         self.mass = np.zeros(N_GATES)
 
-    def learn(self, x: np.ndarray, gate: np.ndarray, bit: np.ndarray, weight: np.ndarray, rate: float) -> None:
-        mixed = np.einsum("ij,ij->i", x, self.weights[gate])
+    def step(self, x: np.ndarray, gate: np.ndarray, bit: np.ndarray, weight: np.ndarray, mass: np.ndarray, rate: float) -> np.ndarray:
+        """Moves the weights of some bits, whose weights by gate are mass, and returns what was mixed before."""
+        mixed = np.einsum("ij,ij->i", x, self.weights.take(gate, axis=0))
         error = (bit - squash(mixed)) * weight
-        mass = np.bincount(gate, weights=weight, minlength=N_GATES)
+        by = rate / np.maximum(mass, 1)
         for j in range(x.shape[1]):
-            self.weights[:, j] += rate * np.bincount(gate, weights=error * x[:, j], minlength=N_GATES) / np.maximum(mass, 1)
+            self.weights[:, j] += by * np.bincount(gate, weights=error * x[:, j], minlength=N_GATES)
+        self.mass += mass
+        return mixed
+
+    def note(self, mixed: np.ndarray, gate: np.ndarray, bit: np.ndarray, weight: np.ndarray) -> None:
+        """What was observed where so much was mixed; no step looks at it, so those of many steps are noted at once."""
         at = (bit * N_GATES + gate) * BUCKETS + bucket(mixed)
         self.seen += np.bincount(at, weights=weight, minlength=self.seen.size).reshape(self.seen.shape)
-        self.mass += mass
 
     def freeze(self) -> tuple[np.ndarray, np.ndarray]:
         return self.weights.astype(np.float32), (self.seen[1] / self.seen.sum(axis=0)).astype(np.float32)
@@ -349,7 +359,7 @@ class CountedContexts:
             for c in range(classes):
                 x = [three[at[0], c], word[at[1], c], whole]
                 gate = gates(known[at[1], c], shared, x[0] != 0, self.start[b], d)
-                w = weights[gate]
+                w = weights.take(gate, axis=0)
                 mixed = w[:, -1].copy()
                 for k, v in enumerate(x):
                     mixed += w[:, k] * v
@@ -388,11 +398,17 @@ class CountedContexts:
                 for turn in range(len(edges) - 1):
                     part = slice(edges[turn], edges[turn + 1])
                     if edges[turn] < edges[turn + 1]:
-                        steps.append((turn, x[part], gate[part], bit[part], weight[b[part], c]))
+                        w = weight[b[part], c]
+                        steps.append((turn, x[part], gate[part], bit[part], w, np.bincount(gate[part], weights=w, minlength=N_GATES)))
         steps.sort(key=lambda s: s[0])
         for rate in RATES:
-            for _, x, gate, bit, w in steps:
-                mixer.learn(x, gate, bit, w, rate)
+            waiting, bits = [], 0
+            for i, (_, *step) in enumerate(steps):
+                waiting.append((mixer.step(*step, rate), *step[1:4]))
+                bits += len(step[1])
+                if bits >= NOTE_BITS or i == len(steps) - 1:
+                    mixer.note(*map(np.concatenate, zip(*waiting)))
+                    waiting, bits = [], 0
 
 
 #: For each group its nodes and bits in a tree of three levels, the root first.
@@ -405,7 +421,6 @@ GUESS_SIGNS = np.concatenate([2 * BITS - 1, np.zeros((1, 3), dtype=np.int64)]).a
 SHRINK, SEGMENT_TOKENS, ONLINE_RATE = 8.0, 256, 0.02
 #: Weights at a segment's begin: the mixture's log-odds; the gain by two bytes; the last follower here of the word before.
 START = (1.0, 0.4, 0.6)
-ONLINE_GATES = 6
 
 
 class Openings:
@@ -436,6 +451,18 @@ def node_counts(by_group: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     return np.concatenate([halves.sum(axis=1, keepdims=True), halves, pairs], axis=1), np.concatenate([halves[:, 1:], pairs[:, 1::2], by_group[:, 1::2]], axis=1)
 
 
+def path_counts(by_group: np.ndarray, group: np.ndarray, at: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """The `node_counts` of rows at, only under the three nodes of their groups."""
+    flat = np.ascontiguousarray(by_group).reshape(-1)
+    pairs = flat[0::2] + flat[1::2]
+    halves = pairs[0::2] + pairs[1::2]
+    half, pair = 2 * at + (group >> 2), 4 * at + (group >> 1)
+    mass, ones = (np.empty((len(at), 3), dtype=flat.dtype) for _ in range(2))
+    mass[:, 0], mass[:, 1], mass[:, 2] = (halves[0::2] + halves[1::2]).take(at), halves.take(half), pairs.take(pair)
+    ones[:, 0], ones[:, 1], ones[:, 2] = halves.take(2 * at + 1), pairs.take(2 * half + 1), flat.take(2 * pair + 1)
+    return mass, ones
+
+
 def followers(t: Tokens) -> np.ndarray:
     """The first byte of what followed the same word the last time in the same text, -1 if it is new there."""
     out = np.full(len(t.code), -1, dtype=np.int64)
@@ -453,41 +480,55 @@ def opening_costs(f: Openings, t: Tokens, mixture: np.ndarray) -> np.ndarray:
     mixture: the class mixture's probability of each group before each token.
     """
     n = len(t.code)
-    at = np.arange(n)
-    group = group_of(t.first)
-    node, bit = NODES[group], BITS[group].astype(np.float32)
-    mass, ones = node_counts(mixture)
+    if not n:
+        return np.zeros(0)
+    # lanes: segments of texts, all one token further at a time; the longest are the first, so those still live are in front
+    place = (np.arange(n) - t.begin[t.row]) % SEGMENT_TOKENS
+    first = np.nonzero(place == 0)[0]
+    length = np.diff(np.append(first, n))
+    rank = np.empty(len(first), dtype=np.int64)
+    rank[np.argsort(-length, kind="stable")] = np.arange(len(first))
+    live = np.cumsum(np.bincount(length)[::-1])[::-1][1:]  # lanes of more than 0, 1, .. tokens
+    ends = np.cumsum(live)
+    # tokens in the order in which they are learned from: a step's lie side by side
+    turn = np.empty(n, dtype=np.int64)
+    turn[(ends - live)[place] + np.repeat(rank, length)] = np.arange(n)
+    group = group_of(t.first[turn])
+    node, bit = NODES.take(group, axis=0), BITS.take(group, axis=0).astype(np.float32).reshape(-1)
+    mass, ones = path_counts(mixture, group, turn)
     share = np.clip(ones / np.maximum(mass, 1e-300), 1e-6, 1 - 1e-6).astype(np.float32)
-    logit = np.log(share / (1 - share))
-    guess = followers(t)
+    mix = np.clip(np.log(share / (1 - share)), -8, 8).reshape(-1)
+    guess = followers(t)[turn]
     guessed = np.where(guess >= 0, group_of(np.maximum(guess, 0)), GROUPS)
-    on = GUESS_NODES[guessed] == node
-    gate = on + np.arange(3) * 2
-    inputs = [logit.reshape(-1).take(at[:, None] * 7 + node), f.two.reshape(-1).take(t.two[:, None] * 7 + node), np.where(on, GUESS_SIGNS[guessed], np.float32(0))]
-    np.clip(inputs[0], -8, 8, out=inputs[0])
-    # lanes: segments of texts, all one token further at a time
-    first = np.nonzero((at - t.begin[t.row]) % SEGMENT_TOKENS == 0)[0]
-    length = np.diff(np.append(first, n))
-    order = np.argsort(-length, kind="stable")
-    first, length = first[order], length[order]
-    weights = [np.full(len(first) * ONLINE_GATES, w, dtype=np.float32) for w in START]
-    base = np.arange(len(first)) * ONLINE_GATES
-    p = np.zeros((n, 3), dtype=np.float32)
-    live = len(first)
-    for s in range(int(length[0]) if live else 0):
-        while length[live - 1] <= s:
-            live = int(np.searchsorted(-length, -s, side="left"))
-        token = first[:live] + s
-        own = base[:live, None] + gate[token]  # the three bits have weights of their own
-        xs, ws = [x[token] for x in inputs], [w[own] for w in weights]
-        z = xs[0] * ws[0] + xs[1] * ws[1] + xs[2] * ws[2]
-        q = 1 / (1 + np.exp(-z))
-        p[token] = q
-        change = ONLINE_RATE * (bit[token] - q)
-        for k, x in enumerate(xs):
-            weights[k][own] = ws[k] + change * x
+    on = GUESS_NODES.take(guessed, axis=0) == node
+    two = f.two.reshape(-1).take((t.two[turn, None] * 7 + node).reshape(-1))
+    sign = (GUESS_SIGNS.take(guessed, axis=0) * on).reshape(-1)
+    # the three bits of a lane have weights of their own, those of mix and two also by whether a guess is on
+    slot = np.arange(3 * len(first)) * 2
+    w_mix, w_two = (np.full(2 * len(slot), w, dtype=np.float32) for w in START[:2])
+    w_sign = np.full(len(slot), START[2], dtype=np.float32)
+    on = on.reshape(-1).astype(np.int8)
+    p = np.empty(3 * n, dtype=np.float32)
+    for a, b in zip((3 * (ends - live)).tolist(), (3 * ends).tolist()):
+        own = slot[: b - a] + on[a:b]
+        x, y, z = mix[a:b], two[a:b], sign[a:b]
+        u, v, w = w_mix.take(own), w_two.take(own), w_sign[: b - a]
+        total = x * u
+        total += y * v
+        total += z * w
+        q = p[a:b]
+        np.exp(np.negative(total, out=total), out=total)
+        total += 1
+        np.divide(1, total, out=q)
+        change = ONLINE_RATE * (bit[a:b] - q)
+        w_mix[own] = u + change * x
+        w_two[own] = v + change * y
+        w += change * z
     p = np.clip(p, 1e-6, 1 - 1e-6)
-    return np.log(np.where(bit == 1, p, 1 - p)).sum(axis=1, dtype=np.float64)
+    out = np.empty(n)
+    each = np.log(np.where(bit == 1, p, 1 - p)).reshape(-1, 3).astype(np.float64)
+    out[turn] = across(each)
+    return out
 
 
 def context_rows(used: DataFrame, classes: int, tasks: int) -> DataFrame:
@@ -662,7 +703,8 @@ def text_scores(first: Openings, t: Tokens, cost: np.ndarray, log_shares: np.nda
     """Natural log probability of each text; cost: of each token under each class."""
     total = np.cumsum(cost, axis=0, dtype=np.float64)
     before = total - cost
-    before = before - before[t.begin[t.row]] + log_shares
+    before -= before.take(t.begin[t.row], axis=0)
+    before += log_shares
     post = (before - _peak(before)[:, None]).astype(np.float32)
     post -= _log_sum(post)[:, None]
     token = _log_sum(post + cost)
@@ -759,7 +801,7 @@ def score_documents(spark: SparkSession, docs: DataFrame, id_col: str = "doc_id"
             seen = count[at] if len(at) else np.zeros(0, dtype=np.int64)
             base = sums(np.log10(seen + 0.5)[t.codes], t.offsets) + base_end
             n_tokens = np.diff(t.offsets) + 1
-            cost = np.concatenate([table[at], end_cost[None]])[t.code]
+            cost = np.concatenate([table.take(at, axis=0), end_cost[None]]).take(t.code, axis=0)
             score = text_scores(first.value, t, cost, log_shares) / ln10
             letters = pc.binary_length(t.distinct).to_numpy(zero_copy_only=False).astype(np.int64)
             spelled_bytes = sums(letters[t.codes] + 1, t.offsets) + 2

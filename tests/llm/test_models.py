@@ -215,6 +215,26 @@ def test_letters_and_languages_have_no_cap(spark):
     assert bound.phrases([" " + long])[0, 0] <= 400_001 / 1024 + 400_001 / 4000 + 2
 
 
+def test_notes_may_wait_and_paths_are_counted_alone(monkeypatch):
+    """The mixer's observations may be noted for many steps at once; only the nodes of a token's own group are counted."""
+    rng = np.random.default_rng(6)
+    made = []
+    for bits in (1, 1 << 16):
+        monkeypatch.setattr(lm_scoring, "NOTE_BITS", bits)
+        words = lm_scoring.pa.array(["".join(np.random.default_rng(i).choice(list("abcde"), 1 + i % 7)) + str(i) for i in range(300)])
+        counts = np.random.default_rng(1).integers(0, 9, (300, 2)).astype(np.float64)
+        none = np.zeros(0, dtype=np.int32), np.zeros(0, dtype=np.uint64), np.zeros(0, dtype=np.int32), np.zeros((0, 2))
+        found = lm_scoring.CountedContexts(lm_scoring.ByteTree(np.arange(256)), lm_scoring.spelled(words), counts, none)
+        made.append(lm_scoring.Mixer())
+        found.learn(made[-1], counts)
+    assert (made[0].weights == made[1].weights).all() and (made[0].mass == made[1].mass).all() and np.allclose(made[0].seen, made[1].seen, rtol=1e-12)
+    assert made[0].seen.sum() > lm_scoring.Mixer().seen.sum() + 1000
+    by_group, at = rng.random((50, lm_scoring.GROUPS)), rng.permutation(50)
+    group = rng.integers(0, lm_scoring.GROUPS, 50)
+    for whole, own in zip(lm_scoring.node_counts(by_group), lm_scoring.path_counts(by_group, group, at)):
+        assert np.allclose(np.take_along_axis(whole[at], lm_scoring.NODES[group], axis=1), own, rtol=1e-14)
+
+
 def test_letters_that_a_reference_lacks_cost_more_than_phrases():
     """A short reference without a text's script loses to the text's own, however much longer that is; both count alike."""
     import pyarrow as pa
