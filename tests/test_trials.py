@@ -105,6 +105,24 @@ def test_embedding_is_as_near_as_the_gap_asks():
         assert np.linalg.svd(want.T @ got)[1] == pytest.approx(1, abs=0.01)
 
 
+def test_patches_and_leaves_are_as_many_as_the_table_is_worth():
+    """A graph of 6,000 nodes has 150 patches, not 1,000, whose matrix took longer than all products; the vectors are as near as asked."""
+    from gridcluster.operators import local, spectral
+
+    z = clouds((3500, 2500), 5)
+    ids, tree = np.arange(6000), local.LeafTree(np.arange(6000), z, 10)
+    assert len(tree) == 32  # leaves of up to 256 rows
+    e = tree.nearest(range(len(tree)))
+    src, dst = e["src"].to_numpy(), e["dst"].to_numpy()
+    at_s, at_d = np.concatenate([src, dst]), np.concatenate([dst, src])
+    patch = local.patches(6000, at_s, at_d, np.random.default_rng(0))
+    assert patch.max() + 1 == 150
+    values, x = local.sparse_embedding(ids, at_s, at_d, np.full(len(at_s), 0.5), 3, spectral.TOLERANCE, spectral.DEGREE)
+    root = np.sqrt(np.bincount(at_s, minlength=6000) * 0.5)
+    image = np.stack([np.bincount(at_s, weights=0.5 * (c / root)[at_d], minlength=6000) / root for c in x.T], axis=1)
+    assert np.linalg.norm(image - x * (1 - values), axis=0).max() <= spectral.TOLERANCE
+
+
 def test_few_rows_are_sorted_for_a_leaf(monkeypatch):
     """Of the rows that the sift leaves, only those within the q-th distance are put in order."""
     from gridcluster.operators.local import LeafTree
