@@ -181,3 +181,30 @@ def test_trials_of_larger_tables_are_tasks(spark, monkeypatch):
     monkeypatch.setattr(workloads, "equal_groups", None)
     ledger = workloads.run_exp2(spark, "/root/testdata/sf0.1", "small_three", "spectral", 1, methods=("solo", "grid")).collect()
     assert {r["method"] for r in ledger} == {"solo", "grid"} and all(r["value"] > 0.3 for r in ledger)
+
+
+def test_halves_are_summed_to_the_mean_and_embedded_without_an_exchange(spark, monkeypatch):
+    """The edges of a written neighbour graph go to the task that solves it as they are: no sum over all executors."""
+    from gridcluster.operators import spectral
+    from gridcluster.session import materialise
+
+    rng = np.random.default_rng(9)
+    z = np.vstack([rng.standard_normal((300, 2)), rng.standard_normal((200, 2)) + 3])
+    df = spark.createDataFrame([(int(7 * i), x.tolist()) for i, x in enumerate(z)], "row_id long, z array<double>")
+    near = materialise(spark, graph.knn_graph(df, 5), "near")
+    halves = graph.symmetrise(near, "halves")
+    assert "Exchange" not in halves._jdf.queryExecution().executedPlan().toString()
+    want = {(r["src"], r["dst"]): r["w"] for r in graph.symmetrise(near).where("src < dst").collect()}
+    got: dict = {}
+    for r in halves.collect():
+        assert r["src"] < r["dst"]
+        got[r["src"], r["dst"]] = got.get((r["src"], r["dst"]), 0) + r["w"]
+    assert got == want
+
+    dense = spectral.spectral(df, 3, 5)
+    monkeypatch.setattr(spectral, "DENSE_NODES", 100)
+    found = spectral.spectral(df, 3, 5)
+    assert found.eigenvalues == pytest.approx(dense.eigenvalues, abs=1e-6)
+    side = lambda f: np.array([r["z"] for r in f.embedding.orderBy("row_id").collect()])
+    a, b = side(dense), side(found)
+    assert len(a) == len(b) == 500 and np.linalg.svd(a.T @ b)[1] == pytest.approx(1, abs=0.01)
