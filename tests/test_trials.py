@@ -219,3 +219,55 @@ def test_sums_are_moved_by_few_points_and_end_in_the_same_bits(monkeypatch, shif
         centers, _, near = kmeans.lloyd_labels(z, weights, start, passes)
         want, labels = plain_lloyd(z, weights, start, passes)
         assert np.array_equal(centers, want) and np.array_equal(near, labels)
+
+
+def test_embedding_of_a_neighbour_graph_holds_few_bytes_a_node(monkeypatch):
+    """A trial of over a million rows has to fit beside another one: edges in four bytes, vectors written over."""
+    import tracemalloc
+
+    from gridcluster.operators import local, spectral
+
+    monkeypatch.setattr(local, "PATCHES", 100)  # their matrix has a size of its own
+    z, n = clouds((45_000, 35_000), 3), 80_000
+    links = local.neighbour_links(np.arange(n), z, 10)
+    e = np.divmod(np.concatenate(links), n)
+    tracemalloc.start()
+    values, x = local.neighbour_embedding(n, links, 3, spectral.TOLERANCE, spectral.DEGREE)
+    peak = tracemalloc.get_traced_memory()[1]
+    tracemalloc.stop()
+    assert not links and x.shape == (n, 3)
+    assert peak < 900 * n  # 1,800 with eight bytes and copies
+    at_s, at_d = np.concatenate(e), np.concatenate(e[::-1])
+    root = np.sqrt(np.bincount(at_s, minlength=n) * 0.5)
+    image = np.stack([np.bincount(at_s, weights=0.5 * (c / root)[at_d], minlength=n) / root for c in x.T], axis=1)
+    assert np.linalg.norm(image - x * (1 - values), axis=0).max() <= spectral.TOLERANCE
+    assert np.allclose(x.T @ x, np.eye(3), atol=1e-9)
+
+
+def test_blocks_of_rows_are_made_orthonormal_as_a_whole(monkeypatch):
+    from gridcluster.operators import local
+
+    monkeypatch.setattr(local, "SOME_ROWS", 64)
+    x = np.random.default_rng(8).standard_normal((1000, 6)) @ np.diag([1, 1e3, 1e6, 1e-3, 1, 1]) + 5
+    base = local.orthonormal(x.copy())
+    assert np.allclose(base.T @ base, np.eye(6), atol=1e-12) and np.linalg.matrix_rank(np.hstack([x / np.linalg.norm(x, axis=0), base]), tol=1e-8) == 6
+
+
+def test_tables_of_over_200_000_rows_are_trials_in_tasks():
+    """The 900,000 customers and 1,200,000 parts of 60 copies do not go trial by trial through written tables."""
+    from gridcluster.operators import spectral
+
+    assert trials.MOST_ROWS["spectral"] >= 1_200_000 and spectral.NEIGHBOUR_NODES >= trials.MOST_ROWS["spectral"]
+
+
+def test_runs_delete_their_tables(spark, small, monkeypatch, tmp_path):
+    """Trial by trial and in the first experiment: what a run has written goes when its scores are known."""
+    from gridcluster import session
+    from gridcluster.plans import workloads
+
+    known = dict(session._WRITTEN)
+    workloads.run_exp1(spark, small, "rings", methods=("solo", "grid"), restarts=1)
+    monkeypatch.setattr(trials, "MOST_ROWS", {"kmeans": 0, "spectral": 0})
+    rows = workloads.run_exp2(spark, small, "small_three", "spectral", 1, passes=5).collect()
+    assert len(rows) == 12
+    assert session._WRITTEN.keys() == known.keys()
